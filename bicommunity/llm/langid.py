@@ -9,6 +9,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -67,22 +68,23 @@ class TextModel:
 
 
 def train(docs: DataFrame, max_rows: int = MAX_TRAINING_ROWS) -> TextModel:
-    """n-gram frequencies by language over at most ``max_rows`` labelled texts; counts are
-    summed on the executors. Rows without text or language take no part."""
+    """n-gram frequencies by language over at most ``max_rows`` labelled texts, summed on
+    the executors: the driver gets a row for each language and hashed n-gram. Rows without text or language take no part."""
     chosen = docs.filter("text is not null and lang is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: dict[str, np.ndarray] = {}
         for piece, texts in slices(batches, "text"):
             for lang, t in zip(piece.column("lang").to_pylist(), texts):
-                got = np.bincount(grams(t), minlength=1 << BITS)
+                count = np.bincount(grams(t), minlength=1 << BITS)
+                seen = np.flatnonzero(count)
                 # each text weighs the same, so that one very long text can't rule
-                sums[lang] = sums.get(lang, 0) + got / max(1, got.sum()) * 1000
-        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.string()), pa.array([np.asarray(v, np.float64).tobytes() for v in sums.values()], pa.binary())], names=["lang", "sums"])
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(seen), pa.string()), pa.array(seen), pa.array(count[seen] * 1000.0 / max(1, count.sum()))], names=["lang", "gram", "weight"])
 
-    total: dict[str, np.ndarray] = {}
-    for r in chosen.repartition(8, "doc_id").mapInArrow(run, "lang string, sums binary").collect():
-        total[r.lang] = total.get(r.lang, 0) + np.frombuffer(r.sums, np.float64)
+    sums = chosen.repartition(8, "doc_id").mapInArrow(run, "lang string, gram long, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toArrow()
+    total: dict[str, np.ndarray] = {lang: np.zeros(1 << BITS) for lang in sums.column("lang").unique().to_pylist()}
+    for lang, counts in total.items():
+        mine = sums.filter(pc.equal(sums.column("lang"), lang))
+        counts[mine.column("gram").to_numpy()] = mine.column("weight").to_numpy()
     languages = tuple(sorted(total))
     table = np.zeros((1 << BITS, len(languages)))
     for k, lang in enumerate(languages):
