@@ -207,7 +207,7 @@ class WindowIndex:
     def append(self, rows: DataFrame) -> None:
         """Write a run; merge all runs into one when there are ``fan_in``."""
         path = f"{self.where}/run-{uuid.uuid4().hex}"
-        rows.repartition("anchor").sortWithinPartitions("anchor", "context").write.parquet(path)
+        rows.sortWithinPartitions("anchor", "context").write.parquet(path)
         self.runs.append(path)
         if len(self.runs) >= self.fan_in:
             self.compact()
@@ -221,11 +221,12 @@ class WindowIndex:
         for x in old:
             remove(self.spark, x)
 
-    def add(self, batch: DataFrame, history: DataFrame | None = None, above: int | None = None) -> DataFrame:
+    def add(self, batch: DataFrame, history: DataFrame | None = None, above: int | None = None, keep_batch: bool = True) -> DataFrame:
         """Judge the documents of ``batch`` (doc_id, tk, text; ids over ``above``, the
         largest in the index) against the index and one another, and index them. ``history`` has the
         texts already indexed; only those that share an anchor in
-        another context are read again. Returns doc_id, tk, resolved, repeated."""
+        another context are read again. ``keep_batch=False`` leaves the index as it is. Returns
+        doc_id, tk, resolved, repeated."""
         spark, tag = self.spark, f"{self.where}/{uuid.uuid4().hex}"
 
         def keep(df: DataFrame, name: str) -> DataFrame:
@@ -233,13 +234,22 @@ class WindowIndex:
             return spark.read.schema(df.schema).parquet(f"{tag}-{name}")
 
         found = keep(_stretches(batch, self.window), "found")
-        fresh = found.groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"))
-        touched = fresh.select("anchor").distinct()
-        known = self.rows().join(touched, "anchor", "left_semi") if self.runs else self.rows()
-        first = keep(known.unionByName(fresh).groupBy("anchor", "context").agg(F.min("doc_id").alias("first")), "first")
+        fresh = keep(found.groupBy("anchor", "context").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")), "fresh")
+        # most anchors have one document and no other context: they need nothing more
+        own = fresh.groupBy("anchor").agg(F.min("first").alias("first"), F.max("last").alias("last"))
+        live = own.filter("first < last").select("anchor")
+        if self.runs:
+            live = live.unionByName(self.rows().select("anchor").join(own.select("anchor"), "anchor", "left_semi")).distinct()
+        live = keep(live, "live")
+        first = fresh.join(live, "anchor", "left_semi").select("anchor", "context", "first")
+        if self.runs:
+            known = self.rows().join(live, "anchor", "left_semi").select("anchor", "context", F.col("doc_id").alias("first"))
+            first = known.unionByName(first).groupBy("anchor", "context").agg(F.min("first").alias("first"))
+        first = keep(first, "first")
         many = first.groupBy("anchor").agg(F.count("*").alias("n")).filter("n > 1").select("anchor")
         opened = first.join(many, "anchor", "left_semi").select("anchor", "context", F.col("first").alias("doc_id"))
-        resolved = found.join(first, ["anchor", "context"]).filter("doc_id > first").groupBy("doc_id", "tk").agg(F.collect_list("context").alias("resolved"))
+        shared = found.join(live, "anchor", "left_semi")
+        resolved = shared.join(first, ["anchor", "context"]).filter("doc_id > first").groupBy("doc_id", "tk").agg(F.collect_list("context").alias("resolved"))
         by_doc = opened.groupBy("doc_id").agg(F.collect_set("context").alias("open"))
         source = batch if history is None else history.unionByName(batch)
         whole = keep(_windows(source.join(by_doc, "doc_id"), self.window), "whole")
@@ -247,8 +257,9 @@ class WindowIndex:
         again = whole.join(lowest, ["anchor", "whole"]).filter("doc_id > first").groupBy("doc_id", "tk").agg(F.collect_set("whole").alias("repeated"))
         again = again if above is None else again.filter(F.col("doc_id") > above)
         out = keep(resolved.join(again, ["doc_id", "tk"], "full"), "marks")
-        self.append(first.join(fresh.select("anchor", "context"), ["anchor", "context"], "left_semi").select("anchor", "context", F.col("first").alias("doc_id")) if self.runs else first.select("anchor", "context", F.col("first").alias("doc_id")))
-        for name in ("found", "first", "whole"):
+        if keep_batch:
+            self.append(fresh.select("anchor", "context", F.col("first").alias("doc_id")))
+        for name in ("found", "fresh", "live", "first", "whole"):
             remove(spark, f"{tag}-{name}")
         return out
 
@@ -259,12 +270,14 @@ def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, bat
 
     Returns the columns of ``docs`` without the text, then ``n_words, n_removed,
     kept_text`` (kept words joined by one space). ``docs`` is cut into
-    ``batches`` ranges of doc_id, which go through the index in order. Null and blank texts have
+    ``batches`` ranges of doc_id, which go through the index in order; an index of the
+    caller's keeps them all, for batches to come. Null and blank texts have
     no words; texts shorter than a window lose nothing; rows that repeat a doc_id don't count
     against one another; rows without a doc_id are neither judged nor indexed. An empty table gives an
     empty result.
     """
     spark = docs.sparkSession
+    lasting = index is not None
     index = index or WindowIndex(spark, window)
     clash = [c for c in ("tk", "resolved", "repeated", "n_words", "n_removed", "kept_text", "open") if c in docs.columns]
     keyed = docs.drop(*clash).withColumnRenamed(text, "text").withColumn("doc_id", F.col("doc_id").cast("long")).withColumn("tk", F.xxhash64("text"))
@@ -278,7 +291,7 @@ def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, bat
         part = texts if low is None else texts.filter(F.col("doc_id") > low)
         part = part if cut is None else part.filter(F.col("doc_id") <= cut)
         history = None if low is None else texts.filter(F.col("doc_id") <= low)
-        got = index.add(part, history, low)
+        got = index.add(part, history, low, lasting or cut is not None)
         marks = got if marks is None else marks.unionByName(got)
         low = cut
     return _removed(keyed.join(marks, ["doc_id", "tk"], "left"), window).drop("tk")
