@@ -116,17 +116,25 @@ def _logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, size: in
 
 
 def _platt(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Slope and offset by Newton steps on held-out scores, with smoothed targets."""
+    """Slope and offset by damped Newton steps on held-out scores, with smoothed targets."""
     good, bad = y.sum(), len(y) - y.sum()
     t = np.where(y == 1, (good + 1) / (good + 2), 1 / (bad + 2))
     x = np.c_[z, np.ones(len(z))]
-    beta = np.array([1.0, 0.0])
-    for _ in range(50):
+
+    def loss(beta: np.ndarray) -> float:
+        a = x @ beta
+        return float((np.logaddexp(0, a) - t * a).sum())
+
+    beta = np.zeros(2)
+    for _ in range(100):
         p = 1 / (1 + np.exp(-np.clip(x @ beta, -30, 30)))
-        hess = (x * (p * (1 - p))[:, None]).T @ x + 1e-6 * np.eye(2)
-        step = np.linalg.solve(hess, x.T @ (p - t))
-        beta = beta - np.clip(step, -5, 5)
-        if np.abs(step).max() < 1e-8:
+        slope = x.T @ (p - t)
+        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + 1e-9 * np.eye(2), slope)
+        size, now = 1.0, loss(beta)
+        while size > 1e-6 and loss(beta - size * step) > now - 1e-4 * size * float(slope @ step):
+            size /= 2
+        beta = beta - size * step
+        if np.abs(size * step).max() < 1e-8:
             break
     return float(max(beta[0], 1e-3)), float(beta[1])
 
