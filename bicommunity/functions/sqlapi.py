@@ -25,7 +25,7 @@ def register(edges: DataFrame, item_kw: DataFrame) -> None:
 
 @udtf(returnType="center bigint, u bigint, v string, w bigint")
 class CommunityOf:
-    """``SELECT * FROM community_of(TABLE(candidates) PARTITION BY center, k, r, sigma)``."""
+    """``SELECT * FROM community_of(TABLE(candidates) PARTITION BY (center), k, r, sigma)``."""
 
     def __init__(self) -> None:
         self.rows: list[tuple[int, int, str, int]] = []

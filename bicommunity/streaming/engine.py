@@ -78,10 +78,12 @@ def once(rows: DataFrame, delay: str = "1 hour", key: str = "seq") -> DataFrame:
     return rows.withWatermark("ts", delay).dropDuplicatesWithinWatermark([key])
 
 
-def windowed_edges(rows: DataFrame, span: str, step: str | None = None, delay: str = "1 hour") -> DataFrame:
-    """Edges by event-time window; rows later than the watermark are dropped by Spark."""
+def windowed_edges(rows: DataFrame, span: str, step: str | None = None, delay: str | None = "1 hour") -> DataFrame:
+    """Edges by event-time window; rows later than the watermark are dropped by Spark.
+    ``delay=None``: the rows have a watermark already."""
     win = F.window("ts", span, step) if step else F.window("ts", span)
-    return rows.withWatermark("ts", delay).groupBy(win.alias("win"), "u", "v").agg(F.count("*").alias("w")).select(F.col("win.start").alias("start"), F.col("win.end").alias("stop"), "u", "v", "w")
+    marked = rows if delay is None else rows.withWatermark("ts", delay)
+    return marked.groupBy(win.alias("win"), "u", "v").agg(F.count("*").alias("w")).select(F.col("win.start").alias("start"), F.col("win.end").alias("stop"), "u", "v", "w")
 
 
 def user_sessions(rows: DataFrame, gap: str, delay: str = "1 hour") -> DataFrame:
