@@ -24,6 +24,8 @@ MAX_TRAINING_ROWS = 2000
 STRENGTH = 60.0
 #: Weight, in documents, of the level above in each smoothed prior.
 SMOOTHING = 5.0
+#: Tasks that the rows of one host, domain or suffix are dealt to.
+SALTS = 32
 
 _DROP = re.compile(rb"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>")
 _LETTERS = re.compile(rb"[^A-Za-z\x80-\xff]+")
@@ -70,7 +72,9 @@ class TextModel:
 def train(docs: DataFrame, max_rows: int = MAX_TRAINING_ROWS) -> TextModel:
     """n-gram frequencies by language over at most ``max_rows`` labelled texts, summed on
     the executors: the driver gets a row for each language and hashed n-gram. Rows without text or language take no part."""
-    chosen = docs.filter("text is not null and lang is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
+    rows = docs.filter("text is not null and lang is not null and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text")
+    ids = rows.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
+    chosen = rows.join(F.broadcast(ids), "doc_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
@@ -80,7 +84,7 @@ def train(docs: DataFrame, max_rows: int = MAX_TRAINING_ROWS) -> TextModel:
                 # each text weighs the same, so that one very long text can't rule
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(seen), pa.string()), pa.array(seen), pa.array(count[seen] * 1000.0 / max(1, count.sum()))], names=["lang", "gram", "weight"])
 
-    sums = chosen.repartition(8, "doc_id").mapInArrow(run, "lang string, gram long, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toArrow()
+    sums = chosen.mapInArrow(run, "lang string, gram long, weight double").groupBy("lang", "gram").agg(F.sum("weight").alias("weight")).toArrow()
     total: dict[str, np.ndarray] = {lang: np.zeros(1 << BITS) for lang in sums.column("lang").unique().to_pylist()}
     for lang, counts in total.items():
         mine = sums.filter(pc.equal(sums.column("lang"), lang))
@@ -147,9 +151,13 @@ def identify(rows: DataFrame, model: TextModel, smoothing: float = SMOOTHING) ->
 
     corpus = sums(None, "corpus").first()[0]
     base = [float(x or 0.0) + 1.0 for x in corpus]
-    out = scored
-    for key, name in (("host", "by_host"), ("domain", "by_domain"), ("suffix", "by_suffix"), ("code", "by_code")):
-        out = out.join(sums(key, name), F.col(key) == F.col(f"k_{name}"), "left").drop(f"k_{name}")
+    out = scored.join(F.broadcast(sums("code", "by_code")), F.col("code") == F.col("k_by_code"), "left").drop("k_by_code")
+    # a group's sums stand once for each salt, so that the rows of a hot host go to many tasks
+    salts = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long")))
+    out = out.withColumn("salt", F.pmod(F.xxhash64("id", "logs"), F.lit(SALTS)))
+    for key, name in (("host", "by_host"), ("domain", "by_domain"), ("suffix", "by_suffix")):
+        group = sums(key, name).withColumn(f"s_{name}", salts)
+        out = out.join(group, (F.col(key) == F.col(f"k_{name}")) & (F.col("salt") == F.col(f"s_{name}")), "left").drop(f"k_{name}", f"s_{name}")
     total = sum(base)
     prior = [F.lit(b / total) for b in base]
     logs = [F.col("logs")[k] for k in range(len(languages))]
