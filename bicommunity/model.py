@@ -59,7 +59,7 @@ class EngineConfig:
     drop: str = "user"
     items: str = "inner"
     candidates: str = "core"
-    engine: str = "grouped"
+    engine: str = "auto"
     hub_degree: int | None = 4096
     kernel_limit: int = 200_000
     max_rounds: int = 500

@@ -18,7 +18,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import CommunityQuery
+from ..store import written
 from . import hops
+from .dense import MAX_CELLS, fits, pair_sums
 
 
 class _Dense:
@@ -27,25 +29,6 @@ class _Dense:
     def __init__(self, weights: np.ndarray, center: int, drop: str, inner: bool):
         self.w, self.c, self.drop, self.inner = weights, center, drop, inner
 
-    def sums(self, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Shared items and scores of all user pairs: min(a, b) adds up over weight levels."""
-        def shared(mask: np.ndarray) -> np.ndarray:
-            b = mask.astype(np.float64)  # exact below 2**53, and much faster than integer products
-            return (b @ b.T).astype(np.int64)
-
-        n = shared(w > 0)
-        x, y = np.zeros_like(n), np.zeros_like(n)
-        levels, before = np.unique(w[w > 0]), 0
-        for level in levels.tolist():
-            both = shared(w >= level)
-            x += (level - before) * both
-            y += (level * level - before * before) * both
-            before = level
-        score = (x * x - y) >> 1
-        np.fill_diagonal(n, 0)
-        np.fill_diagonal(score, 0)
-        return n, score
-
     def distances(self, w: np.ndarray) -> np.ndarray:
         """Hops from the centre to each user; a large number where there is no path."""
         on = w > 0
@@ -67,7 +50,7 @@ class _Dense:
             limit = 2 * r - 2 if self.inner else 2 * r
             items = (w[dist <= limit] > 0).any(axis=0)
             cut = w * near[:, None] * items[None, :]
-            n, score = self.sums(cut)
+            n, score = pair_sums(cut)
             good = np.where(score >= sigma, np.maximum(n - 1, 0), 0) if sigma > 0 else np.maximum(n - 1, 0)
             on = cut > 0
             cut = np.where(on & ((good.astype(np.float64) @ on.astype(np.float64)) >= k), cut, 0)
@@ -144,17 +127,37 @@ def kernel(center: int, u: np.ndarray, v: np.ndarray, w: np.ndarray, q: Communit
 _OUT = "qid string, center bigint, u bigint, v string, w bigint, radius int"
 
 
-def extract(core: DataFrame, q: CommunityQuery, centers: DataFrame | None = None, engine: str = "grouped", drop: str = "user", items: str = "inner") -> DataFrame:
+def large_centers(core: DataFrame, r: int, centers: DataFrame | None = None, kernel_limit: int = 200_000, max_cells: int = MAX_CELLS) -> DataFrame:
+    """``center``: those whose candidate may be too large for a kernel, by its users and the sum of
+    their degrees, which bounds its edges and items."""
+    degree = core.groupBy("u").agg(F.count("*").alias("degree"))
+    size = hops.users(core, r, centers).join(degree, "u").groupBy("center").agg(F.count("*").alias("users"), F.sum("degree").alias("edges"))
+    cells = F.col("users").cast("double") * F.greatest("users", "edges")
+    return size.filter((F.col("edges") > kernel_limit) | (cells > max_cells)).select("center")
+
+
+def extract(core: DataFrame, q: CommunityQuery, centers: DataFrame | None = None, engine: str = "auto", drop: str = "user", items: str = "inner", kernel_limit: int = 200_000, max_cells: int = MAX_CELLS) -> DataFrame:
     """``qid, center, u, v, w, radius``: the community of each centre, by the edges of the core (or of
     any graph around it: the result is the same).
 
     ``grouped``: a centre's candidate edges meet in one kernel, which suits candidates of bounded
-    size. ``relational``: all centres advance together by joins, keyed by centre.
+    size. ``relational``: all centres advance together by joins, keyed by centre. ``auto``: kernels if the whole
+    graph fits one; else each centre is measured, and those too large for a kernel go by joins.
     """
-    if engine == "relational":
-        from .relational import extract as by_joins
+    from .relational import extract as by_joins
 
+    if engine == "relational":
         return by_joins(core, q, centers, drop=drop, items=items)
+    if engine == "auto" and not fits(core, kernel_limit, max_cells):
+        large = written(large_centers(core, q.r, centers, kernel_limit, max_cells), "large-centers")
+        if large.limit(1).count():
+            every = (centers if centers is not None else core.select(F.col("u").alias("center"))).select("center").distinct()
+            rest = written(every.join(large, "center", "left_anti"), "small-centers")
+            return _grouped(core, q, rest, drop, items).unionByName(by_joins(core, q, large, drop=drop, items=items).select("qid", "center", "u", "v", "w", "radius"))
+    return _grouped(core, q, centers, drop, items)
+
+
+def _grouped(core: DataFrame, q: CommunityQuery, centers: DataFrame | None, drop: str, items: str) -> DataFrame:
     candidates = hops.subgraph(core, q.r, centers, items)
 
     def run(key: tuple, g: pd.DataFrame) -> pd.DataFrame:

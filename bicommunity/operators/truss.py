@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..store import Rounds
-from . import score
+from . import dense, score
 from .motifs import wedges
 from .support import from_pairs
 
@@ -22,17 +22,21 @@ def _twos(edges: DataFrame) -> DataFrame:
     return edges.join(users, "u", "left_semi").join(items, "v", "left_semi").select("u", "v", "w")
 
 
-def core(edges: DataFrame, k: int, sigma: int, hub_degree: int | None = None, max_rounds: int = 500, log: list | None = None) -> DataFrame:
+def core(edges: DataFrame, k: int, sigma: int, hub_degree: int | None = None, max_rounds: int = 500, log: list | None = None, engine: str = "auto", kernel_limit: int = 200_000) -> DataFrame:
     """Largest sub-graph whose edges are each in ``k`` butterflies of pairs that score ``sigma``.
 
     Counts and scores only fall as edges go, so the order of removal doesn't matter and every
-    community lies inside. ``log`` gets the number of edges after each round. One job a round; the
-    round's table replaces the one before.
+    community lies inside. ``joins`` peels in rounds, one job each; a round's table replaces the one before.
+    ``auto`` hands over to a kernel in one task as soon as what is left is small enough for its matrices.
+    ``log`` gets the number of edges after each round, and keeps to joins.
     """
     rounds = Rounds(edges.sparkSession, "core", max_rounds)
     now = rounds.keep(_twos(edges) if k > 0 else edges.select("u", "v", "w"))
     n = now.count()
+    small = engine == "auto" and log is None
     while n and k > 0:
+        if small and n <= kernel_limit and dense.fits(now, kernel_limit):
+            return rounds.keep(_core_kernel(now, k, sigma))
         w = wedges(now, hub_degree)
         good = score.aggregate(w)
         good = good.filter((F.col("score") >= sigma) & (F.col("n") > 1)) if sigma > 0 else good.filter("n > 1")
@@ -47,46 +51,38 @@ def core(edges: DataFrame, k: int, sigma: int, hub_degree: int | None = None, ma
     return now
 
 
+def _core_kernel(edges: DataFrame, k: int, sigma: int) -> DataFrame:
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        parts = list(batches)
+        if parts:
+            g = pd.concat(parts)
+            m, a, b = dense.matrix(g.u.to_numpy(), g.v.to_numpy().astype(str), g.w.to_numpy())
+            yield g[dense.core(m, k, sigma)[a, b]]
+
+    return edges.select("u", "v", "w").coalesce(1).mapInPandas(run, "u bigint, v string, w bigint")
+
+
 def k_bitruss(edges: DataFrame, k: int, **options) -> DataFrame:
     """Largest sub-graph whose edges are each in ``k`` of its butterflies."""
     return core(edges, k, 0, **options)
 
 
-def dense_numbers(u: np.ndarray, v: np.ndarray) -> np.ndarray:
-    """Bitruss number of each edge of a small graph."""
-    users, a = np.unique(u, return_inverse=True)
-    items, b = np.unique(v, return_inverse=True)
-    m = np.zeros((len(users), len(items)))
-    m[a, b] = 1
-    number = np.zeros(m.shape, np.int64)
-    k = 0
-    while m.any():
-        n = m @ m.T
-        np.fill_diagonal(n, 1)
-        sup = (np.maximum(n - 1, 0) @ m) * m  # whole numbers far below 2**53
-        live = m > 0
-        low = int(sup[live].min())
-        k = max(k, low)
-        gone = live & (sup <= k)
-        number[gone] = k
-        m[gone] = 0
-    return number[a, b]
-
-
 def bitruss_numbers(edges: DataFrame, engine: str = "auto", kernel_limit: int = 200_000, max_rounds: int = 10_000) -> DataFrame:
     """``u, v, number``: the largest k whose k-bitruss has the edge.
 
-    ``kernel`` peels a graph of at most ``kernel_limit`` edges in one task; ``joins`` peels any graph, from
-    each level on to the next least support that is left. ``auto`` counts edges first.
+    ``kernel`` peels a graph in one task as matrices; ``joins`` peels any graph, from each level on to
+    the next least support that is left. ``auto`` takes the kernel for at most ``kernel_limit`` edges whose
+    matrices fit.
     """
     if engine == "auto":
-        engine = "kernel" if edges.count() <= kernel_limit else "joins"
+        engine = "kernel" if dense.fits(edges, kernel_limit) else "joins"
     if engine == "kernel":
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             parts = list(batches)
             if parts:
                 g = pd.concat(parts)
-                yield g[["u", "v"]].assign(number=dense_numbers(g.u.to_numpy(), g.v.to_numpy().astype(str)))
+                m, a, b = dense.matrix(g.u.to_numpy(), g.v.to_numpy().astype(str), np.ones(len(g), np.int64))
+                yield g[["u", "v"]].assign(number=dense.bitruss_numbers(m)[a, b])
 
         return edges.select("u", "v").coalesce(1).mapInPandas(run, "u bigint, v string, number bigint")
     spark = edges.sparkSession

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import CommunityQuery, EngineConfig
-from ..operators import community, graph, hops, prune, score, support, synopsis
+from ..operators import community, graph, hops, prune, score, support, synopsis, truss
 from ..store import written
 from . import snapshot
 
@@ -22,21 +22,38 @@ def region(old: DataFrame, new: DataFrame, changes: DataFrame, r: int) -> DataFr
     return synopsis.affected(old, new, changes, r)
 
 
-def refresh(results: DataFrame, old: DataFrame, new: DataFrame, changes: DataFrame, item_kw: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
-    """Answers after changed edges (u, v, w_old, w_new), under ``config.policy``.
+def changed_edges(old: DataFrame, new: DataFrame) -> DataFrame:
+    """``u, v, w_old, w_new`` of edges that differ between two graphs (0: no edge)."""
+    both = old.select("u", "v", F.col("w").alias("w_old")).join(new.select("u", "v", F.col("w").alias("w_new")), ["u", "v"], "full")
+    zero = F.lit(0).cast("bigint")
+    return both.select("u", "v", F.coalesce("w_old", zero).alias("w_old"), F.coalesce("w_new", zero).alias("w_new")).filter("w_old <> w_new")
 
-    ``exact`` extracts every centre near a change again and replaces its answer, so answers equal
-    those of a snapshot. ``published`` looks again at answers that hold an expired edge, probes the
-    centres near an inserting user, and keeps other old answers, even where a larger one is now possible.
-    """
-    mine_old, mine_new = prune.keyword(old, item_kw, q.keywords), written(prune.keyword(new, item_kw, q.keywords), "filtered")
+
+def query_core(edges: DataFrame, item_kw: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
+    """The core of a query's edges: all that its answers are made of."""
+    sigma = q.sigma if q.score_rule == "pair" else 0
+    return truss.core(prune.keyword(edges, item_kw, q.keywords), q.k, sigma, config.hub_degree, config.max_rounds, kernel_limit=config.kernel_limit)
+
+
+def refresh_exact(results: DataFrame, core_old: DataFrame, core_new: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
+    """Answers that equal a snapshot's: an answer is made of core edges near its centre, so the centres near
+    an edge in which the two cores differ are extracted again and the others keep theirs."""
+    moved = written(changed_edges(core_old, core_new), "core-changes")
+    if not moved.limit(1).count():
+        return results
+    centers = written(region(core_old, core_new, moved, q.r), "region")
+    fresh = community.extract(core_new, q, centers, config.engine, config.drop, config.items)
+    return written(results.join(centers, "center", "left_anti").select(*_columns()).unionByName(fresh), "results")
+
+
+def refresh_published(results: DataFrame, new: DataFrame, changes: DataFrame, item_kw: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
+    """Answers after changed edges (u, v, w_old, w_new) by the published rule: it looks again at answers
+    that hold an expired edge, probes the centres near an inserting user, and keeps other old
+    answers, even where a larger one is now possible."""
+    mine_new = written(prune.keyword(new, item_kw, q.keywords), "filtered")
     relevant = changes
     if q.keywords:
         relevant = changes.join(item_kw.filter(F.col("kw").isin(*q.keywords)).select("v").distinct(), "v", "left_semi")
-    if config.policy == "exact":
-        centers = written(region(mine_old, mine_new, relevant, q.r), "region")
-        fresh = community.extract(mine_new, q, centers, config.engine, config.drop, config.items)
-        return written(results.join(centers, "center", "left_anti").select(*_columns()).unionByName(fresh), "results")
     fallen = relevant.filter("w_new < w_old")
     risen = relevant.filter("w_new > w_old")
     again = results.join(fallen.select("u", "v"), ["u", "v"], "left_semi").select("center").distinct()
@@ -78,6 +95,7 @@ class CommunityEngine:
     aux: snapshot.Auxiliary | None = None
     queries: dict[str, CommunityQuery] = field(default_factory=dict)
     answers: dict[str, DataFrame] = field(default_factory=dict)
+    cores: dict[str, DataFrame] = field(default_factory=dict)
     log: list[DataFrame] = field(default_factory=list)
 
     def __post_init__(self) -> None:
@@ -89,6 +107,8 @@ class CommunityEngine:
     def register(self, q: CommunityQuery) -> None:
         """Answer a query now and keep its answers up to date."""
         self.queries[q.qid] = q
+        if self.config.policy == "exact":
+            self.cores[q.qid] = query_core(self.edges, self.item_kw, q, self.config)
         self.answers[q.qid] = self.snapshot(q)
 
     def snapshot(self, q: CommunityQuery, dedupe: str | None = None) -> DataFrame:
@@ -108,13 +128,22 @@ class CommunityEngine:
     def advance(self, inserted: DataFrame, expired: DataFrame, to: int) -> None:
         """One tick: any number of arrivals (u, v) up to ``to`` and what they push out."""
         moved = graph.net_changes(inserted, expired)
-        changes = written(graph.changed_weights(self.edges, moved), "changes")
+        changes = graph.changed_weights(self.edges, moved)
+        if self.aux is not None or self.config.policy != "exact":
+            changes = written(changes, "changes")
         new = written(graph.apply_changes(self.edges, moved), "edges")
         if self.aux is not None:
             self.aux = self.maintained(self.edges, new, changes)
         for qid, q in self.queries.items():
-            after = refresh(self.answers[qid], self.edges, new, changes, self.item_kw, q, self.config)
-            self.log.append(written(answer_changes(self.answers[qid], after, to), "answer-changes"))
+            before = self.answers[qid]
+            if self.config.policy == "exact":
+                core = query_core(new, self.item_kw, q, self.config)
+                after = refresh_exact(before, self.cores[qid], core, q, self.config)
+                self.cores[qid] = core
+            else:
+                after = refresh_published(before, new, changes, self.item_kw, q, self.config)
+            if after is not before:
+                self.log.append(written(answer_changes(before, after, to), "answer-changes"))
             self.answers[qid] = after
         self.edges, self.at = new, to
 
@@ -160,5 +189,3 @@ def queries_of(table: DataFrame) -> list[CommunityQuery]:
 def run_many(base: DataFrame, updates: DataFrame, item_kw: DataFrame, queries: DataFrame, config: EngineConfig = EngineConfig(), until: int | None = None) -> CommunityEngine:
     """Queries from a table share the edges, changes and state of each tick."""
     return run(base, updates, item_kw, queries_of(queries), config, until)
-
-
