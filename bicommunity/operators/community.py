@@ -14,13 +14,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model import CommunityQuery
 from ..store import written
 from . import hops
-from .dense import MAX_CELLS, fits, pair_sums
+from .dense import MAX_CELLS, distances, local, matrix, pair_sums
 
 
 class _Dense:
@@ -29,23 +29,10 @@ class _Dense:
     def __init__(self, weights: np.ndarray, center: int, drop: str, inner: bool):
         self.w, self.c, self.drop, self.inner = weights, center, drop, inner
 
-    def distances(self, w: np.ndarray) -> np.ndarray:
-        """Hops from the centre to each user; a large number where there is no path."""
-        on = w > 0
-        dist = np.full(len(w), 1 << 30, np.int64)
-        seen, at, step = np.zeros(len(w), bool), np.zeros(len(w), bool), 0
-        at[self.c] = True
-        while at.any():
-            dist[at] = step
-            seen |= at
-            at = on[:, on[at].any(axis=0)].any(axis=1) & ~seen
-            step += 2
-        return dist
-
     def settle(self, w: np.ndarray, k: int, r: int, sigma: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Largest part within the radius whose edges have ``k`` butterflies of compatible pairs."""
         while True:
-            dist = self.distances(w)
+            dist = distances(w > 0, np.array([self.c]))
             near = dist <= 2 * r
             limit = 2 * r - 2 if self.inner else 2 * r
             items = (w[dist <= limit] > 0).any(axis=0)
@@ -140,15 +127,25 @@ def extract(core: DataFrame, q: CommunityQuery, centers: DataFrame | None = None
     """``qid, center, u, v, w, radius``: the community of each centre, by the edges of the core (or of
     any graph around it: the result is the same).
 
+    ``resident``: the whole graph is small (counted first), goes to every task, and the centres are shared out.
     ``grouped``: a centre's candidate edges meet in one kernel, which suits candidates of bounded
-    size. ``relational``: all centres advance together by joins, keyed by centre. ``auto``: kernels if the whole
-    graph fits one; else each centre is measured, and those too large for a kernel go by joins.
+    size. ``relational``: all centres advance together by joins, keyed by centre. ``auto``: resident if the graph
+    is small enough; else each centre is measured, and those too large for a kernel go by joins.
     """
     from .relational import extract as by_joins
 
     if engine == "relational":
         return by_joins(core, q, centers, drop=drop, items=items)
-    if engine == "auto" and not fits(core, kernel_limit, max_cells):
+    if engine in ("auto", "resident"):
+        g = local(core, kernel_limit, max_cells)
+        if g is not None:
+            ids = np.unique(g.u.to_numpy())
+            if centers is not None:
+                own = centers.select("center").join(core.select(F.col("u").alias("center")).distinct(), "center", "left_semi").distinct()
+                ids = np.sort(own.toPandas().center.to_numpy(np.int64))  # no more than the graph's users
+            return extract_local(core.sparkSession, g, q, ids, drop, items)
+        if engine == "resident":
+            raise ValueError("the graph is too large to be resident")
         large = written(large_centers(core, q.r, centers, kernel_limit, max_cells), "large-centers")
         if large.limit(1).count():
             every = (centers if centers is not None else core.select(F.col("u").alias("center"))).select("center").distinct()
@@ -157,6 +154,34 @@ def extract(core: DataFrame, q: CommunityQuery, centers: DataFrame | None = None
     return _grouped(core, q, centers, drop, items)
 
 
+def extract_local(spark: SparkSession, g: pd.DataFrame, q: CommunityQuery, centers: np.ndarray, drop: str = "user", items: str = "inner") -> DataFrame:
+    """Communities of the given centres on a small graph that each task holds as a matrix."""
+    if q.k <= 0 or not len(centers) or not len(g):
+        return spark.createDataFrame([], _OUT)
+    m, _, _ = matrix(g.u.to_numpy(), g.v.to_numpy().astype(str), g.w.to_numpy())
+    users, names = np.unique(g.u.to_numpy()), np.unique(g.v.to_numpy().astype(str))
+    row, col = np.nonzero(m)
+    held = row.astype(np.int32), col.astype(np.int32), m[row, col], m.shape, users, names, centers
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        row, col, w, shape, users, names, centers = held
+        m = np.zeros(shape, np.int64)
+        m[row, col] = w
+        for batch in batches:
+            for c in centers[batch.id.to_numpy()].tolist():
+                at = int(np.searchsorted(users, c))
+                dist = distances(m > 0, np.array([at]))
+                i = np.flatnonzero(dist <= 2 * q.r)
+                j = np.flatnonzero((m[dist <= (2 * q.r - 2 if items == "inner" else 2 * q.r)] > 0).any(axis=0))
+                got = _Dense(m[np.ix_(i, j)], int(np.searchsorted(i, at)), drop, items == "inner").extract(q, users[i])
+                if got is not None:
+                    a, b = np.nonzero(got[0])
+                    yield pd.DataFrame({"qid": q.qid, "center": c, "u": users[i[a]], "v": names[j[b]], "w": got[0][a, b], "radius": np.int32(got[1])})
+
+    parts = max(1, min(len(centers), 2 * spark.sparkContext.defaultParallelism))
+    return spark.range(0, len(centers), 1, parts).mapInPandas(run, _OUT)
+
+
 def _grouped(core: DataFrame, q: CommunityQuery, centers: DataFrame | None, drop: str, items: str) -> DataFrame:
     candidates = hops.subgraph(core, q.r, centers, items)
 

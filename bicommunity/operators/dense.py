@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -12,12 +13,45 @@ MAX_CELLS = 1 << 22
 
 def fits(edges: DataFrame, kernel_limit: int, max_cells: int = MAX_CELLS) -> bool:
     """True if a written graph has at most ``kernel_limit`` edges and its matrices ``max_cells`` cells each."""
-    if edges.limit(kernel_limit + 1).count() > kernel_limit:
+    if edges.count() > kernel_limit:
         return False
     size = edges.agg(F.countDistinct("u").alias("users"), F.countDistinct("v").alias("items")).first()
     return size.users * max(size.users, size.items) <= max_cells
 
 
+def local(edges: DataFrame, kernel_limit: int, max_cells: int = MAX_CELLS) -> pd.DataFrame | None:
+    """A written graph as a local table if it is as small as ``fits`` asks, else None. It is counted before
+    it is fetched, so the driver never gets more than ``kernel_limit`` edges."""
+    if edges.count() > kernel_limit:
+        return None
+    g = edges.select("u", "v", "w").toPandas().astype({"u": np.int64, "w": np.int64})
+    users = g.u.nunique()
+    return g if users * max(users, g.v.nunique()) <= max_cells else None
+
+
+def distances(on: np.ndarray, sources: np.ndarray) -> np.ndarray:
+    """Hops from the nearest of the given users to each user; a large number where there is no path."""
+    dist = np.full(len(on), 1 << 30, np.int64)
+    seen, at, step = np.zeros(len(on), bool), np.zeros(len(on), bool), 0
+    at[sources] = True
+    while at.any():
+        dist[at] = step
+        seen |= at
+        at = on[:, on[at].any(axis=0)].any(axis=1) & ~seen
+        step += 2
+    return dist
+
+
+def near(g: pd.DataFrame, users: np.ndarray, r: int) -> np.ndarray:
+    """Users of a graph within ``r`` steps of the given ones, and those themselves."""
+    own = np.intersect1d(users, g.u.to_numpy())
+    if not len(own):
+        return users
+    m, _, _ = matrix(g.u.to_numpy(), g.v.to_numpy().astype(str), g.w.to_numpy())
+    ids = np.unique(g.u.to_numpy())
+    return np.union1d(users, ids[distances(m > 0, np.searchsorted(ids, own)) <= 2 * r])
+
+
 def matrix(u: np.ndarray, v: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Weights, and the row and column of each edge."""
     users, a = np.unique(u, return_inverse=True)

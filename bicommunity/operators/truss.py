@@ -31,12 +31,16 @@ def core(edges: DataFrame, k: int, sigma: int, hub_degree: int | None = None, ma
     ``log`` gets the number of edges after each round, and keeps to joins.
     """
     rounds = Rounds(edges.sparkSession, "core", max_rounds)
-    now = rounds.keep(_twos(edges) if k > 0 else edges.select("u", "v", "w"))
-    n = now.count()
     small = engine == "auto" and log is None
+    now = rounds.keep(edges.select("u", "v", "w") if small or k <= 0 else _twos(edges))
+    n, first = now.count(), small
     while n and k > 0:
         if small and n <= kernel_limit and dense.fits(now, kernel_limit):
             return rounds.keep(_core_kernel(now, k, sigma))
+        if first:
+            now, first = rounds.keep(_twos(now)), False
+            n = now.count()
+            continue
         w = wedges(now, hub_degree)
         good = score.aggregate(w)
         good = good.filter((F.col("score") >= sigma) & (F.col("n") > 1)) if sigma > 0 else good.filter("n > 1")

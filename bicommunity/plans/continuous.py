@@ -5,11 +5,13 @@ from __future__ import annotations
 from collections.abc import Iterable
 from dataclasses import dataclass, field, replace
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import CommunityQuery, EngineConfig
-from ..operators import community, graph, hops, prune, score, support, synopsis, truss
+from ..operators import community, dense, graph, hops, prune, score, support, synopsis, truss
 from ..store import written
 from . import snapshot
 
@@ -37,7 +39,13 @@ def query_core(edges: DataFrame, item_kw: DataFrame, q: CommunityQuery, config:
 
 def refresh_exact(results: DataFrame, core_old: DataFrame, core_new: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
     """Answers that equal a snapshot's: an answer is made of core edges near its centre, so the centres near
-    an edge in which the two cores differ are extracted again and the others keep theirs."""
+    an edge in which the two cores differ are extracted again and the others keep theirs. Small cores (counted
+    first) are compared and searched as local tables, others by joins."""
+    if config.engine == "auto":
+        old = dense.local(core_old, config.kernel_limit)
+        new = dense.local(core_new, config.kernel_limit) if old is not None else None
+        if new is not None:
+            return _refresh_local(results, old, new, q, config)
     moved = written(changed_edges(core_old, core_new), "core-changes")
     if not moved.limit(1).count():
         return results
@@ -46,6 +54,18 @@ def refresh_exact(results: DataFrame, core_old: DataFrame, core_new: DataFrame,
     return written(results.join(centers, "center", "left_anti").select(*_columns()).unionByName(fresh), "results")
 
 
+def _refresh_local(results: DataFrame, old: pd.DataFrame, new: pd.DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
+    both = old.merge(new, on=["u", "v"], how="outer", suffixes=("_old", "_new")).fillna({"w_old": 0, "w_new": 0})
+    users = np.unique(both.u[both.w_old != both.w_new].to_numpy(np.int64))
+    if not len(users):
+        return results
+    spark = results.sparkSession
+    centers = np.union1d(dense.near(old, users, q.r), dense.near(new, users, q.r))
+    fresh = community.extract_local(spark, new, q, np.intersect1d(centers, new.u.to_numpy()), config.drop, config.items)
+    again = F.broadcast(spark.createDataFrame(pd.DataFrame({"center": centers}), "center bigint"))
+    return written(results.join(again, "center", "left_anti").select(*_columns()).unionByName(fresh), "results")
+
+
 def refresh_published(results: DataFrame, new: DataFrame, changes: DataFrame, item_kw: DataFrame, q: CommunityQuery, config: EngineConfig) -> DataFrame:
     """Answers after changed edges (u, v, w_old, w_new) by the published rule: it looks again at answers
     that hold an expired edge, probes the centres near an inserting user, and keeps other old

@@ -101,6 +101,19 @@ def test_existence_on_tiny_graphs(spark, seed):
             assert brute.valid({(u, v): w for u, v, w in zip(*got[:3])}, c, q.k, q.r, q.sigma)
 
 
+@pytest.mark.parametrize("items", ["inner", "closed"])
+def test_engines_agree_by_size(spark, items):
+    """Small graphs stay resident, larger ones go by centre, and large centres by joins."""
+    g = random_graph(5, 8, 8, 34) | {(u + 20, v + "z"): w for (u, v), w in block((1, 2, 3), "abc").items()}
+    e, q = frame(spark, g), CommunityQuery(2, 2, 3)
+    want = answers(community.extract(e, q, engine="grouped", items=items))
+    assert want and want == answers(community.extract(e, q, engine="resident", items=items))
+    some = spark.createDataFrame([(21,), (22,), (99,)], "center bigint")
+    assert {c for c in answers(community.extract(e, q, some, items=items))} <= {21, 22}
+    assert 0 < community.large_centers(e, q.r, None, 20).count() < e.select("u").distinct().count()
+    assert want == answers(community.extract(e, q, kernel_limit=20, items=items))
+
+
 def test_total_rule(spark):
     g = block((1, 2, 3), "abc")
     q = CommunityQuery(1, 1, 3, score_rule="total", p=3)

@@ -92,12 +92,19 @@ def test_unit_maintenance(spark):
         assert rows(got, "ui", "uj", "score") == brute.scores(h)
 
 
+def brute_size(g):
+    """A limit that only a peeled graph keeps to: the kernel takes over after a round of joins."""
+    return len(g) - 1
+
+
 @pytest.mark.parametrize("seed", range(3))
 def test_peeling(spark, seed):
     g = random_graph(seed, 7, 7, 30)
     e = frame(spark, g)
     for k, sigma in ((1, 0), (2, 0), (2, 4), (3, 6)):
         assert graph_of(truss.core(e, k, sigma)) == brute.core(g, k, sigma)
+        assert graph_of(truss.core(e, k, sigma, engine="joins")) == brute.core(g, k, sigma)
+    assert graph_of(truss.core(e, 2, 4, kernel_limit=brute_size(g))) == brute.core(g, 2, 4)
     assert graph_of(truss.core(e.repartition(7), 2, 4, hub_degree=2)) == brute.core(g, 2, 4)
     a = rows(truss.bitruss_numbers(e, "kernel"), "u", "v", "number")
     assert a == rows(truss.bitruss_numbers(e, "joins"), "u", "v", "number")
