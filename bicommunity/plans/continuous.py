@@ -15,7 +15,7 @@ from ..operators import community, dense, graph, hops, prune, score, support, sy
 from ..store import written
 from . import snapshot
 
-_RESULT = "qid string, center bigint, u bigint, v string, w bigint, radius int"
+RESULT = "qid string, center bigint, u bigint, v string, w bigint, radius int"
 
 
 def region(old: DataFrame, new: DataFrame, changes: DataFrame, r: int) -> DataFrame:
@@ -131,6 +131,14 @@ class CommunityEngine:
             self.cores[q.qid] = query_core(self.edges, self.item_kw, q, self.config)
         self.answers[q.qid] = self.snapshot(q)
 
+    def restore(self, edges: DataFrame, answers: dict[str, DataFrame], at: int) -> None:
+        """Go on from saved edges and answers of arrival ``at``; cores and auxiliary data are worked out again."""
+        self.edges, self.answers, self.at = edges, dict(answers), at
+        if self.config.policy == "exact":
+            self.cores = {qid: query_core(edges, self.item_kw, q, self.config) for qid, q in self.queries.items()}
+        if self.auxiliary:
+            self.aux = snapshot.initialise(edges, self.item_kw, self.config)
+
     def snapshot(self, q: CommunityQuery, dedupe: str | None = None) -> DataFrame:
         config = self.config if self.aux is not None else replace(self.config, candidates="core")
         return snapshot.run(self.edges, self.item_kw, q, config, self.aux, dedupe)

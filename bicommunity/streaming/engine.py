@@ -2,7 +2,8 @@
 
 Arrival numbers are given in ``foreachBatch``, where a micro-batch is a table: it is ordered, numbered after
 the arrivals so far and fed to the engine as ticks. State is a versioned folder per batch, and a
-pointer file names the last one; a batch that is replayed after a failure finds its version and does nothing.
+marker file ends a version. A batch that is replayed after a failure finds its version and does nothing, and a new
+process starts from the version before its first batch.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ from pyspark.sql.streaming import StreamingQuery
 
 from ..model import CommunityQuery, EngineConfig
 from ..operators.window import rank_updates
-from ..plans.continuous import CommunityEngine
+from ..plans.continuous import RESULT, CommunityEngine
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
@@ -26,6 +27,7 @@ class StreamingCommunities:
 
     engine: CommunityEngine
     state: str
+    last: int | None = None
 
     def _path(self, batch: int, what: str) -> str:
         return f"{self.state}/v={batch}/{what}"
@@ -38,10 +40,21 @@ class StreamingCommunities:
         where = spark._jvm.org.apache.hadoop.fs.Path(f"{self.state}/v={batch}/_DONE")
         where.getFileSystem(spark._jsc.hadoopConfiguration()).create(where, True).close()
 
+    def restore(self, spark: SparkSession, batch: int) -> None:
+        """Put the engine in the state that a batch has left."""
+        e = self.engine
+        edges = spark.read.schema("u bigint, v string, w bigint").parquet(self._path(batch, "edges"))
+        at = spark.read.schema("at bigint").parquet(self._path(batch, "at")).first().at
+        answers = {qid: spark.read.schema(RESULT).parquet(self._path(batch, f"results/{qid}")) for qid in e.queries}
+        e.restore(edges, answers, at)
+        self.last = batch
+
     def on_batch(self, rows: DataFrame, batch: int) -> None:
         spark = rows.sparkSession
         if self._done(spark, batch):
             return
+        if batch > 0 and self.last != batch - 1 and self._done(spark, batch - 1):
+            self.restore(spark, batch - 1)
         e = self.engine
         start, s = e.at, e.config.window
         ranked = rank_updates(rows.filter("u is not null and v is not null")).withColumn("t", F.col("t") + start)
@@ -55,7 +68,9 @@ class StreamingCommunities:
         e.edges.write.mode("overwrite").parquet(self._path(batch, "edges"))
         for qid in e.queries:
             e.results(qid).write.mode("overwrite").parquet(self._path(batch, f"results/{qid}"))
+        spark.range(1).select(F.lit(e.at).cast("bigint").alias("at")).write.mode("overwrite").parquet(self._path(batch, "at"))
         self._finish(spark, batch)
+        self.last = batch
 
     def start(self, rows: DataFrame, checkpoint: str, available_now: bool = True, interval: str = "10 seconds") -> StreamingQuery:
         trigger = {"availableNow": True} if available_now else {"processingTime": interval}

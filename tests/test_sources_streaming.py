@@ -113,6 +113,16 @@ def test_stream_equals_batches(spark, tmp_path):
     assert answers(runner.engine.results("q")) == answers(snapshot.run(now, kw, q))
     runner.on_batch(events(spark, rows[:3]).transform(streaming.interactions), 2)
     assert runner.engine.at == 24
+    # a new process on the same folders: more input goes on from the saved state
+    more = events(spark, [(i, 10 * i, i % 5, (i * 7) % 4) for i in range(24, 32)])
+    more.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    again, query = streaming.start(spark, str(tmp_path / "in"), base, kw, [q], str(tmp_path / "state"), str(tmp_path / "ck"), config)
+    query.awaitTermination()
+    assert query.exception() is None and again.engine.at == 32
+    up = up.unionByName(spark.read.parquet(str(tmp_path / "state/v=3/updates")))
+    now = graph.snapshot(base, up, 10, 32)
+    assert graph_of(now) == graph_of(again.engine.edges)
+    assert answers(again.engine.results("q")) == answers(snapshot.run(now, kw, q))
 
 
 def run_memory(spark, df, name, mode="append"):
