@@ -18,6 +18,7 @@ WINDOWS = (50, 100, 150, 200, 300, 500, 800, 1000)
 KS, RADII, SIGMAS = (3, 4, 5), (1, 2, 3), (1, 2, 3, 4, 5)
 QUERY_SIZES, DOMAINS, PER_ITEM = (2, 3, 5, 8, 10), (100, 200, 500, 800, 1000), (1, 2, 3, 4, 5)
 WEIGHT_CAPS, SHARES = (2, 3, 4), (2, 4, 6, 8, 10)
+LAYERS, LAYER = (10_000, 15_000, 25_000, 50_000, 100_000), 25_000
 DEFAULT = CommunityQuery(4, 2, 3, (), "default")
 WINDOW = 500
 

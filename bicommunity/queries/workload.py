@@ -40,7 +40,7 @@ def w1_vs_baseline_e(spark, sf):
 @reg("w2_window_e")
 def w2_window_e(spark, sf):
     base, up = stream(spark, sf)
-    return wl.sweep(wl.window_points(base, up, tables.graph(spark, sf, "E").item_kw, Q_BUSY, 1000, (50, 200, 500, 1000)))
+    return wl.sweep(wl.window_points(base, up, tables.graph(spark, sf, "E").item_kw, Q_BUSY, 1000))
 
 
 @reg("w3_k_c")
@@ -58,14 +58,14 @@ def w4_radius_c(spark, sf):
 @reg("w5_sigma_c")
 def w5_sigma_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
-    return wl.sweep([(s, e, kw, Q_C.but(sigma=s, r=1)) for s in (1, 3, 5)])
+    return wl.sweep([(s, e, kw, Q_C.but(sigma=s, r=1)) for s in wl.SIGMAS])
 
 
 @reg("w6_query_size_c")
 def w6_query_size_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
     q = CommunityQuery(5, 1, 5)
-    return wl.sweep([(n, e, kw, q.but(keywords=wl.sample_query(kw, n))) for n in (2, 5, 10)], answers=False)
+    return wl.sweep([(n, e, kw, q.but(keywords=wl.sample_query(kw, n))) for n in wl.QUERY_SIZES], answers=False)
 
 
 @reg("w7_domain_c")
@@ -73,7 +73,7 @@ def w7_domain_c(spark, sf):
     e, _ = _graph(spark, sf, "C")
     items = e.select("v").distinct()
     q = CommunityQuery(4, 1, 3, tuple(str(i) for i in range(20)))
-    return wl.sweep([(d, e, written(tables.integer_keywords(items, d, 3), "kw"), q) for d in (100, 500, 1000)], answers=False)
+    return wl.sweep([(d, e, written(tables.integer_keywords(items, d, 3), "kw"), q) for d in wl.DOMAINS], answers=False)
 
 
 _PER = ", ".join(f"({n})" for n in wl.PER_ITEM)
@@ -96,7 +96,7 @@ def w8_per_item_c(spark, sf):
     e, _ = _graph(spark, sf, "C")
     items = e.select("v").distinct()
     q = CommunityQuery(4, 1, 3, tuple(str(i) for i in range(20)))
-    return wl.sweep([(n, e, written(tables.integer_keywords(items, 500, n), "kw"), q) for n in (1, 3, 5)], answers=False)
+    return wl.sweep([(n, e, written(tables.integer_keywords(items, 500, n), "kw"), q) for n in wl.PER_ITEM], answers=False)
 
 
 @reg("w9_weight_cap_s")
@@ -108,13 +108,13 @@ def w9_weight_cap_s(spark, sf):
 @reg("w10_items_c")
 def w10_items_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
-    return wl.sweep([(p, e.filter(F.col("v").cast("bigint") % 10 < p), kw, Q_C.but(r=1)) for p in (2, 6, 10)], answers=False)
+    return wl.sweep([(p, e.filter(F.col("v").cast("bigint") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES], answers=False)
 
 
 @reg("w11_users_c")
 def w11_users_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
-    return wl.sweep([(p, e.filter(F.col("u") % 10 < p), kw, Q_C.but(r=1)) for p in (2, 6, 10)], answers=False)
+    return wl.sweep([(p, e.filter(F.col("u") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES], answers=False)
 
 
 @reg("w9_synthetic_weights_y")
@@ -123,6 +123,21 @@ def w9_synthetic_weights_y(spark, sf):
     return wl.sweep([wl.synthetic_point(spark, f"1-{hi}", q, n_users=2000, n_items=400, domain=60, weight_range=(1, hi)) for hi in wl.WEIGHT_CAPS], answers=False)
 
 
+Q_SIZES = CommunityQuery(1, 1, 1, tuple(str(i) for i in range(30)))
+
+
+@reg("w10_synthetic_items_y")
+def w10_synthetic_items_y(spark, sf):
+    """Item layers of the published sizes: the larger, the sparser."""
+    return wl.sweep([wl.synthetic_point(spark, n, Q_SIZES, n_users=wl.LAYER, n_items=n, domain=60) for n in wl.LAYERS], answers=False)
+
+
+@reg("w11_synthetic_users_y")
+def w11_synthetic_users_y(spark, sf):
+    """User layers of the published sizes: the larger, the more edges."""
+    return wl.sweep([wl.synthetic_point(spark, n, Q_SIZES, n_users=n, n_items=wl.LAYER, domain=60) for n in wl.LAYERS], answers=False)
+
+
 @reg("w11_synthetic_kinds_y")
 def w11_synthetic_kinds_y(spark, sf):
     q = CommunityQuery(2, 1, 2, tuple(str(i) for i in range(30)))
