@@ -167,3 +167,35 @@ def test_pipeline(spark):
     packed = cp.STAGES[-1][1](spark, now, sf)
     assert packed.filter("piece = 0").count() == counts[-1]
     assert [n for n, _ in cp.STAGES] == ["quality", "near_dedup", "substring_dedup", "mixing", "packing"]
+
+
+def test_near_dedup_finds_resemblance(spark):
+    """Groups of the stage against all pairs of exact five-word shingle sets, at both sides of 0.8."""
+    import corpus_pipeline as cp
+
+    def changed(words, at):
+        return [f"new{i}" if i in at else w for i, w in enumerate(words)]
+
+    rows, sets = [], {}
+    for g in range(12):
+        words = [f"g{g}w{i}" for i in range(104)]
+        for d in range(4):
+            rows.append((g * 10 + d, " ".join(changed(words, {7 + 20 * j for j in range(d + g % 2)}))))
+    rows += [(500, ""), (501, None), (502, "a b"), (503, "A  b"), (None, rows[0][1])]
+    for i, text in rows:
+        w = (text or "").lower().split()
+        sets[i] = {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if w else set()
+    ids, group = sorted(i for i, _ in rows if i is not None), {}
+    for i in ids:
+        group[i] = i
+    for i in ids:
+        for j in ids:
+            union = len(sets[i] | sets[j])
+            if i < j and len(sets[i] & sets[j]) * 5 >= union * 4:
+                low, high = sorted((group[i], group[j]))
+                group = {k: low if v == high else v for k, v in group.items()}
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    kept = [r.doc_id for r in cp.near_dedup(spark, docs, "").collect()]
+    assert sorted(k for k in kept if k is not None) == [i for i in ids if group[i] == i]
+    assert kept.count(None) == 1
+    assert cp.near_dedup(spark, docs.limit(0), "").count() == 0
