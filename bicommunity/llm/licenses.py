@@ -18,24 +18,35 @@ SENTENCES: dict[str, str] = {
     "mit_notice_3": "this project is licensed under the mit license",
     "mit_title": "the mit license mit",
     "mit_title_2": "mit license",
-    "mit_grant": "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software",
+    "mit_grant": "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions",
+    "mit_keep": "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software",
     "mit_as_is": "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and noninfringement",
     "mit_liability": "in no event shall the authors or copyright holders be liable for any claim damages or other liability whether in an action of contract tort or otherwise arising from out of or in connection with the software or the use or other dealings in the software",
     "apache_notice": "licensed under the apache license version 2 0",
     "apache_grant": "licensed under the apache license version 2 0 the license",
     "apache_comply": "you may not use this file except in compliance with the license",
     "apache_copy": "you may obtain a copy of the license at http www apache org licenses license 2 0 unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis without warranties or conditions of any kind either express or implied",
+    "apache_copy_s": "you may obtain a copy of the license at https www apache org licenses license 2 0 unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis without warranties or conditions of any kind either express or implied",
+    "apache_at": "you may obtain a copy of the license at",
+    "apache_url": "http www apache org licenses license 2 0",
+    "apache_url_s": "https www apache org licenses license 2 0",
+    "apache_at_url": "you may obtain a copy of the license at http www apache org licenses license 2 0",
+    "apache_at_url_s": "you may obtain a copy of the license at https www apache org licenses license 2 0",
+    "apache_unless": "unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis without warranties or conditions of any kind either express or implied",
     "apache_limits": "see the license for the specific language governing permissions and limitations under the license",
     "gpl3_notice": "this work is licensed under the gnu general public license version 3",
     "gpl2_notice": "this work is licensed under the gnu general public license version 2",
-    "gpl3_later": "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 3 of the license or at your option any later version",
-    "gpl2_later": "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 2 of the license or at your option any later version",
-    "gpl_no_warranty": "this program is distributed in the hope that it will be useful but without any warranty without even the implied warranty of merchantability or fitness for a particular purpose",
+    "gpl_free": "this program is free software",
+    "gpl3_later": "you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 3 of the license or at your option any later version",
+    "gpl2_later": "you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation either version 2 of the license or at your option any later version",
+    "gpl_hope": "this program is distributed in the hope that it will be useful but without any warranty",
+    "gpl_no_warranty": "without even the implied warranty of merchantability or fitness for a particular purpose",
     "gpl_details": "see the gnu general public license for more details",
     "bsd_grant": "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met",
     "bsd_source": "redistributions of source code must retain the above copyright notice this list of conditions and the following disclaimer",
     "bsd_binary": "redistributions in binary form must reproduce the above copyright notice this list of conditions and the following disclaimer in the documentation and or other materials provided with the distribution",
     "bsd_endorse": "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission",
+    "bsd_as_is": "this software is provided by the copyright holders and contributors as is and any express or implied warranties including but not limited to the implied warranties of merchantability and fitness for a particular purpose are disclaimed",
     "cc_by_nc_4": "licensed under cc by nc 4 0",
     "cc_by_4": "licensed under cc by 4 0",
     "cc_by_sa_4": "licensed under cc by sa 4 0",
@@ -52,14 +63,14 @@ RULES: list[tuple[str, tuple[str, ...]]] = [
     ("MIT", ("mit_notice",)),
     ("MIT", ("mit_notice_2",)),
     ("MIT", ("mit_notice_3",)),
-    ("MIT", ("mit_grant", "mit_as_is", "mit_liability")),
+    ("MIT", ("mit_grant", "mit_keep", "mit_as_is", "mit_liability")),
     ("Apache-2.0", ("apache_notice",)),
-    ("Apache-2.0", ("apache_grant", "apache_comply", "apache_copy", "apache_limits")),
+    *(("Apache-2.0", ("apache_grant", "apache_comply", *where, "apache_limits")) for s in ("", "_s") for where in ((f"apache_copy{s}",), (f"apache_at_url{s}", "apache_unless"), ("apache_at", f"apache_url{s}", "apache_unless"))),
     ("GPL-3.0-only", ("gpl3_notice",)),
     ("GPL-2.0-only", ("gpl2_notice",)),
-    ("GPL-3.0-or-later", ("gpl3_later", "gpl_no_warranty", "gpl_details")),
-    ("GPL-2.0-or-later", ("gpl2_later", "gpl_no_warranty", "gpl_details")),
-    ("BSD-2-Clause", ("bsd_grant", "bsd_source", "bsd_binary", "mit_as_is")),
+    ("GPL-3.0-or-later", ("gpl_free", "gpl3_later", "gpl_hope", "gpl_no_warranty", "gpl_details")),
+    ("GPL-2.0-or-later", ("gpl_free", "gpl2_later", "gpl_hope", "gpl_no_warranty", "gpl_details")),
+    ("BSD-2-Clause", ("bsd_grant", "bsd_source", "bsd_binary", "bsd_as_is")),
     ("BSD-3-Clause", ("bsd_grant", "bsd_source", "bsd_binary", "bsd_endorse")),
     ("CC-BY-NC-4.0", ("cc_by_nc_4",)),
     ("CC-BY-NC-4.0", ("cc_by_nc_4_long",)),
@@ -71,8 +82,13 @@ RULES: list[tuple[str, tuple[str, ...]]] = [
     ("all-rights-reserved", ("rights_reserved",)),
 ]
 
-#: A line that starts in lower case goes on with the sentence before (wrapped notices).
-WRAP = r"\n[ \t#*/]*([a-z(\"'])"
+#: Words that start a line within the sentences usually set in capitals.
+CAPITALS = sorted({w for i in ("mit_as_is", "mit_liability", "bsd_as_is", "apache_unless", "gpl_no_warranty") for w in SENTENCES[i].upper().split() if len(w) > 1} | {"GNU"})
+#: Names that start a line within a sentence.
+NAMES = (r"Version [23]\.0", r"License[,.]? (?:as|at|for|is|or) ", r"License\.", "Public License", "General Public", "Software (?:without|and|is) ", "(?:Free )?Software Foundation")
+#: A line that starts in lower case, or as one of these, goes on with the sentence before (wrapped
+#: notices); a blank line ends a sentence all the same.
+WRAP = rf"\n[ \t#*/]*([a-z(\"']|(?:{'|'.join(CAPITALS)})\b|A [A-Z][A-Z]|{'|'.join(NAMES)})"
 #: Ends of sentences; a line also ends one.
 STOP = r"([.!?;:])[ \t\n]+"
 MARK = "\x01"

@@ -259,3 +259,83 @@ def test_licenses(spark, docs, none):
     known = set(licenses.SENTENCES)
     assert all(set(r) <= known for _, r in licenses.RULES)
     assert all(licenses.normalise(s) == s for s in licenses.SENTENCES.values())
+
+
+MIT = """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE."""
+APACHE = """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License."""
+GPL3 = """This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details."""
+GPL2 = GPL3.replace("software: you", "software; you").replace("version 3", "version 2")
+BSD = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+%s
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED."""
+BSD2, BSD3 = BSD % "", BSD % """
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+"""
+
+
+def test_licenses_of_whole_texts(spark):
+    """Every rule fires: whole texts wrapped, as comments and on one line; notices on a line between others."""
+    import duckdb
+
+    from bicommunity.llm import licenses
+
+    rows = []
+    for name, text in [("MIT", MIT), ("Apache-2.0", APACHE), ("GPL-3.0-or-later", GPL3), ("GPL-2.0-or-later", GPL2), ("BSD-2-Clause", BSD2), ("BSD-3-Clause", BSD3)]:
+        comment = "/*\n" + "\n".join(f" * {line}".rstrip() for line in text.split("\n")) + "\n */"
+        rows += [(name, t) for t in (text, comment, " ".join(text.split()), text.replace("2.0\n\nUnless", "2.0 Unless").replace("at\n\n ", "at\n"), text.replace("http:", "https:"))]
+    rows += [(name, f"Some words\n{licenses.SENTENCES[only[0]].capitalize()}\nOther words") for name, only in licenses.RULES if len(only) == 1]
+    docs = spark.createDataFrame([(i, t) for i, (_, t) in enumerate(rows)], "doc_id bigint, text string")
+    got = {r.doc_id: r for r in licenses.scan(docs).collect()}
+    assert [(i, rows[i][0], got[i].licenses) for i in range(len(rows)) if got[i].licenses != [rows[i][0]]] == []
+    con = duckdb.connect()
+    con.execute("CREATE TABLE documents (doc_id BIGINT, text VARCHAR)")
+    con.executemany("INSERT INTO documents VALUES (?, ?)", [(i, t) for i, (_, t) in enumerate(rows)])
+    said = {r[0]: r[1:] for r in con.execute(licenses.scan_sql()).fetchall()}
+    assert said == {i: (",".join(r.licenses), r.rules, ",".join(r.sentences)) for i, r in got.items()}
