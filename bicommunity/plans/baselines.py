@@ -42,12 +42,12 @@ def recompute_stream(base: DataFrame, updates: DataFrame, item_kw: DataFrame, q:
     return out
 
 
-def bicliques(edges: DataFrame, min_users: int = 3, min_items: int = 4, max_users: int = 4) -> DataFrame:
-    """``users, items``: maximal complete blocks of ``min_users`` to ``max_users`` users that share
-    at least ``min_items`` items.
+def bicliques(edges: DataFrame, min_users: int = 3, min_items: int = 4, max_users: int | None = None) -> DataFrame:
+    """``users, items``: maximal complete blocks of ``min_users`` users or more (at most ``max_users``, if
+    given) that share at least ``min_items`` items.
 
     Sets of users grow by one user at a time through pairs that share enough items; a set
-    stays if no larger set has the same items.
+    stays if no larger set has the same items. Without ``max_users`` they grow until none is left.
     """
     own = edges.groupBy("u").agg(F.array_sort(F.collect_set("v")).alias("vs"))
     own = written(own.filter(F.size("vs") >= min_items), "items-by-user")
@@ -57,7 +57,9 @@ def bicliques(edges: DataFrame, min_users: int = 3, min_items: int = 4, max_user
     pairs = written(a.join(b, "v").filter("ui < uj").groupBy("ui", "uj").agg(F.array_sort(F.collect_set("v")).alias("vs")).filter(F.size("vs") >= min_items), "strong-pairs")
     level = pairs.select(F.array("ui", "uj").alias("users"), "vs")
     found = level
-    for _ in range(3, max_users + 2):
+    size = 2
+    while (max_users is None or size <= max_users) and level.limit(1).count():
+        size += 1
         grown = level.join(pairs.select(F.col("ui").alias("last"), F.col("uj").alias("next"), F.col("vs").alias("more")), F.element_at("users", -1) == F.col("last"))
         level = grown.select(F.concat("users", F.array("next")).alias("users"), F.array_intersect("vs", "more").alias("vs")).filter(F.size("vs") >= min_items)
         level = written(level.select("users", F.array_sort("vs").alias("vs")), "bicliques")
@@ -66,5 +68,5 @@ def bicliques(edges: DataFrame, min_users: int = 3, min_items: int = 4, max_user
     # a set is maximal if its items' common users are just its users: a larger set with the same items shows it isn't
     larger = within.select((F.col("n") - 1).alias("n"), F.col("vs"), F.col("users").alias("bigger"))
     covered = within.join(larger, ["n", "vs"]).filter(F.size(F.array_except("users", "bigger")) == 0).select("users").distinct()
-    maximal = within.join(covered, "users", "left_anti").filter((F.col("n") >= min_users) & (F.col("n") <= max_users))
+    maximal = within.join(covered, "users", "left_anti").filter((F.col("n") >= min_users) & (F.col("n") <= (F.col("n") if max_users is None else max_users)))
     return maximal.select("users", F.col("vs").alias("items"))

@@ -210,6 +210,13 @@ def x6_bicliques_c(spark, sf):
     return baselines.bicliques(e, 2, 3, 2).agg(F.count("*").alias("blocks"), F.sum(F.size("items")).alias("items"))
 
 
+@reg("x6_bicliques_3x4_c")
+def x6_bicliques_3x4_c(spark, sf):
+    """The published block: 3 users or more that share 4 items or more."""
+    e, _ = mine(spark, sf, "C", Q_C)
+    return baselines.bicliques(e, 3, 4).select(F.concat_ws(",", "users").alias("users"), F.concat_ws(",", "items").alias("items"))
+
+
 @reg("r3_pruning_power_e")
 def r3_pruning_power_e(spark, sf):
     leaf = parts(spark, sf)[2]

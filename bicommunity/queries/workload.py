@@ -173,7 +173,7 @@ def w13_case_study_c(spark, sf):
     mine = written(prune.keyword(e, kw, Q_C.keywords), "filtered")
     core = truss.core(mine, Q_C.k, Q_C.sigma)
     comm = written(community.dedupe(written(community.extract(core, Q_C), "communities")), "distinct")
-    return measures.case_study(mine, comm, written(baselines.bicliques(core, 2, 3, 3), "blocks"))
+    return measures.case_study(mine, comm, written(baselines.bicliques(core, 2, 3), "blocks"))
 
 
 @reg("w14_time_windows_e", "WITH x AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS d, user_id AS u, event_type || ':' || json_extract_string(props, '$.k') AS v, CAST(count(*) AS BIGINT) AS w FROM events WHERE event_type = 'click' GROUP BY ALL) SELECT CAST(epoch(d) AS BIGINT) AS start, CAST(count(*) AS BIGINT) AS edges, CAST(sum(w) AS BIGINT) AS weight FROM x GROUP BY d")

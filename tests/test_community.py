@@ -156,3 +156,9 @@ def test_bicliques(spark):
     got = [(tuple(r["users"]), tuple(r["items"])) for r in baselines.bicliques(frame(spark, g), 3, 4).collect()]
     assert got == [((1, 2, 3), ("a", "b", "c", "d"))]
     assert graph_of(frame(spark, g))
+
+
+def test_bicliques_of_many_users(spark):
+    g = {(u, v): 1 for u in range(6) for v in range(5)} | {(u, v): 1 for u in (6, 7) for v in range(10, 14)}
+    got = {(tuple(r["users"]), len(r["items"])) for r in baselines.bicliques(frame(spark, g), 2, 4).collect()}
+    assert got == {((0, 1, 2, 3, 4, 5), 5), ((6, 7), 4)}
