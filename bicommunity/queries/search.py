@@ -125,10 +125,10 @@ def q4_contained_c(spark, sf):
     return answer(community.dedupe(found(spark, sf, Q_C, "C"), "contained"))
 
 
-def _engine(spark, sf, policy, queries=Q_STREAM, until=200, name="E"):
+def _engine(spark, sf, policy, queries=Q_STREAM, name="E"):
     base, up = stream(spark, sf)
     kw = tables.graph(spark, sf, name).item_kw
-    return continuous.run(base, up, kw, queries, EngineConfig(window=500, tick=100, policy=policy), until)
+    return continuous.run(base, up, kw, queries, EngineConfig(window=500, tick=100, policy=policy))
 
 
 @reg("q5_continuous_e")
@@ -150,7 +150,7 @@ def q5_changes_e(spark, sf):
 def q6_many_e(spark, sf):
     base, up = stream(spark, sf)
     wanted = spark.createDataFrame([("a", 4, 1, 3, ["d1"]), ("b", 5, 1, 5, ["d2", "m6"])], "qid string, k int, r int, sigma bigint, kws array<string>")
-    engine = continuous.run_many(base, up, tables.graph(spark, sf, "E").item_kw, wanted, EngineConfig(tick=100), 100)
+    engine = continuous.run_many(base, up, tables.graph(spark, sf, "E").item_kw, wanted, EngineConfig(tick=100))
     return answer(engine.results("a").unionByName(engine.results("b")))
 
 
@@ -190,7 +190,7 @@ def x2_exhaustive_e(spark, sf):
 @reg("x3_recompute_e")
 def x3_recompute_e(spark, sf):
     base, up = stream(spark, sf)
-    ticks = baselines.recompute_stream(base, up, tables.graph(spark, sf, "E").item_kw, Q_STREAM, EngineConfig(window=500, tick=100), 200)
+    ticks = baselines.recompute_stream(base, up, tables.graph(spark, sf, "E").item_kw, Q_STREAM, EngineConfig(window=500, tick=100))
     out = None
     for t, df in ticks:
         row = answer(df).withColumn("t", F.lit(t))

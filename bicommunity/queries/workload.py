@@ -32,8 +32,8 @@ def w1_vs_baseline_e(spark, sf):
     base, up = stream(spark, sf)
     kw = tables.graph(spark, sf, "E").item_kw
     config = EngineConfig(window=500, tick=100)
-    mine = continuous.run(base, up, kw, Q_BUSY, config, 100).results("busy")
-    other = baselines.recompute_stream(base, up, kw, Q_BUSY, config, 100, "trussness")[-1][1]
+    mine = continuous.run(base, up, kw, Q_BUSY, config).results("busy")
+    other = baselines.recompute_stream(base, up, kw, Q_BUSY, config, by="trussness")[-1][1]
     return measures.agreement(mine, other)
 
 

@@ -141,3 +141,12 @@ def test_vertices_stay(spark):
     e = frame(spark, {(1, "a"): 1})
     gone = graph.apply_updates(e, e.limit(0), e)
     assert gone.count() == 0 and graph.vertices(e).count() == 2
+
+
+def test_query_feeds_the_whole_stream(spark):
+    """The last tick of the registered query is the last arrival of the stream."""
+    from bicommunity.queries import search
+    from bicommunity.queries.graphs import stream
+
+    sf = "/root/testdata/sf0.001"
+    assert search._engine(spark, sf, "exact").at == stream(spark, sf)[1].count()
