@@ -3,26 +3,24 @@
 from __future__ import annotations
 
 import heapq
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .store import written
 
 TABLES = 4
-#: Hash functions of a table and buckets a query visits in it, for up to BASE_ROWS vectors;
-#: above, one more function and GROW times the probes for each STEP times the rows.
-FUNCTIONS, PROBES, BASE_ROWS, STEP, GROW = 8, 90, 50_000, 4.0, 1.4
+#: Hash functions of a table and buckets a query visits in it. Recall doesn't depend on the number of rows.
+FUNCTIONS, PROBES = 8, 90
 #: Width of a cell, in standard deviations of a projection.
 WIDTH = 2.5
 #: Vectors the cell width is fitted on: those with the smallest hash of their id.
 FIT_ROWS = 2000
-#: Vectors of a bucket that are compared with a probe at a time.
-CHUNK = 4096
+#: Vectors of a bucket, and queries that visit it, that meet in one cell on average.
+CHUNK, BLOCK = 2048, 512
 #: Queries whose results a task holds before it hands them on.
 HELD = 20_000
 
@@ -82,8 +80,8 @@ def _rows(name: str, ids: np.ndarray, table: int, bucket: np.ndarray, x: np.ndar
 
 
 def _nearest(rows: DataFrame, dim: int, keep: int) -> DataFrame:
-    """``rows`` (tbl, bucket, chunk, probe, id, vec; vectors of a chunk before its
-    probes) -> ``query, id, d2``: the nearest ``keep`` of each query that a task saw."""
+    """``rows`` (tbl, bucket, chunk, block, probe, id, vec; vectors of a cell before its
+    queries) -> ``query, id, d2``: the nearest ``keep`` of each query that a task saw."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -98,11 +96,11 @@ def _nearest(rows: DataFrame, dim: int, keep: int) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            tbl, bucket, chunk, probe, own = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(5))
-            x = _matrix(batch.column(5), dim)
-            cut = np.flatnonzero((tbl[1:] != tbl[:-1]) | (bucket[1:] != bucket[:-1]) | (chunk[1:] != chunk[:-1]) | (probe[1:] != probe[:-1])) + 1
+            tbl, bucket, chunk, block, probe, own = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(6))
+            x = _matrix(batch.column(6), dim)
+            cut = np.flatnonzero((tbl[1:] != tbl[:-1]) | (bucket[1:] != bucket[:-1]) | (chunk[1:] != chunk[:-1]) | (block[1:] != block[:-1]) | (probe[1:] != probe[:-1])) + 1
             for a, b in zip(np.r_[0, cut], np.r_[cut, batch.num_rows]):
-                if (now := (tbl[a], bucket[a], chunk[a])) != key:
+                if (now := (tbl[a], bucket[a], chunk[a], block[a])) != key:
                     key, ids, vecs = now, [], []
                 if not probe[a]:
                     ids.append(own[a:b])
@@ -130,18 +128,21 @@ def _nearest(rows: DataFrame, dim: int, keep: int) -> DataFrame:
                     yield from handed()
         yield from handed()
 
-    ready = rows.repartition("tbl", "bucket", "chunk").sortWithinPartitions("tbl", "bucket", "chunk", "probe")
-    return ready.select("tbl", "bucket", "chunk", "probe", "id", "vec").mapInArrow(run, "query long, id long, d2 double")
+    cell = ["tbl", "bucket", "chunk", "block"]
+    ready = rows.repartition(*cell).sortWithinPartitions(*cell, "probe")
+    return ready.select(*cell, "probe", "id", "vec").mapInArrow(run, "query long, id long, d2 double")
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, seed: int = 42, chunk: int = CHUNK) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, seed: int = 42, functions: int = FUNCTIONS, probes: int = PROBES, chunk: int = CHUNK, block: int = BLOCK) -> DataFrame:
     """``query_id, rank, vec_id, score`` for tables of ``vec_id, embedding``.
 
     Distinct vectors are searched, so copies cost one search: a class of equal vectors is
     one point with its k + 1 smallest ids. Every vector is in a bucket of each table; a query visits its
-    own and the likeliest neighbouring buckets, in chunks of bounded size, and exact
+    own and the likeliest neighbouring buckets. A bucket's vectors and its queries are dealt to a grid of cells of bounded size,
+    so neither a hot bucket nor a much-asked one falls to one task, and exact
     distances are taken in double precision. Queries that find too few points search all
-    chunks. Vectors that are null, zero, hold a null or a value that isn't finite, or whose
+    chunks. ``functions`` and ``probes`` set recall and work: more functions make smaller buckets, of which more are to be
+    probed. Vectors that are null, zero, hold a null or a value that isn't finite, or whose
     length isn't the commonest one (the greatest, among equals) take no part. Ties go to the smaller
     vec_id; repeated query ids are asked once; empty tables give an empty result.
     """
@@ -165,8 +166,6 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, seed: int = 42,
     wanted = base.join(asked.select("id").distinct(), "id", "left_semi")
 
     n = classes.count()
-    more = max(0, math.ceil(math.log(max(1, n) / BASE_ROWS) / math.log(STEP)))
-    functions, probes = FUNCTIONS + more, math.ceil(PROBES * GROW**more)
     sample = np.array([r.vec for r in base.orderBy(F.xxhash64("id"), "id").limit(FIT_ROWS).collect()], np.float64)
     spread = float(np.sqrt(((sample - sample.mean(axis=0)) ** 2).sum(axis=1).mean())) or float(np.abs(sample).max())
     hashes = _Hashes(dim, functions, WIDTH * spread, seed)
@@ -185,16 +184,21 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, seed: int = 42,
                 cells = np.floor(placed)
                 for i in range(len(ids)):
                     shifts = probe_order(placed[i] - cells[i], probes)
-                    yield _rows("id", np.full(len(shifts), ids[i]), t, hashes.bucket(cells[i] + shifts), np.repeat(x[i : i + 1], len(shifts), axis=0))
+                    at = np.unique(hashes.bucket(cells[i] + shifts))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), t, np.int32)), pa.array(at), pa.array(np.full(len(at), ids[i]))], names=["tbl", "bucket", "id"])
 
-    schema = "tbl int, bucket long, id long, vec array<double>"
-    entries = base.mapInArrow(index, schema)
-    sought = wanted.mapInArrow(ask, schema)
-    buckets = written(entries.groupBy("tbl", "bucket").agg(F.ceil(F.count("*") / chunk).alias("chunks")), "buckets")
+    entries = base.mapInArrow(index, "tbl int, bucket long, id long, vec array<double>")
+    sought = written(wanted.mapInArrow(ask, "tbl int, bucket long, id long"), "sought")
+    asks = sought.groupBy("tbl", "bucket").agg(F.ceil(F.count("*") / block).alias("blocks"))
+    buckets = written(entries.groupBy("tbl", "bucket").agg(F.ceil(F.count("*") / chunk).alias("chunks")).join(asks, ["tbl", "bucket"]), "buckets")
 
     def met(entries: DataFrame, sought: DataFrame, buckets: DataFrame) -> DataFrame:
-        left = entries.join(buckets, ["tbl", "bucket"]).select("tbl", "bucket", F.expr("pmod(xxhash64(id), chunks)").alias("chunk"), F.lit(0).alias("probe"), "id", "vec")
-        right = sought.join(buckets, ["tbl", "bucket"]).select("tbl", "bucket", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)).alias("chunk"), F.lit(1).alias("probe"), "id", "vec")
+        def every(n: str) -> Column:
+            return F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+
+        left = entries.join(buckets, ["tbl", "bucket"]).select("tbl", "bucket", F.expr("pmod(xxhash64(id), chunks)").alias("chunk"), every("blocks").alias("block"), F.lit(0).alias("probe"), "id", "vec")
+        right = sought.join(buckets, ["tbl", "bucket"]).select("tbl", "bucket", every("chunks").alias("chunk"), F.expr("pmod(xxhash64(id, 1), blocks)").alias("block"), "id")
+        right = right.join(wanted, "id").select("tbl", "bucket", "chunk", "block", F.lit(1).alias("probe"), "id", "vec")
         found = _nearest(left.unionByName(right), dim, k + 1).dropDuplicates(["query", "id"])
         nth = F.row_number().over(Window.partitionBy("query").orderBy("d2", "id"))
         return found.withColumn("nth", nth).filter(F.col("nth") <= k + 1).drop("nth")
@@ -204,10 +208,11 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, seed: int = 42,
     short = written(wanted.join(enough, "id", "left_anti"), "short")
     if short.limit(1).count():
         chunks = max(1, -(-n // chunk))
-        blocks = spark.range(chunks).select(F.lit(0).alias("tbl"), F.col("id").alias("bucket"), F.lit(1).cast("long").alias("chunks"))
+        blocks = max(1, -(-short.count() // block))
+        cells = spark.range(chunks).select(F.lit(0).alias("tbl"), F.col("id").alias("bucket"), F.lit(1).cast("long").alias("chunks"), F.lit(blocks).cast("long").alias("blocks"))
         everything = base.select(F.lit(0).alias("tbl"), F.expr(f"pmod(xxhash64(id), {chunks})").alias("bucket"), "id", "vec")
-        everywhere = short.select(F.lit(0).alias("tbl"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(chunks - 1).cast("long"))).alias("bucket"), "id", "vec")
-        rest = written(met(everything, everywhere, blocks), "found-all")
+        everywhere = short.select(F.lit(0).alias("tbl"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(chunks - 1).cast("long"))).alias("bucket"), "id")
+        rest = written(met(everything, everywhere, cells), "found-all")
         found = found.join(short.select(F.col("id").alias("query")), "query", "left_anti").unionByName(rest)
     named = found.join(classes.select("id", "members"), "id").select("query", F.sqrt("d2").alias("score"), F.explode("members").alias("vec_id"))
     nth = F.row_number().over(Window.partitionBy("query").orderBy("score", "vec_id"))

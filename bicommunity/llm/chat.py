@@ -94,5 +94,24 @@ def log_of_turns(conversations: DataFrame) -> DataFrame:
     return conversations.select("conv_id", nth.alias("seq"), F.lit("message").alias("event"), nth.cast("string").alias("message_id"), "role", "text")
 
 
+def streamed(log: DataFrame) -> DataFrame:
+    """A log of finished messages as a service would have written it: an assistant's message is a draft that is regenerated in
+    two deltas, a user's message is a draft that is edited, any other one comes in two parts. Folding gives the finished
+    messages back."""
+    text = F.coalesce("text", F.lit(""))
+    half = F.floor(F.length(text) / 2).cast("int")
+    front, back = F.substring(text, F.lit(1), half), F.substring(text, half + 1, F.length(text))
+
+    def event(name: str, part: Column) -> Column:
+        return F.struct(F.lit(name).alias("event"), part.alias("text"))
+
+    answer = F.array(event("message", back), event("regenerate", F.lit("")), event("delta", front), event("delta", back))
+    question = F.array(event("message", front), event("edit", text))
+    other = F.array(event("message", front), event("delta", back))
+    events = F.when(F.col("role") == LOSS_ROLE, answer).when(F.col("role") == "user", question).otherwise(other)
+    out = log.filter("event = 'message'").select("conv_id", "seq", "message_id", "role", F.posexplode(events).alias("at", "e"))
+    return out.select("conv_id", (F.col("seq") * 4 + F.col("at")).alias("seq"), F.col("e.event"), "message_id", "role", F.col("e.text"))
+
+
 def sha256(text: Column) -> Column:
     return F.sha2(F.encode(text, "UTF-8"), 256)

@@ -10,22 +10,22 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from .joins import met
 from .store import written
 from .textkern import slices
 
 BITS = 15
 CHAR_N = (1, 2, 3)
-#: Labelled texts the model is fitted on at most: those with the smallest hash of their id.
-MAX_TRAINING_ROWS = 2000
+#: Labelled texts of each language that the model is fitted on at most: those with the smallest hash of their id.
+MAX_TRAINING_ROWS = 500
 #: A text counts as so many independent n-grams at most.
 STRENGTH = 60.0
 #: Weight, in documents, of the level above in each smoothed prior.
 SMOOTHING = 5.0
-#: Tasks that the rows of one host, domain or suffix are dealt to.
-SALTS = 32
 
 _DROP = re.compile(rb"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>")
 _LETTERS = re.compile(rb"[^A-Za-z\x80-\xff]+")
@@ -70,11 +70,14 @@ class TextModel:
 
 
 def train(docs: DataFrame, max_rows: int = MAX_TRAINING_ROWS) -> TextModel:
-    """n-gram frequencies by language over at most ``max_rows`` labelled texts, summed on
-    the executors: the driver gets a row for each language and hashed n-gram. Rows without text or language take no part."""
+    """n-gram frequencies by language over at most ``max_rows`` labelled texts of each, summed on
+    the executors: the driver gets a row for each language and hashed n-gram. Every language of the table is a class, however rare.
+    Rows without text, language or doc_id take no part; of repeated rows each counts. A table with no labelled row gives a
+    model without languages."""
     rows = docs.filter("text is not null and lang is not null and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text")
-    ids = rows.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    chosen = rows.join(F.broadcast(ids), "doc_id")
+    nth = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
+    ids = rows.select("doc_id", "lang").distinct().withColumn("nth", nth).filter(F.col("nth") <= max_rows).drop("nth")
+    chosen = rows.join(ids, ["doc_id", "lang"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
@@ -97,14 +100,15 @@ def train(docs: DataFrame, max_rows: int = MAX_TRAINING_ROWS) -> TextModel:
 
 
 def page_evidence(pages: DataFrame) -> DataFrame:
-    """Pages as ``id, text (html), markup, declared, host``."""
-    declared = F.lower(F.regexp_extract("html", r"(?i)<html\b[^>]{0,500}?\blang\s*=\s*[\"']?([a-z]{2,3})\b", 1))
+    """Pages as ``id, text (html), markup, declared, host``: a row per page. declared is the language code of the html tag, in lower
+    case; host that of the address. Both are null where they are missing or can't be read."""
+    declared = F.lower(F.regexp_extract("html", r"(?i)<html\b[^>]*?\blang\s*=\s*[\"']?([a-z]{2,3})\b", 1))
     host = F.lower(F.call_function("try_parse_url", F.col("url"), F.lit("HOST")))
     return pages.select(F.col("page_id").cast("long").alias("id"), F.col("html").alias("text"), F.lit(True).alias("markup"), F.when(declared != "", declared).alias("declared"), host.alias("host"))
 
 
 def document_evidence(docs: DataFrame) -> DataFrame:
-    """Documents as ``id, text, markup, declared, host``: the source stands for the host."""
+    """Documents as ``id, text, markup, declared, host``, a row per document: the source stands for the host (null: none)."""
     return docs.select(F.col("doc_id").cast("long").alias("id"), "text", F.lit(False).alias("markup"), F.lit(None).cast("string").alias("declared"), F.lower(F.col("source").cast("string")).alias("host"))
 
 
@@ -123,41 +127,46 @@ def identify(rows: DataFrame, model: TextModel, smoothing: float = SMOOTHING) ->
     a language's pages declare each code and have each address suffix, and priors of
     host, domain, suffix and corpus, each smoothed towards the next wider one; a row's own counts are
     taken out of its priors. The posterior multiplies all of it. A missing evidence counts as
-    no evidence; a row with none gets the commonest language. A row per input row; an empty
-    table gives an empty result. Host groups are only summed and joined, so a hot host is pre-aggregated.
+    no evidence; a row with none gets the commonest language. A row per input row, repeated ones too; an empty
+    table gives an empty result; a model without languages gives nulls. Groups are pre-aggregated, hot hosts (a thousand at
+    most) are broadcast, and columns of any name are handed on.
     """
     keep = [f for f in rows.schema.fields if f.name != "text"]
     names, languages = [f.name for f in keep], model.languages
+    if not languages:
+        return rows.select(*names, F.lit(None).cast("string").alias("text_lang"), F.lit(None).cast("string").alias("lang"), F.lit(None).cast("double").alias("probability"))
+    size = range(len(languages))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
             markup = piece.column("markup").to_pylist()
             logs = [model.likelihood(visible(t) if m else t).tolist() for t, m in zip(texts, markup)]
-            yield pa.RecordBatch.from_arrays([*(piece.column(c) for c in names), pa.array(logs, pa.list_(pa.float64()))], names=[*names, "logs"])
+            yield pa.RecordBatch.from_arrays([piece.column("row"), pa.array(logs, pa.list_(pa.float64()))], names=["row", "logs"])
 
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keep)
-    scored = rows.mapInArrow(run, f"{schema}, logs array<double>")
-    soft = _softmax([F.col("logs")[k] for k in range(len(languages))])
-    known = F.when(F.col("declared").isin(*languages), F.col("declared")).when(F.col("declared").isNotNull(), F.lit("other"))
-    scored = scored.withColumn("soft", F.array(*soft)).withColumn("code", known)
-    labels = F.split("host", r"\.")
-    n = F.size(labels)
-    scored = scored.withColumn("suffix", F.when(n > 1, F.element_at(labels, -1))).withColumn("domain", F.when(n > 1, F.concat_ws(".", F.slice(labels, F.greatest(n - 1, F.lit(1)), 2))))
-    scored = written(scored, "language-evidence")
+    packed = rows.select("text", "markup", F.struct(*names).alias("row"))
+    scored = packed.mapInArrow(run, T.StructType([T.StructField("row", T.StructType(keep)), T.StructField("logs", T.ArrayType(T.DoubleType()))]))
+    soft = _softmax([F.col("logs")[k] for k in size])
+    declared, host = F.col("row.declared"), F.col("row.host")
+    known = F.when(declared.isin(*languages), declared).when(declared.isNotNull(), F.lit("other"))
+    scored = written(scored.select("row", "logs", F.array(*soft).alias("soft"), known.alias("code"), host.alias("host")), "language-evidence")
 
-    def sums(key: str | None, name: str) -> DataFrame:
-        own = scored.filter(F.col(key).isNotNull()).groupBy(F.col(key).alias(f"k_{name}")) if key else scored.groupBy()
-        return own.agg(F.array(*[F.sum(F.col("soft")[k]) for k in range(len(languages))]).alias(name))
+    def added(groups: DataFrame, key: str, name: str, value: str) -> DataFrame:
+        """Sums of the arrays in ``value`` by group, and the number of rows."""
+        sums = F.array(*[F.sum(F.col(value)[k]) for k in size]).alias(name)
+        return groups.filter(F.col(key).isNotNull()).groupBy(key).agg(sums, F.count("*").alias("n"))
 
-    corpus = sums(None, "corpus").first()[0]
+    corpus = scored.agg(F.array(*[F.sum(F.col("soft")[k]) for k in size])).first()[0]
     base = [float(x or 0.0) + 1.0 for x in corpus]
-    out = scored.join(F.broadcast(sums("code", "by_code")), F.col("code") == F.col("k_by_code"), "left").drop("k_by_code")
-    # a group's sums stand once for each salt, so that the rows of a hot host go to many tasks
-    salts = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long")))
-    out = out.withColumn("salt", F.pmod(F.xxhash64("id", "logs"), F.lit(SALTS)))
-    for key, name in (("host", "by_host"), ("domain", "by_domain"), ("suffix", "by_suffix")):
-        group = sums(key, name).withColumn(f"s_{name}", salts)
-        out = out.join(group, (F.col(key) == F.col(f"k_{name}")) & (F.col("salt") == F.col(f"s_{name}")), "left").drop(f"k_{name}", f"s_{name}")
+    # one row a host, with the sums of its domain and suffix beside its own
+    labels = F.split("host", r"\.")
+    n = F.size(labels)
+    hosts = added(scored, "host", "by_host", "soft").withColumnRenamed("n", "pages")
+    hosts = written(hosts.withColumn("suffix", F.when(n > 1, F.element_at(labels, -1))).withColumn("domain", F.when(n > 1, F.concat_ws(".", F.slice(labels, F.greatest(n - 1, F.lit(1)), 2)))), "hosts")
+    n_hosts = hosts.count()
+    for key, name in (("domain", "by_domain"), ("suffix", "by_suffix")):
+        hosts = written(met(hosts, written(added(hosts, key, name, "by_host"), name), [key], "n", n_hosts, how="left"), f"hosts-{key}")
+    out = met(scored, hosts.drop("domain", "suffix"), ["host"], "pages", scored.count(), how="left")
+    out = out.join(F.broadcast(added(scored, "code", "by_code", "soft").drop("n")), "code", "left")
     total = sum(base)
     prior = [F.lit(b / total) for b in base]
     logs = [F.col("logs")[k] for k in range(len(languages))]
@@ -182,4 +191,4 @@ def identify(rows: DataFrame, model: TextModel, smoothing: float = SMOOTHING) ->
     def best(column: str) -> Column:
         return F.element_at(codes, F.array_position(F.col(column), F.array_max(column)).cast("int"))
 
-    return out.select(*names, best("soft").alias("text_lang"), best("post").alias("lang"), F.array_max("post").alias("probability"))
+    return out.select("row.*", best("soft").alias("text_lang"), best("post").alias("lang"), F.array_max("post").alias("probability"))

@@ -19,8 +19,6 @@ WORD = r"[^\x20\x09-\x0D]+"
 FAN = 24
 #: Documents whose sizes differ by less than this factor meet first.
 SIZE_STEP = 1.1
-#: A source of few documents is rounded several times; the try nearest its target stays.
-TRIES, FEW = 16, 4096
 
 
 def word_count(text: Column | str) -> Column:
@@ -39,12 +37,13 @@ def targets(sizes: DataFrame, weights: Sequence[int], share: float, most: int) -
     total = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_docs"))
     order = Window.orderBy(F.col("source").asc_nulls_last())
     ranked = total.withColumn("w", F.element_at(F.array(*[F.lit(int(w)) for w in weights]), ((F.row_number().over(order) - 1) % len(weights) + 1).cast("int")).cast("long")).withColumn("cap", F.col("source_size") * most)
-    below = Window.orderBy((F.col("cap") / F.col("w")), F.col("source").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, -1)
+    by_limit = Window.orderBy((F.col("cap") / F.col("w")), F.col("source").asc_nulls_last())
+    below = by_limit.rowsBetween(Window.unboundedPreceding, -1)
     everything = Window.partitionBy(F.lit(1))
     level = (F.sum("source_size").over(everything) * F.lit(float(share)) - F.coalesce(F.sum("cap").over(below), F.lit(0))) / (F.sum("w").over(everything) - F.coalesce(F.sum("w").over(below), F.lit(0)))
     # along the order, the limit is met as long as a source's share of what is left is at least its limit
-    filled = ranked.withColumn("level", level).withColumn("open", F.col("w") * F.col("level") < F.col("cap"))
-    shared = F.min(F.when(F.col("open"), F.struct(F.col("cap") / F.col("w"), F.col("level")))).over(everything)
+    filled = ranked.withColumn("level", level).withColumn("nth", F.row_number().over(by_limit)).withColumn("open", F.col("w") * F.col("level") < F.col("cap"))
+    shared = F.min(F.when(F.col("open"), F.struct("nth", "level"))).over(everything)
     final = filled.withColumn("final", shared["level"])
     return final.select("source", "source_size", "n_docs", F.when(F.col("open") & F.col("final").isNotNull(), F.least(F.col("w") * F.col("final"), F.col("cap").cast("double"))).otherwise(F.col("cap").cast("double")).alias("target"))
 
@@ -79,23 +78,25 @@ def _meet(units: Column, seed: Column) -> Column:
 def mix(docs: DataFrame, weights: Sequence[int] = (3, 1, 2), share: float = 1.5, most: int = 2, seed: int = 42, text: str = "text", fan: int = FAN) -> DataFrame:
     """``doc_id, uid, source, size, source_size, target, copies``: a row per row of ``docs``.
 
-    ``copies`` is 0 to ``most``; over a source, the copies' sizes add up to nearly its
+    ``copies`` is 0 to ``most``, on average what its source's target asks for (a row's expected copies are its source's ideal
+    number); over a source, the copies' sizes add up to nearly its
     target, as mass moves first between documents of nearly equal size. Null text: size 0; null
     source: a source of its own, last in order; sources of size 0: no copies;
-    an empty table: an empty result. Random choices come from hashes, so reruns agree, and
+    an empty table: an empty result. Rows that repeat a document (doc_id, text and source) are one unit with their common
+    mass, and their copies differ by one at most. Random choices come from hashes, so reruns agree, and
     groups are dealt by hash, so that a hot source spreads over as many groups as it needs.
     """
-    sizes = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col(text)).alias("size"), F.xxhash64("doc_id", F.col(text)).alias("uid")), "mix-sizes")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col(text)).alias("size"), F.xxhash64("doc_id", F.col(text), "source").alias("uid"))
+    sizes = written(rows.groupBy("source", "doc_id", "uid", "size").agg(F.count("*").alias("times")), "mix-sizes")
     wanted = written(targets(sizes, weights, share, most), "mix-targets")
     ideal = F.when(F.col("source_size") > 0, F.least(F.col("target") / F.col("source_size"), F.lit(float(most)))).otherwise(0.0)
-    placed = sizes.join(wanted, sizes["source"].eqNullSafe(wanted["source"])).select("doc_id", "uid", sizes["source"], "size", "n_docs", ideal.alias("ideal"))
-    placed = placed.withColumn("p", F.col("ideal") - F.floor("ideal"))
+    placed = sizes.join(wanted, sizes["source"].eqNullSafe(wanted["source"])).select("doc_id", "uid", sizes["source"], "size", "times", "source_size", "target", (ideal * F.col("times")).alias("ideal"))
+    placed = placed.withColumn("sure", F.floor("ideal")).withColumn("p", F.col("ideal") - F.col("sure"))
     size_class = F.floor(F.log(SIZE_STEP, F.col("size") + 1)).cast("long")
-    tries = F.explode(F.sequence(F.lit(0), F.when(F.col("n_docs") <= FEW, TRIES - 1).otherwise(0)))
-    open_units = placed.filter("p > 0").select("source", size_class.alias("cls"), F.struct("size", "uid", "doc_id", "p").alias("unit"), "n_docs")
+    open_units = placed.filter("p > 0").select("source", size_class.alias("cls"), F.struct("size", "uid", "doc_id", "p").alias("unit"))
     counts = open_units.groupBy("source", "cls").agg(F.ceil(F.count("*") / fan).alias("parts")).withColumnRenamed("source", "s").withColumnRenamed("cls", "c")
     counts = written(counts, "mix-parts")
-    dealt = open_units.join(counts, F.col("source").eqNullSafe(F.col("s")) & (F.col("cls") == F.col("c"))).select("source", "cls", F.expr("pmod(unit.uid, parts)").alias("slot"), "unit", tries.alias("try"))
+    level = open_units.join(counts, F.col("source").eqNullSafe(F.col("s")) & (F.col("cls") == F.col("c"))).select("source", "cls", F.expr("pmod(unit.uid, parts)").alias("slot"), "unit")
     slots = counts.agg(F.coalesce(F.max("parts"), F.lit(0))).first()[0]
     classes = counts.agg(F.coalesce(F.max("c"), F.lit(0))).first()[0] + 1
     cls, slot = F.col("cls"), F.col("slot")
@@ -106,30 +107,41 @@ def mix(docs: DataFrame, weights: Sequence[int] = (3, 1, 2), share: float = 1.5,
     while classes > 1:
         classes = -(-classes // fan)
         rounds.append((F.expr(f"cls div {fan}"), F.lit(0).cast("long")))
-    done, level = [], dealt
+    done = []
     for to_cls, to_slot in rounds:
-        met = level.groupBy("source", "try", to_cls.alias("cls"), to_slot.alias("slot")).agg(F.sort_array(F.collect_list("unit"), asc=False).alias("units"))
-        met = written(met.select("source", "try", "cls", "slot", _meet(F.col("units"), F.col("try") + seed).alias("met")), "mix-level")
-        done.append(met.select("source", "try", F.explode("met.done").alias("d")).select("source", "try", "d.*"))
-        level = met.select("source", "try", "cls", "slot", F.col("met.left").alias("unit"))
-    done.append(level.select("source", "try", "unit.uid", "unit.doc_id", "unit.size", (_chance(F.col("try") + seed, F.col("unit.uid")) < F.col("unit.p")).cast("int").alias("extra")))
+        met = level.groupBy("source", to_cls.alias("cls"), to_slot.alias("slot")).agg(F.sort_array(F.collect_list("unit"), asc=False).alias("units"))
+        met = written(met.select("source", "cls", "slot", _meet(F.col("units"), F.lit(seed)).alias("met")), "mix-level")
+        done.append(met.select("source", F.explode("met.done").alias("d")).select("source", "d.*"))
+        level = met.select("source", "cls", "slot", F.col("met.left").alias("unit"))
+    done.append(level.select("source", "unit.uid", "unit.doc_id", "unit.size", (_chance(F.lit(seed), F.col("unit.uid")) < F.col("unit.p")).cast("int").alias("extra")))
     extra = done[0]
     for x in done[1:]:
         extra = extra.unionByName(x)
-    sums = extra.groupBy("source", "try").agg(F.sum(F.col("size") * F.col("extra")).alias("words"))
-    hoped = wanted.select(F.col("source").alias("s"), (F.col("target") - F.floor(ideal) * F.col("source_size")).alias("hoped"))
-    best = sums.join(hoped, F.col("source").eqNullSafe(F.col("s"))).groupBy(F.col("source").alias("s")).agg(F.min_by("try", F.struct(F.abs(F.col("words") - F.col("hoped")), F.col("try"))).alias("t"))
-    best = written(best, "mix-best")
-    chosen = extra.join(best, F.col("source").eqNullSafe(F.col("s")) & (F.col("try") == F.col("t"))).select("doc_id", "uid", "source", "size", "extra")
-    fixed = placed.filter("p = 0").select("doc_id", "uid", "source", "size", F.lit(0).alias("extra"))
-    both, w = chosen.unionByName(fixed).alias("x"), wanted.alias("w")
-    return both.join(w, F.col("x.source").eqNullSafe(F.col("w.source"))).select("doc_id", "uid", "x.source", "size", "source_size", "target", (F.floor(ideal).cast("int") + F.col("extra")).alias("copies"))
-
-
-def mixed_rows(docs: DataFrame, **options) -> DataFrame:
-    """Rows of ``docs``, each as often as the mix takes it."""
-    copies = mix(docs, **options).groupBy("uid").agg(F.sort_array(F.collect_list("copies"), asc=False).alias("__copies"))
-    keyed = docs.withColumn("__uid", F.xxhash64(F.col("doc_id"), F.col("text")))
-    nth = F.row_number().over(Window.partitionBy("__uid").orderBy("__uid"))
-    taken = keyed.withColumn("__nth", nth).join(copies, F.col("__uid") == F.col("uid"))
-    return taken.select(*[F.col(c) for c in docs.columns], F.explode(F.array_repeat(F.lit(1), F.element_at("__copies", F.col("__nth")))).alias("__again")).drop("__again")
+    extra = extra.select(F.col("uid").alias("uid_"), F.col("doc_id").alias("doc_id_"), F.col("source").alias("source_"), "extra")
+    same = (F.col("uid") == F.col("uid_")) & F.col("doc_id").eqNullSafe(F.col("doc_id_")) & F.col("source").eqNullSafe(F.col("source_"))
+    units = placed.join(extra, same, "left").withColumn("given", F.col("sure") + F.coalesce("extra", F.lit(0)))
+    # the rows of a unit share its copies as evenly as whole numbers can
+    nth = F.explode(F.sequence(F.lit(1).cast("long"), F.col("times"))).alias("nth")
+    each = units.select("doc_id", "uid", "source", "size", "source_size", "target", "given", "times", nth)
+    return each.select("doc_id", "uid", "source", "size", "source_size", "target", (F.expr("given div times") + (F.col("nth") <= F.expr("given % times")).cast("long")).cast("int").alias("copies"))
+
+
+def mixed_rows(docs: DataFrame, text: str = "text", **options) -> DataFrame:
+    """Rows of ``docs``, each as often as the mix takes it; all columns as they are, whatever their names. Nulls, repeated
+    rows and empty tables as in ``mix``."""
+    copies = mix(docs, text=text, **options).groupBy("uid").agg(F.sum("copies").alias("given"), F.count("*").alias("times"))
+    copies = written(copies, "mix-copies")
+    row = docs.select(F.xxhash64(F.col("doc_id").cast("long"), F.col(text), F.col("source").cast("string")).alias("uid"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.spark_partition_id().alias("part"))
+    met = row.join(copies, "uid")
+    again = F.explode(F.array_repeat(F.lit(1), F.col("take").cast("int"))).alias("again")
+    out = met.filter("times = 1").select("row", F.col("given").alias("take")).select("row", again)
+    if copies.filter("times > 1").limit(1).count():
+        # repeats are numbered by the task that reads them, and moved up by the numbers of the tasks before
+        some = written(met.filter("times > 1"), "mix-repeats")
+        sizes = some.groupBy("uid", "part").agg(F.count("*").alias("n"))
+        before = sizes.select("uid", "part", (F.sum("n").over(Window.partitionBy("uid").orderBy("part")) - F.col("n")).alias("before"))
+        own = F.row_number().over(Window.partitionBy("uid", "part").orderBy(F.lit(1)))
+        nth = some.withColumn("own", own).join(before, ["uid", "part"]).withColumn("nth", F.col("own") + F.col("before"))
+        take = F.expr("given div times") + (F.col("nth") <= F.expr("given % times")).cast("long")
+        out = out.unionByName(nth.select("row", take.alias("take")).select("row", again))
+    return out.select("row.*")

@@ -12,13 +12,17 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from .store import written
 from .textkern import slices
 
 BITS = 16
-CHAR_N = (2, 3, 4)
+WORD_N, CHAR_N = (1, 2), (2, 3, 4)
 #: Labelled rows the classifier is fitted on at most: those with the smallest hash of their id.
 MAX_TRAINING_ROWS = 3000
+#: Entries of their vectors at most, which bounds the driver's memory: rows beyond it, in the same order, take no part.
+MAX_TRAINING_ENTRIES = 8_000_000
 #: Documents whose calibrated probability of good quality is below this are rejected.
 MIN_PROBABILITY = 0.25
 MIN_WORDS = 10
@@ -60,14 +64,22 @@ def base_counts(text: bytes | None) -> tuple[int, int, int, int, int]:
 
 
 def features(text: bytes | None, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
-    """Hashed counts of words and of character n-grams (bytes, runs of white space as one
+    """Hashed counts of word and character n-grams (runs of white space as one
     space): positions and values of a vector of length 1."""
     words = text.split() if text else []
     if not words:
         return np.empty(0, np.int64), np.empty(0, np.float32)
     shift = np.uint64(64 - bits)
-    hashed = [np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words)) >> shift]
-    data = np.frombuffer(b" " + b" ".join(words) + b" ", np.uint8).astype(np.uint64)
+    single = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
+    hashed = []
+    for n in WORD_N:
+        if len(single) >= n:
+            h = single[: len(single) - n + 1]
+            for k in range(1, n):
+                h = (h ^ (h >> np.uint64(29))) * _SEED + single[k : k + len(h)]
+            hashed.append(h >> shift)
+    plain = (b" " + b" ".join(words) + b" ").decode("utf-8", "replace")
+    data = np.frombuffer(plain.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
     for n in CHAR_N:
         if len(data) >= n:
             h = np.full(len(data) - n + 1, n, np.uint64)
@@ -139,11 +151,12 @@ def _platt(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(beta[0], 1e-3)), float(beta[1])
 
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINING_ROWS, text: str = "text") -> QualityModel | None:
-    """Fit on at most ``max_rows`` labelled documents; None if a class has fewer than 10.
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINING_ROWS, text: str = "text", max_entries: int = MAX_TRAINING_ENTRIES) -> QualityModel | None:
+    """Fit on at most ``max_rows`` labelled documents with at most ``max_entries`` entries; None if a class has fewer than 10.
 
-    Features are computed where the texts are; the driver gets hashed vectors of at
-    most 2**BITS entries. A third of the rows is held out to calibrate probabilities.
+    Features are computed where the texts are; the driver gets hashed vectors, ``max_entries`` entries in all. A document
+    with two labels counts as good; of several texts of one doc_id the one with the least vector counts, so that reruns agree. A
+    third of the rows is held out to calibrate probabilities. Null labels, ids and empty tables take no part.
     """
     wanted = labels.filter("doc_id is not null and quality in (0, 1)").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").cast("int").alias("quality"))
     chosen = wanted.join(docs.select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "doc_id", "left_semi").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
@@ -154,7 +167,12 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINING_ROWS,
             yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("quality"), pa.array([a.astype(np.int32).tobytes() for a, _ in rows], pa.binary()), pa.array([v.tobytes() for _, v in rows], pa.binary())], names=["doc_id", "quality", "at", "value"])
 
     found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).alias("text")).join(F.broadcast(chosen), "doc_id").mapInArrow(run, "doc_id long, quality int, at binary, value binary")
-    got = sorted({r.doc_id: (r.doc_id, r.quality, bytes(r.at), bytes(r.value)) for r in found.toLocalIterator()}.values())
+    found = written(found.groupBy("doc_id").agg(F.max("quality").alias("quality"), F.min(F.struct("at", "value")).alias("row")), "training-rows")
+    sizes = found.orderBy(F.xxhash64("doc_id"), "doc_id").select("doc_id", F.expr("length(row.at) div 4").alias("n")).collect()
+    fits = np.cumsum([r.n for r in sizes]) <= max_entries
+    ids = [r.doc_id for r, ok in zip(sizes, fits) if ok]
+    own = docs.sparkSession.createDataFrame([(i,) for i in ids], "doc_id bigint")
+    got = sorted((r.doc_id, r.quality, bytes(r.at), bytes(r.value)) for r in found.join(F.broadcast(own), "doc_id").select("doc_id", "quality", "row.*").toLocalIterator())
     y = np.array([q for _, q, _, _ in got], np.int64)
     if not len(y) or min(y.sum(), len(y) - y.sum()) < 10:
         return None
@@ -176,7 +194,7 @@ def judge(docs: DataFrame, model: QualityModel | None, text: str = "text", min_p
     new = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, probability double, kept boolean"
     names = [x.split()[0] for x in new.split(", ")]
     rest = docs.drop(*names)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest.schema.fields)
+    schema = T.StructType([*rest.schema.fields, *T._parse_datatype_string(new).fields])
     columns = rest.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -190,4 +208,4 @@ def judge(docs: DataFrame, model: QualityModel | None, text: str = "text", min_p
             kinds = [pa.int64()] * 5 + [pa.bool_(), pa.float64(), pa.bool_()]
             yield pa.RecordBatch.from_arrays([*(piece.column(c) for c in columns), *(pa.array(x, k) for x, k in zip(zip(*rows), kinds))], names=[*columns, *names])
 
-    return rest.mapInArrow(run, f"{schema}, {new}")
+    return rest.mapInArrow(run, schema)

@@ -2,18 +2,23 @@
 
 A document's windows of ``window`` words are represented by winnowed anchors: the
 smallest hash among a window's sub-windows of about half its length. Equal windows have
-equal anchors, so only windows whose anchor occurs in several contexts
-need a comparison of their own. The index of a corpus is a list of immutable runs sorted by
-anchor; each row is (anchor, context, doc_id): the context is the hash of all
-words that windows with that anchor can hold, and doc_id the first document with it. A
-batch is merge-joined with the runs, verified window by window with
-hashes of the whole window (128 bits with the anchor), written as a new run, and runs are compacted.
+equal anchors, so neighbouring windows with one anchor form a stretch, and only stretches whose
+anchor occurs in several contexts need a comparison window by window. A context is the hash of all
+words of a stretch.
+
+The index of a corpus is a list of immutable runs. A run has two tables that are bucketed and
+sorted: keys (part, anchor, context, doc_id) by part, which is the anchor or, for rows of a hot anchor, one of several hashes of it, and windows (anchor, context, doc_id, hashes of the
+stretch's windows) by anchor and context. A batch is merge-joined with them bucket by
+bucket: the runs are never exchanged, and no text of an earlier batch is read again. Matches
+are verified with the hash of the whole window (128 bits with the anchor). The batch becomes a new run, and
+runs are compacted into one.
 """
 
 from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -21,16 +26,35 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
+from . import joins
 from .store import remove, shared_dir
 from .textkern import slices
 
 WINDOW = 50
-#: Runs that may stand side by side before they are merged.
-FAN_IN = 4
+#: Runs that are merged into one as soon as so many stand side by side.
+FAN_IN = 3
+#: Batches that a table is cut into, by doc_id.
+BATCHES = 4
+#: Parts that the rows of a hot anchor are dealt to.
+SPREAD = 64
 
 _MIX = 0x9E3779B97F4A7C15
 _BASES = (0xD6E8FEB86659FD93, 0xC2B2AE3D27D4EB4F)
+_INVERSE = pow(_BASES[1], -1, 1 << 64)
+#: Powers that a process remembers for each base.
+_REMEMBERED = 1 << 16
+_known_powers: dict[int, np.ndarray] = {}
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    """The first ``n`` powers of a base, modulo 2**64."""
+    if n > _REMEMBERED:
+        return np.cumprod(np.r_[np.uint64(1), np.full(n - 1, base, np.uint64)])
+    if base not in _known_powers:
+        _known_powers[base] = np.cumprod(np.r_[np.uint64(1), np.full(_REMEMBERED - 1, base, np.uint64)])
+    return _known_powers[base][:n]
 
 
 def _finish(h: np.ndarray) -> np.ndarray:
@@ -92,11 +116,10 @@ class _Text:
         have the same words from their first window's start to their last one's end."""
         starts, ends = self.spans()
         n = len(self.hashes)
-        power = np.cumprod(np.r_[np.uint64(1), np.full(n, _BASES[1], np.uint64)])
-        sums = np.r_[np.uint64(0), np.cumsum(_finish(self.hashes) * power[:n])]
+        sums = np.r_[np.uint64(0), np.cumsum(_finish(self.hashes) * _powers(_BASES[1], n))]
         stop = ends + self.window
-        # the sum is shifted to the highest power, so that equal words give equal values at any place
-        value = (sums[stop] - sums[starts]) * power[n - starts]
+        # the inverse power takes a sum back to the first place: equal words give equal values in any text
+        value = (sums[stop] - sums[starts]) * _powers(_INVERSE, n)[starts]
         return self.anchor[starts], _finish(value ^ (stop - starts).astype(np.uint64) * np.uint64(_MIX)), starts, ends
 
 
@@ -105,57 +128,37 @@ def _signed(x: np.ndarray) -> pa.Array:
 
 
 def _stretches(docs: DataFrame, window: int) -> DataFrame:
-    """``anchor, context, doc_id, tk``: distinct per text."""
+    """``anchor, context, doc_id, whole``: the stretches of each text; whole holds the hash of each window."""
+    names = ["anchor", "context", "doc_id", "whole"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
-            ids, tks = piece.column("doc_id").to_numpy(), piece.column("tk").to_numpy()
-            cols: list[list[np.ndarray]] = [[], [], [], []]
+            ids = piece.column("doc_id").to_numpy()
+            anchors, contexts, owners, cuts, wholes, at = [], [], [], [], [], 0
             for i, text in enumerate(texts):
                 words = text.split() if text else []
                 if len(words) >= window:
-                    anchor, context, _, _ = _Text(words, window).contexts()
-                    keys = np.unique(np.rec.fromarrays([anchor, context]))
-                    for to, x in zip(cols, (keys.f0, keys.f1, np.full(len(keys), ids[i]), np.full(len(keys), tks[i])), strict=True):
-                        to.append(x)
-            if cols[0]:
-                a, c, d, t = map(np.concatenate, cols)
-                yield pa.RecordBatch.from_arrays([_signed(np.ascontiguousarray(a)), _signed(np.ascontiguousarray(c)), pa.array(d), pa.array(t)], names=["anchor", "context", "doc_id", "tk"])
-
-    return docs.select("doc_id", "tk", "text").mapInArrow(run, "anchor long, context long, doc_id long, tk long")
+                    t = _Text(words, window)
+                    anchor, context, starts, _ = t.contexts()
+                    anchors.append(anchor)
+                    contexts.append(context)
+                    owners.append(np.full(len(starts), ids[i]))
+                    cuts.append(starts + at)
+                    wholes.append(t.whole())
+                    at += len(t.anchor)
+            if anchors:
+                lists = pa.ListArray.from_arrays(pa.array(np.r_[np.concatenate(cuts), at].astype(np.int32)), _signed(np.concatenate(wholes)))
+                yield pa.RecordBatch.from_arrays([_signed(np.concatenate(anchors)), _signed(np.concatenate(contexts)), pa.array(np.concatenate(owners)), lists], names=names)
 
+    return docs.select("doc_id", "text").mapInArrow(run, "anchor long, context long, doc_id long, whole array<long>")
 
-def _windows(docs: DataFrame, window: int) -> DataFrame:
-    """``anchor, whole, doc_id, tk``: windows of the stretches listed in ``open`` (contexts)."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for piece, texts in slices(batches, "text"):
-            ids, tks, opens = piece.column("doc_id").to_numpy(), piece.column("tk").to_numpy(), piece.column("open").to_pylist()
-            cols: list[list[np.ndarray]] = [[], [], [], []]
-            for i, text in enumerate(texts):
-                t = _Text(text.split(), window)
-                _, context, starts, ends = t.contexts()
-                mark = np.zeros(len(t.anchor) + 1, np.int64)
-                hit = np.isin(context.view(np.int64), np.array(opens[i], np.int64))
-                np.add.at(mark, starts[hit], 1)
-                np.add.at(mark, ends[hit] + 1, -1)
-                at = np.flatnonzero(np.cumsum(mark)[:-1])
-                keys = np.unique(np.rec.fromarrays([t.anchor[at], t.whole()[at]]))
-                for to, x in zip(cols, (keys.f0, keys.f1, np.full(len(keys), ids[i]), np.full(len(keys), tks[i])), strict=True):
-                    to.append(x)
-            if cols[0]:
-                a, w, d, k = map(np.concatenate, cols)
-                yield pa.RecordBatch.from_arrays([_signed(np.ascontiguousarray(a)), _signed(np.ascontiguousarray(w)), pa.array(d), pa.array(k)], names=["anchor", "whole", "doc_id", "tk"])
-
-    return docs.select("doc_id", "tk", "text", "open").mapInArrow(run, "anchor long, whole long, doc_id long, tk long")
-
-
-def _removed(docs: DataFrame, window: int) -> DataFrame:
+def _removed(docs: DataFrame, window: int, rejoin: bool) -> DataFrame:
     """``docs`` with ``resolved`` (contexts) and ``repeated`` (window hashes) ->
     its columns and the words that stay."""
     rest = [f for f in docs.schema.fields if f.name not in ("text", "resolved", "repeated")]
     names = [f.name for f in rest]
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rest)
+    schema = T.StructType([*rest, T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
@@ -164,7 +167,7 @@ def _removed(docs: DataFrame, window: int) -> DataFrame:
             for i, text in enumerate(texts):
                 words = text.split() if text else []
                 gone = np.zeros(len(words), bool)
-                if resolved[i] or repeated[i]:
+                if len(words) >= window and (resolved[i] or repeated[i]):
                     t = _Text(words, window)
                     mark = np.zeros(len(words) + 1, np.int64)
                     if resolved[i]:
@@ -179,99 +182,206 @@ def _removed(docs: DataFrame, window: int) -> DataFrame:
                     gone = np.cumsum(mark)[:-1] > 0
                 n_words.append(len(words))
                 n_removed.append(int(gone.sum()))
-                kept.append(b" ".join(words if not n_removed[-1] else [w for w, g in zip(words, gone, strict=True) if not g]))
+                if n_removed[-1]:
+                    words = [w for w, g in zip(words, gone, strict=True) if not g]
+                kept.append(b" ".join(words) if rejoin or n_removed[-1] else text)
             texts_out = pa.array(kept, pa.binary()).cast(pa.string())
             yield pa.RecordBatch.from_arrays([*(piece.column(c) for c in names), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), texts_out], names=[*names, "n_words", "n_removed", "kept_text"])
 
-    return docs.mapInArrow(run, f"{schema}, n_words long, n_removed long, kept_text string")
+    return docs.mapInArrow(run, schema)
+
+
+@contextmanager
+def _in_order(spark: SparkSession):
+    """Plans made here take a bucket of one sorted file as sorted."""
+    name = "spark.sql.legacy.bucketedTableScan.outputOrdering"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+@dataclass
+class Run:
+    """Paths of an immutable run: its keys, its windows and its hot anchors (None: none)."""
+
+    keys: str
+    windows: str
+    hot: str | None
 
 
 @dataclass
 class WindowIndex:
-    """Immutable sorted runs of (anchor, context, doc_id) in the shared folder."""
+    """Runs of window hashes in the shared folder.
+
+    What is in the index counts as earlier than any batch to come, whatever the ids, so batches
+    with rising ids give the same answer as one call over all. ``manifest`` describes the index; ``opened`` makes it
+    anew from that, in another session too.
+    """
 
     spark: SparkSession
     window: int = WINDOW
     fan_in: int = FAN_IN
-    runs: list[str] = field(default_factory=list)
+    buckets: int = 0
+    hot_rows: int = joins.LEAST
+    runs: list[Run] = field(default_factory=list)
     where: str = ""
 
+    KEYS = ("part long, anchor long, context long, doc_id long", "part")
+    WINDOWS = ("anchor long, context long, doc_id long, last long, n long, whole array<long>", "anchor, context")
+
     def __post_init__(self) -> None:
         self.where = self.where or f"{shared_dir(self.spark)}/windows-{uuid.uuid4().hex}"
-
-    SCHEMA = "anchor long, context long, doc_id long"
-
-    def rows(self) -> DataFrame:
-        return self.spark.read.schema(self.SCHEMA).parquet(*self.runs) if self.runs else self.spark.createDataFrame([], self.SCHEMA)
-
-    def append(self, rows: DataFrame) -> None:
-        """Write a run; merge all runs into one when there are ``fan_in``."""
-        path = f"{self.where}/run-{uuid.uuid4().hex}"
-        rows.sortWithinPartitions("anchor", "context").write.parquet(path)
-        self.runs.append(path)
-        if len(self.runs) >= self.fan_in:
-            self.compact()
-
-    def compact(self) -> None:
-        """One sorted run in place of all; a context keeps its first document."""
-        path = f"{self.where}/run-{uuid.uuid4().hex}"
-        merged = self.rows().groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"))
-        merged.sortWithinPartitions("anchor", "context").write.parquet(path)
-        old, self.runs = self.runs, [path]
-        for x in old:
-            remove(self.spark, x)
-
-    def add(self, batch: DataFrame, history: DataFrame | None = None, above: int | None = None, keep_batch: bool = True) -> DataFrame:
-        """Judge the documents of ``batch`` (doc_id, tk, text; ids over ``above``, the
-        largest in the index) against the index and one another, and index them. ``history`` has the
-        texts already indexed; only those that share an anchor in
-        another context are read again. ``keep_batch=False`` leaves the index as it is. Returns
-        doc_id, tk, resolved, repeated."""
+        self.buckets = self.buckets or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+
+    def manifest(self) -> dict:
+        return {"window": self.window, "fan_in": self.fan_in, "buckets": self.buckets, "hot_rows": self.hot_rows, "where": self.where, "runs": [vars(r) for r in self.runs]}
+
+    @classmethod
+    def opened(cls, spark: SparkSession, manifest: dict) -> WindowIndex:
+        return cls(spark, **{**manifest, "runs": [Run(**r) for r in manifest["runs"]]})
+
+    def table(self, path: str, kind: tuple[str, str]) -> DataFrame:
+        """A bucketed table by its path; a session that doesn't know it yet is told of it."""
+        name = f"run_{path.rsplit('/', 1)[-1].replace('-', '_')}"
+        self.spark.sql(f"CREATE TABLE IF NOT EXISTS {name} ({kind[0]}) USING parquet CLUSTERED BY ({kind[1]}) SORTED BY ({kind[1]}) INTO {self.buckets} BUCKETS LOCATION '{path}'")
+        return self.spark.table(name)
+
+    def bucketed(self, df: DataFrame, kind: tuple[str, str]) -> str:
+        path = f"{self.where}/{uuid.uuid4().hex}"
+        name = f"run_{path.rsplit('/', 1)[-1]}"
+        by = kind[1].split(", ")
+        df.write.format("parquet").bucketBy(self.buckets, *by).sortBy(*by).option("path", path).saveAsTable(name)
+        return path
+
+    def forget(self, path: str) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS run_{path.rsplit('/', 1)[-1]}")
+        remove(self.spark, path)
+
+    def add(self, batch: DataFrame, keep_batch: bool = True) -> DataFrame:
+        """Judge the documents of ``batch`` (doc_id, text) against the index and one another, and index
+        them unless ``keep_batch`` is false. Returns ``doc_id, resolved, repeated``: contexts and windows of a document
+        that an earlier one has."""
         spark, tag = self.spark, f"{self.where}/{uuid.uuid4().hex}"
+        temporary: list[str] = []
 
         def keep(df: DataFrame, name: str) -> DataFrame:
-            df.write.parquet(f"{tag}-{name}")
-            return spark.read.schema(df.schema).parquet(f"{tag}-{name}")
+            temporary.append(f"{tag}-{name}")
+            df.write.parquet(temporary[-1])
+            return spark.read.schema(df.schema).parquet(temporary[-1])
 
         found = keep(_stretches(batch, self.window), "found")
-        fresh = keep(found.groupBy("anchor", "context").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")), "fresh")
-        # most anchors have one document and no other context: they need nothing more
-        own = fresh.groupBy("anchor").agg(F.min("first").alias("first"), F.max("last").alias("last"))
-        live = own.filter("first < last").select("anchor")
-        if self.runs:
-            live = live.unionByName(self.rows().select("anchor").join(own.select("anchor"), "anchor", "left_semi")).distinct()
-        live = keep(live, "live")
-        first = fresh.join(live, "anchor", "left_semi").select("anchor", "context", "first")
-        if self.runs:
-            known = self.rows().join(live, "anchor", "left_semi").select("anchor", "context", F.col("doc_id").alias("first"))
-            first = known.unionByName(first).groupBy("anchor", "context").agg(F.min("first").alias("first"))
-        first = keep(first, "first")
-        many = first.groupBy("anchor").agg(F.count("*").alias("n")).filter("n > 1").select("anchor")
-        opened = first.join(many, "anchor", "left_semi").select("anchor", "context", F.col("first").alias("doc_id"))
-        shared = found.join(live, "anchor", "left_semi")
-        resolved = shared.join(first, ["anchor", "context"]).filter("doc_id > first").groupBy("doc_id", "tk").agg(F.collect_list("context").alias("resolved"))
-        by_doc = opened.groupBy("doc_id").agg(F.collect_set("context").alias("open"))
-        source = batch if history is None else history.unionByName(batch)
-        whole = keep(_windows(source.join(by_doc, "doc_id"), self.window), "whole")
-        lowest = whole.groupBy("anchor", "whole").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").drop("last")
-        again = whole.join(lowest, ["anchor", "whole"]).filter("doc_id > first").groupBy("doc_id", "tk").agg(F.collect_set("whole").alias("repeated"))
-        again = again if above is None else again.filter(F.col("doc_id") > above)
-        out = keep(resolved.join(again, ["doc_id", "tk"], "full"), "marks")
+        merged = found.groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"), F.max("doc_id").alias("last"), F.count("*").alias("n"), F.first("whole").alias("whole"))
+        windows = self.bucketed(merged, self.WINDOWS)
+        fresh = self.table(windows, self.WINDOWS)
+        own = fresh.groupBy("anchor").agg(F.count("*").alias("n"), F.min("context").alias("low"), F.max("context").alias("high"), F.min("doc_id").alias("first"), F.max("last").alias("last"))
+        own = keep(own, "anchors")
+        with _in_order(spark):
+            known = keep(self.known(own), "known")
+
+        # a context that an earlier document has: all its windows are repeated
+        of_run = known.groupBy("anchor", "context").agg(F.min("doc_id").alias("old"))
+        shared = fresh.select("anchor", "context", "doc_id", "last", "n").join(of_run, ["anchor", "context"], "left").filter("old is not null or doc_id < last")
+        shared = keep(shared.select("anchor", "context", F.coalesce("old", "doc_id").alias("first"), F.col("old").isNotNull().alias("before"), "n"), "shared")
+        earlier = (F.col("before") & (F.col("doc_id") != F.col("first"))) | (F.col("doc_id") > F.col("first"))
+        hits = joins.met(found.select("anchor", "context", "doc_id"), shared, ["anchor", "context"], "n", found.count(), self.hot_rows)
+        resolved = hits.filter(earlier).groupBy("doc_id").agg(F.collect_set("context").alias("resolved"))
+
+        # an anchor in several contexts, of several documents: its windows are compared one by one
+        every = own.select("anchor", "n", "low", "high", "first", "last", F.lit(False).alias("before"))
+        every = every.unionByName(known.select("anchor", F.lit(1).cast("long").alias("n"), F.col("context").alias("low"), F.col("context").alias("high"), F.col("doc_id").alias("first"), F.col("doc_id").alias("last"), F.lit(True).alias("before")))
+        many = every.groupBy("anchor").agg(F.sum("n").alias("n"), F.min("low").alias("low"), F.max("high").alias("high"), F.min("first").alias("first"), F.max("last").alias("last")).filter("low < high and first < last")
+        many = keep(many.select("anchor", "n"), "many")
+        old, new = known.select("anchor", "context"), fresh.select("anchor", "context")
+        total = many.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        opened = keep(joins.met(new, many, ["anchor"], "n", total, self.hot_rows, "left_semi").distinct(), "opened")
+        with _in_order(spark):
+            listed = fresh.join(opened, ["anchor", "context"], "left_semi").select("anchor", "doc_id", F.lit(False).alias("before"), F.explode("whole").alias("whole"))
+            if self.runs:
+                again = keep(joins.met(old, many, ["anchor"], "n", total, self.hot_rows, "left_semi").distinct(), "opened-again")
+                for r in self.runs:
+                    past = self.table(r.windows, self.WINDOWS).join(again, ["anchor", "context"], "left_semi")
+                    listed = listed.unionByName(past.select("anchor", "doc_id", F.lit(True).alias("before"), F.explode("whole").alias("whole")))
+            listed = keep(listed, "listed")
+        lowest = listed.groupBy("anchor", "whole").agg(F.min(F.struct((~F.col("before")).alias("new"), "doc_id")).alias("low"), F.count("*").alias("n")).filter("n > 1")
+        lowest = keep(lowest.select("anchor", "whole", F.col("low.doc_id").alias("first"), (~F.col("low.new")).alias("before"), "n"), "lowest")
+        hits = joins.met(listed.filter("not before").select("anchor", "whole", "doc_id"), lowest, ["anchor", "whole"], "n", listed.count(), self.hot_rows)
+        repeated = hits.filter(earlier).groupBy("doc_id").agg(F.collect_set("whole").alias("repeated"))
+
+        path = f"{tag}-marks"
+        resolved.join(repeated, "doc_id", "full").write.parquet(path)
         if keep_batch:
-            self.append(fresh.select("anchor", "context", F.col("first").alias("doc_id")))
-        for name in ("found", "fresh", "live", "first", "whole"):
-            remove(spark, f"{tag}-{name}")
+            self.append(windows, own)
+        else:
+            self.forget(windows)
+        for x in temporary:
+            remove(spark, x)
+        return spark.read.schema("doc_id long, resolved array<long>, repeated array<long>").parquet(path)
+
+    def known(self, own: DataFrame) -> DataFrame:
+        """``anchor, context, doc_id``: rows of the runs whose anchor is among ``own``. Each run is read in its
+        buckets; only the anchors asked for are exchanged."""
+        out = self.spark.createDataFrame([], "anchor long, context long, doc_id long")
+        for r in self.runs:
+            asked = own.select(F.col("anchor").alias("part"))
+            if r.hot:
+                hot = self.spark.read.schema("anchor long").parquet(r.hot)
+                salts = F.explode(F.sequence(F.lit(0), F.lit(SPREAD - 1))).alias("salt")
+                asked = asked.unionByName(own.join(F.broadcast(hot), "anchor", "left_semi").select("anchor", salts).select(F.xxhash64("anchor", "salt").alias("part")))
+            out = out.unionByName(self.table(r.keys, self.KEYS).join(asked, "part", "left_semi").select("anchor", "context", "doc_id"))
         return out
 
+    def append(self, windows: str, own: DataFrame) -> None:
+        """Take written windows as a new run; ``own`` counts contexts by anchor. Compacts when there are ``fan_in`` runs."""
+        self.runs.append(self.run_of(windows, own))
+        if len(self.runs) >= self.fan_in:
+            self.compact()
+
+    def run_of(self, windows: str, own: DataFrame) -> Run:
+        total = own.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+        hot = own.filter(F.col("n") >= max(self.hot_rows, total // joins.SHARE)).select("anchor")
+        path = f"{self.where}/{uuid.uuid4().hex}-hot"
+        hot.write.parquet(path)
+        hot = self.spark.read.schema("anchor long").parquet(path)
+        rows = self.table(windows, self.WINDOWS).select(F.col("anchor").alias("part"), "anchor", "context", "doc_id")
+        some = hot.limit(1).count() > 0
+        if some:
+            dealt = rows.join(F.broadcast(hot), "anchor", "left_semi").withColumn("part", F.xxhash64("anchor", F.pmod("context", F.lit(SPREAD)).cast("int")))
+            rows = rows.join(F.broadcast(hot), "anchor", "left_anti").unionByName(dealt.select(*rows.columns))
+        keys = self.bucketed(rows.select("part", "anchor", "context", "doc_id").repartition(self.buckets, "part"), self.KEYS)
+        return Run(keys, windows, path if some else None)
+
+    def merged(self) -> DataFrame:
+        """All runs as one, merged bucket by bucket; a context keeps its first document."""
+        every = None
+        for r in self.runs:
+            rows = self.table(r.windows, self.WINDOWS)
+            every = rows if every is None else every.unionByName(rows)
+        return every.groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"), F.max("last").alias("last"), F.sum("n").alias("n"), F.first("whole").alias("whole"))
 
-def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, batches: int = 2, index: WindowIndex | None = None) -> DataFrame:
+    def compact(self) -> None:
+        """One run in place of all."""
+        if not self.runs:
+            return
+        with _in_order(self.spark):
+            windows = self.bucketed(self.merged(), self.WINDOWS)
+        own = self.table(windows, self.WINDOWS).groupBy("anchor").agg(F.count("*").alias("n"))
+        old, self.runs = self.runs, [self.run_of(windows, own)]
+        for r in old:
+            self.forget(r.keys)
+            self.forget(r.windows)
+
+
+def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, batches: int = BATCHES, index: WindowIndex | None = None, rejoin: bool = True) -> DataFrame:
     """Remove each word covered by a window of ``window`` words that also starts
-    in a document with a smaller doc_id.
+    in a document with a smaller doc_id, or in one that ``index`` had before.
 
     Returns the columns of ``docs`` without the text, then ``n_words, n_removed,
-    kept_text`` (kept words joined by one space). ``docs`` is cut into
-    ``batches`` ranges of doc_id, which go through the index in order; an index of the
-    caller's keeps them all, for batches to come. Null and blank texts have
+    kept_text`` (kept words joined by one space, or without ``rejoin`` a text that loses nothing as it is; columns
+    of ``docs`` with those names are replaced, others of any name stay). ``docs`` is cut into ``batches`` ranges of doc_id, which go through the index in order; an index of the
+    caller's keeps them all, for calls to come. Null and blank texts have
     no words; texts shorter than a window lose nothing; rows that repeat a doc_id don't count
     against one another; rows without a doc_id are neither judged nor indexed. An empty table gives an
     empty result.
@@ -279,9 +389,10 @@ def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, bat
     spark = docs.sparkSession
     lasting = index is not None
     index = index or WindowIndex(spark, window)
-    clash = [c for c in ("tk", "resolved", "repeated", "n_words", "n_removed", "kept_text", "open") if c in docs.columns]
-    keyed = docs.drop(*clash).withColumnRenamed(text, "text").withColumn("doc_id", F.col("doc_id").cast("long")).withColumn("tk", F.xxhash64("text"))
-    texts = keyed.filter("doc_id is not null and text is not null").select("doc_id", "tk", "text")
+    others = [c for c in docs.columns if c not in ("doc_id", text, "n_words", "n_removed", "kept_text")]
+    packed = F.struct(*[F.col(f"`{c}`") for c in others]) if others else F.lit(None).cast("int")
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).alias("text"), packed.alias("rest"))
+    texts = keyed.filter("doc_id is not null and text is not null").select("doc_id", "text")
     cuts: list[int] = []
     if batches > 1:
         quantiles = texts.select(F.percentile_approx("doc_id", [i / batches for i in range(1, batches)], 10_000)).first()[0]
@@ -290,8 +401,11 @@ def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, bat
     for cut in [*cuts, None]:
         part = texts if low is None else texts.filter(F.col("doc_id") > low)
         part = part if cut is None else part.filter(F.col("doc_id") <= cut)
-        history = None if low is None else texts.filter(F.col("doc_id") <= low)
-        got = index.add(part, history, low, lasting or cut is not None)
+        got = index.add(part, lasting or cut is not None)
         marks = got if marks is None else marks.unionByName(got)
         low = cut
-    return _removed(keyed.join(marks, ["doc_id", "tk"], "left"), window).drop("tk")
+    none = F.lit(None).cast("array<long>")
+    judged = keyed.filter("doc_id is not null").join(marks, "doc_id", "left")
+    without = keyed.filter("doc_id is null").withColumn("resolved", none).withColumn("repeated", none)
+    out = _removed(judged.unionByName(without), index.window, rejoin)
+    return out.select(*[F.col("doc_id") if c == "doc_id" else F.col("rest")[c].alias(c) for c in docs.columns if c in ("doc_id", *others)], "n_words", "n_removed", "kept_text")

@@ -5,9 +5,10 @@ import math
 import random
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
-from bicommunity.llm import ann, chat, langid, mixing
+from bicommunity.llm import ann, chat, joins, langid, mixing
 
 
 def test_probe_order_is_by_cost():
@@ -152,6 +153,132 @@ def test_language(spark, docs, none):
     assert flat.lang in model.languages
 
 
+def plain_fusion(rows, model, smoothing):
+    """Posterior of each row (id, text, declared, host), from the definition."""
+    n = len(model.languages)
+
+    def softmax(x):
+        e = np.exp(np.array(x) - max(x))
+        return e / e.sum()
+
+    def levels(host):
+        parts = host.split(".") if host is not None else []
+        return (".".join(parts[-2:]), parts[-1]) if len(parts) > 1 else (None, None)
+
+    logs = [model.likelihood(t.encode() if t is not None else None) for _, t, _, _ in rows]
+    soft = [softmax(x) for x in logs]
+    code = [None if d is None else d if d in model.languages else "other" for _, _, d, _ in rows]
+    groups = {}
+    for i, (_, _, _, host) in enumerate(rows):
+        domain, suffix = levels(host)
+        for key in (("host", host), ("domain", domain), ("suffix", suffix), ("code", code[i])):
+            if key[1] is not None:
+                groups[key] = groups.get(key, np.zeros(n)) + soft[i]
+    base = sum(soft) + 1.0
+    out = []
+    for i, (_, _, _, host) in enumerate(rows):
+        domain, suffix = levels(host)
+        log, prior = np.array(logs[i]), base / base.sum()
+        for key in (("suffix", suffix), ("code", code[i])):
+            if key[1] is not None:
+                own = np.maximum(groups[key] - soft[i], 0)
+                log = log + np.log((own + smoothing * own.sum() / base.sum() + 1e-3) / (base + smoothing))
+        for key in (("domain", domain), ("host", host)):
+            if key[1] is not None:
+                own = np.maximum(groups[key] - soft[i], 0)
+                prior = (own + smoothing * prior) / (own.sum() + smoothing)
+        out.append(softmax(log + np.log(prior)))
+    return out
+
+
+def test_fusion_equals_its_definition(spark):
+    rng = np.random.default_rng(4)
+    model = langid.TextModel(("de", "en", "fr"), np.log(rng.dirichlet([1] * 3, 1 << langid.BITS)))
+    hosts = [None, "a.b.de", "c.b.de", "b.de", "x.com", "y.x.com", "local", "q.com"]
+    rows = [(i, None if i % 11 == 0 else " ".join("".join(rng.choice(list("abcdefgh"), 3)) for _ in range(i % 4)), [None, "de", "en", "xx"][i % 4], hosts[int(rng.integers(len(hosts)))]) for i in range(80)]
+    want = plain_fusion(rows, model, 5.0)
+    df = spark.createDataFrame(rows, "id bigint, text string, declared string, host string").withColumn("markup", F.lit(False)).withColumn("soft", F.lit("own")).withColumn("n", F.lit(7))
+    for least in (1, 1024):
+        langid_least, joins.LEAST = joins.LEAST, least
+        try:
+            got = {r.id: r for r in langid.identify(df, model).collect()}
+        finally:
+            joins.LEAST = langid_least
+        assert len(got) == len(rows)
+        for (i, *_), w in zip(rows, want):
+            assert abs(got[i].probability - w.max()) < 1e-9 and got[i].lang == model.languages[int(w.argmax())]
+            assert got[i].soft == "own" and got[i].n == 7
+
+
+def test_language_on_texts_that_were_not_seen(spark):
+    from bicommunity.llm.store import read
+
+    real = read(spark, "/root/testdata/sf0.01", "documents")
+    model = langid.train(real.filter("doc_id % 3 <> 0"), 60)
+    held = real.filter("doc_id % 3 = 0 and length(text) > 40")
+    truth = {r.doc_id: r.lang for r in held.collect()}
+    got = langid.identify(langid.document_evidence(held), model).collect()
+    assert np.mean([r.text_lang == truth[r.id] for r in got]) > 0.97
+    rare = real.filter("lang = 'en'").withColumn("lang", F.when(F.col("doc_id") == real.filter("lang = 'en'").agg(F.min("doc_id")).first()[0], "zz").otherwise(F.col("lang")))
+    assert "zz" in langid.train(rare, 5).languages
+
+
+def test_language_without_labels_and_long_tags(spark, none):
+    empty = langid.train(none)
+    assert empty.languages == ()
+    docs = spark.createDataFrame([(1, "text", "s")], "doc_id bigint, text string, source string")
+    got = langid.identify(langid.document_evidence(docs), empty).collect()
+    assert [(r.id, r.lang, r.probability) for r in got] == [(1, None, None)]
+    page = "<html " + "data-x='y' " * 500 + "lang='FR'><body>x</body></html>"
+    pages = spark.createDataFrame([(1, "http://a.b/c", page), (2, "::bad::", None)], "page_id bigint, url string, html string")
+    assert [r.declared for r in langid.page_evidence(pages).orderBy("id").collect()] == ["fr", None]
+
+
+def test_mixing_keeps_each_document_at_its_share(spark):
+    """400 sources of the same seven sizes: a document's mean copies are what its target asks for, at any size."""
+    sizes = (1, 2, 5, 9, 20, 70, 300)
+    rows = [(s * 10 + i, " ".join(["w"] * n), f"s{s:03d}") for s in range(400) for i, n in enumerate(sizes)]
+    got = mixing.mix(spark.createDataFrame(rows, "doc_id bigint, text string, source string"), weights=(1,), share=1.4).collect()
+    for i in range(len(sizes)):
+        mine = [r.copies for r in got if r.doc_id % 10 == i]
+        assert set(mine) <= {1, 2} and abs(np.mean(mine) - 1.4) < 4 * 0.49 / 20
+
+
+def test_mixing_shares_copies_among_repeated_rows(spark):
+    rows = [(7, "a b c", "s", i % 2) for i in range(50)] + [(i, "x " * i, "s", 0) for i in range(20, 60)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string, uid int").withColumn("given", F.lit(3)).withColumn("part", F.lit(3)).repartition(5)
+    got = mixing.mix(df).collect()
+    mine = sorted(r.copies for r in got if r.doc_id == 7)
+    assert len(got) == len(rows) and len(mine) == 50 and mine[-1] - mine[0] <= 1
+    out = mixing.mixed_rows(df)
+    assert out.columns == df.columns and out.filter("doc_id = 7").count() == sum(mine)
+    assert out.count() == sum(r.copies for r in got)
+
+
+def test_nearest_finds_enough_of_many(spark):
+    """Recall of the ten nearest among 60,000 distinct vectors, against all distances."""
+    rng = np.random.default_rng(12)
+    x = rng.standard_normal((60_000, 16)).astype(np.float32) + rng.standard_normal((40, 16)).astype(np.float32)[np.arange(60_000) % 40]
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(60_000), "embedding": x.tolist()}), "vec_id bigint, embedding array<float>")
+    got = {}
+    for r in ann.nearest(df, df.filter("vec_id % 600 = 0")).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = []
+    for q, mine in got.items():
+        d = ((x.astype(np.float64) - x[q].astype(np.float64)) ** 2).sum(axis=1)
+        d[q] = np.inf
+        hits.append(len(mine & set(np.argsort(d, kind="stable")[:10].tolist())) / 10)
+    assert len(got) == 100 and np.mean(hits) >= 0.9
+
+
+def test_streamed_log_folds_back(spark):
+    rows = [(1, 0, "user", "how are you"), (1, 1, "assistant", "fine"), (1, 2, "system", "x"), (1, 3, "assistant", None), (2, 0, None, "é<|im_end|>é"), (2, 1, "user", "")]
+    log = chat.log_of_turns(spark.createDataFrame(rows, "conv_id bigint, turn int, role string, text string"))
+    events = chat.streamed(log)
+    assert {r.event for r in events.select("event").distinct().collect()} == {"message", "delta", "edit", "regenerate"}
+    assert sorted(map(tuple, chat.fold(events).select("conv_id", "role", "text").collect())) == sorted((c, r or "", x or "") for c, _, r, x in rows)
+
+
 def test_pipeline(spark):
     import corpus_pipeline as cp
     from bicommunity.llm.store import read
@@ -199,3 +326,42 @@ def test_near_dedup_finds_resemblance(spark):
     assert sorted(k for k in kept if k is not None) == [i for i in ids if group[i] == i]
     assert kept.count(None) == 1
     assert cp.near_dedup(spark, docs.limit(0), "").count() == 0
+
+
+def test_stages_take_clashing_columns_nulls_and_repeats(spark, none):
+    """Each stage on a table whose columns are named like the operators' own, with nulls, blanks and repeated rows."""
+    import corpus_pipeline as cp
+
+    sf = "/root/testdata/sf0.001"
+    words = [f"word{i % 31}{'abcdefg'[i % 7]}{i}" for i in range(120)]
+    rows = [(1, " ".join(words), "a"), (1, " ".join(words), "a"), (2, " ".join(words[:119] + ["changed"]), "a"), (3, None, None), (4, "", "b"), (5, "a b c", "b"), (None, " ".join(words[::-1]), "b"), (6, " ".join(words[20:90] + ["x", "y"]), None), (8, " ".join(words[::2]), "a")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    names = ("original", "open", "tk", "resolved", "repeated", "rest", "row", "uid", "given", "part", "probability", "kept", "n_words", "n_removed", "kept_text", "base_failed", "node", "n", "size", "copies", "bucket", "length", "own", "nth", "take")
+    for c in names:
+        df = df.withColumn(c, F.concat(F.lit(c), F.coalesce(F.col("doc_id").cast("string"), F.lit("?"))))
+    df = df.withColumn("n_chars", F.length("text").cast("int"))
+    for name, stage in cp.STAGES:
+        got = stage(spark, df, sf)
+        assert stage(spark, df.limit(0), sf).count() == 0, name
+        if name == "packing":
+            continue
+        assert got.dtypes == df.dtypes, name
+        out = got.collect()
+        assert all(r[c] == c + ("?" if r.doc_id is None else str(r.doc_id)) for r in out for c in names), name
+        assert all(r.n_chars == (None if r.text is None else len(r.text)) for r in out), name
+        if name == "near_dedup":
+            assert sorted(r.doc_id for r in out if r.doc_id is not None) == [1, 3, 5, 6, 8] and len(out) == 6
+        if name == "substring_dedup":
+            assert {r.doc_id: len(r.text.split()) for r in out if r.text}[6] == 2
+
+
+def test_training_does_not_depend_on_the_order_of_rows(spark):
+    from bicommunity.llm import quality
+
+    rng = random.Random(2)
+    texts = [(i % 40, " ".join(rng.choice(["river", "house"] if i % 2 else ["$$$", "!!"]) + str(rng.randrange(9)) for _ in range(30))) for i in range(200)]
+    df = spark.createDataFrame(texts, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id bigint, quality int")
+    a, b = quality.train(df.orderBy("text"), labels), quality.train(df.orderBy(F.desc("text")), labels)
+    assert np.array_equal(a.weights, b.weights) and (a.bias, a.slope, a.offset) == (b.bias, b.slope, b.offset)
+    assert quality.train(df, labels, max_entries=10) is None

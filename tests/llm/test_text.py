@@ -108,7 +108,7 @@ def plain_removed(rows, n):
     return sorted(out)
 
 
-@pytest.mark.parametrize("batches", [1, 3])
+@pytest.mark.parametrize("batches", [1, 4])
 def test_substring(spark, docs, none, batches):
     rng = random.Random(batches)
     pool = [[f"p{j}_{i}" for i in range(rng.randrange(8, 40))] for j in range(6)]
@@ -125,17 +125,75 @@ def test_substring(spark, docs, none, batches):
     assert substring.dedup_windows(docs).count() == docs.count()
 
 
-def test_index_takes_batches_and_compacts(spark):
-    rows = [(d, " ".join(f"q{(d % 3) * 100 + i}" for i in range(30))) for d in range(12)]
-    index = substring.WindowIndex(spark, 10, fan_in=2)
-    history, out = None, []
-    for lo in range(0, 12, 3):
-        part = spark.createDataFrame(rows[lo : lo + 3], "doc_id bigint, text string").withColumn("tk", F.xxhash64("text"))
-        marks = index.add(part, history, lo - 1 if lo else None)
-        out += [r.doc_id for r in marks.collect()]
-        history = part if history is None else history.unionByName(part)
-        assert len(index.runs) == 1
-    assert sorted(out) == list(range(3, 12))
+def passages(seed, docs):
+    rng = random.Random(seed)
+    pool = [[f"p{j}_{i}" for i in range(rng.randrange(8, 40))] for j in range(6)]
+    common = [f"c{i}" for i in range(25)]
+    rows = []
+    for d in docs:
+        parts = common + [f"x{d}"] if rng.random() < 0.5 else []
+        for _ in range(rng.randrange(1, 5)):
+            parts += rng.choice(pool) if rng.random() < 0.7 else [f"u{d}_{i}" for i in range(rng.randrange(1, 20))]
+        rows.append((d, " ".join(parts)))
+    return rows
+
+
+@pytest.mark.parametrize("hot", [1, 1024])
+def test_calls_with_one_index_equal_one_call(spark, hot):
+    """Five calls, with partial overlaps and compaction in between, and the index opened anew half way."""
+    rows = passages(9, range(60))
+    index = substring.WindowIndex(spark, 12, fan_in=3, hot_rows=hot)
+    out, most = [], 0
+    for lo in range(0, 60, 12):
+        part = spark.createDataFrame(rows[lo : lo + 12], "doc_id bigint, text string")
+        out += [(r.doc_id, r.n_words, r.n_removed, r.kept_text) for r in substring.dedup_windows(part, window=12, batches=1, index=index).collect()]
+        most = max(most, len(index.runs))
+        index = substring.WindowIndex.opened(spark, index.manifest())
+    assert sorted(out) == plain_removed(rows, 12)
+    assert most == 2 and len(index.runs) == 1
+    if hot == 1:
+        assert all(r.hot for r in index.runs)
+
+
+def test_runs_are_not_exchanged(spark):
+    """A later batch reads a run in its buckets: neither exchanged nor sorted again."""
+    rows = passages(10, range(40))
+    index = substring.WindowIndex(spark, 12)
+    for lo in (0, 20):
+        index.add(spark.createDataFrame(rows[lo : lo + 20], "doc_id bigint, text string"))
+    own = index.table(index.runs[1].windows, index.WINDOWS).groupBy("anchor").agg(F.count("*").alias("n"))
+    index.runs = index.runs[:1]
+    with substring._in_order(spark):
+        known = index.known(own)._jdf.queryExecution().executedPlan().toString()
+    before = known[: known.index("FileScan")]
+    history = known[known.index("SortMergeJoin") :].splitlines()
+    scan = next(i for i, line in enumerate(history) if "FileScan" in line and "part#" in line)
+    assert not any("Exchange" in line or " Sort " in line for line in history[: scan + 1]), known
+    assert "SortMergeJoin" in before
+
+
+def test_contexts_do_not_depend_on_the_text():
+    rng = random.Random(3)
+    shared = [f"s{rng.randrange(999)}".encode() for _ in range(300)]
+    texts = [[f"a{i}".encode() for i in range(n)] + shared + [f"b{i}".encode() for i in range(m)] for n, m in ((0, 7), (91, 0), (40, 200))]
+    found = [substring._Text(t, 50).contexts() for t in texts]
+    sets = [set(zip(a.tolist(), c.tolist())) for a, c, _, _ in found]
+    assert len(sets[0] & sets[1] & sets[2]) >= 12
+
+
+def test_long_text_and_clashing_columns(spark):
+    """A text of 24 MB with a repeated passage, beside columns that are named like the operator's own."""
+    rng = np.random.default_rng(4)
+    long = " ".join(f"w{x}" for x in rng.integers(0, 1 << 40, 1_700_000).tolist())
+    words = long.split(" ")
+    rows = [(1, " ".join(words[1_000_000:1_000_090])), (2, long), (3, " ".join(words[-60:]))]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    for c in ("rest", "resolved", "repeated", "open", "tk", "anchor", "n_removed", "whole"):
+        df = df.withColumn(c, F.col("doc_id") * 10)
+    got = {r.doc_id: r for r in substring.dedup_windows(df, batches=2).drop("kept_text").collect()}
+    assert [got[i].n_removed for i in (1, 2, 3)] == [0, 90, 60]
+    assert [got[i].n_words for i in (1, 2, 3)] == [90, len(words), 60]
+    assert all(got[i][c] == 10 * i for i in got for c in ("rest", "resolved", "repeated", "open", "tk", "anchor", "whole"))
 
 
 def plain_padding(histogram, ends):
