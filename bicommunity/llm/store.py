@@ -6,6 +6,7 @@ set only where the session names none (tests on one machine).
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -44,5 +45,11 @@ def remove(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of plans that are done with: its cleaner goes by what the driver has collected."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

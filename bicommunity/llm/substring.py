@@ -7,7 +7,8 @@ anchor occurs in several contexts need a comparison window by window. A context
 words of a stretch.
 
 The index of a corpus is a list of immutable runs. A run has two tables that are bucketed and
-sorted: keys (part, anchor, context, doc_id) by part, which is the anchor or, for rows of a hot anchor, one of several hashes of it, and windows (anchor, context, doc_id, hashes of the
+sorted: keys (part, anchor, context, doc_id) by part, which is the anchor (then left out) or, for rows of a hot
+anchor, one of several hashes of it, and windows (anchor, context, doc_id, hashes of the
 stretch's windows) by anchor and context. A batch is merge-joined with them bucket by
 bucket: the runs are never exchanged, and no text of an earlier batch is read again. Matches
 are verified with the hash of the whole window (128 bits with the anchor). The batch becomes a new run, and
@@ -29,14 +30,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import joins
-from .store import remove, shared_dir
+from .store import release, remove, shared_dir
 from .textkern import slices
 
 WINDOW = 50
 #: Runs that are merged into one as soon as so many stand side by side.
 FAN_IN = 3
 #: Batches that a table is cut into, by doc_id.
-BATCHES = 4
+BATCHES = 5
 #: Parts that the rows of a hot anchor are dealt to.
 SPREAD = 64
 
@@ -313,11 +314,14 @@ class WindowIndex:
         path = f"{tag}-marks"
         resolved.join(repeated, "doc_id", "full").write.parquet(path)
         if keep_batch:
-            self.append(windows, own)
+            self.runs.append(self.run_of(windows, own))
         else:
             self.forget(windows)
         for x in temporary:
             remove(spark, x)
+        release(spark)
+        if len(self.runs) >= self.fan_in:
+            self.compact()
         return spark.read.schema("doc_id long, resolved array<long>, repeated array<long>").parquet(path)
 
     def known(self, own: DataFrame) -> DataFrame:
@@ -330,16 +334,11 @@ class WindowIndex:
                 hot = self.spark.read.schema("anchor long").parquet(r.hot)
                 salts = F.explode(F.sequence(F.lit(0), F.lit(SPREAD - 1))).alias("salt")
                 asked = asked.unionByName(own.join(F.broadcast(hot), "anchor", "left_semi").select("anchor", salts).select(F.xxhash64("anchor", "salt").alias("part")))
-            out = out.unionByName(self.table(r.keys, self.KEYS).join(asked, "part", "left_semi").select("anchor", "context", "doc_id"))
+            out = out.unionByName(self.table(r.keys, self.KEYS).join(asked, "part", "left_semi").select(F.coalesce("anchor", "part").alias("anchor"), "context", "doc_id"))
         return out
 
-    def append(self, windows: str, own: DataFrame) -> None:
-        """Take written windows as a new run; ``own`` counts contexts by anchor. Compacts when there are ``fan_in`` runs."""
-        self.runs.append(self.run_of(windows, own))
-        if len(self.runs) >= self.fan_in:
-            self.compact()
-
     def run_of(self, windows: str, own: DataFrame) -> Run:
+        """Written windows as a run; ``own`` counts contexts by anchor."""
         total = own.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
         hot = own.filter(F.col("n") >= max(self.hot_rows, total // joins.SHARE)).select("anchor")
         path = f"{self.where}/{uuid.uuid4().hex}-hot"
@@ -350,7 +349,8 @@ class WindowIndex:
         if some:
             dealt = rows.join(F.broadcast(hot), "anchor", "left_semi").withColumn("part", F.xxhash64("anchor", F.pmod("context", F.lit(SPREAD)).cast("int")))
             rows = rows.join(F.broadcast(hot), "anchor", "left_anti").unionByName(dealt.select(*rows.columns))
-        keys = self.bucketed(rows.select("part", "anchor", "context", "doc_id").repartition(self.buckets, "part"), self.KEYS)
+        anchor = F.when(F.col("part") != F.col("anchor"), F.col("anchor")).alias("anchor")
+        keys = self.bucketed(rows.select("part", anchor, "context", "doc_id").repartition(self.buckets, "part"), self.KEYS)
         return Run(keys, windows, path if some else None)
 
     def merged(self) -> DataFrame:
@@ -372,6 +372,7 @@ class WindowIndex:
         for r in old:
             self.forget(r.keys)
             self.forget(r.windows)
+        release(self.spark)
 
 
 def dedup_windows(docs: DataFrame, text: str = "text", window: int = WINDOW, batches: int = BATCHES, index: WindowIndex | None = None, rejoin: bool = True) -> DataFrame:
