@@ -13,9 +13,12 @@ from ..operators import motifs, score, support
 from ..operators.community import kernel
 
 
-def register(edges: DataFrame, item_kw: DataFrame) -> None:
+def register(edges: DataFrame, item_kw: DataFrame, synopsis: DataFrame | None = None, communities: DataFrame | None = None) -> None:
     """Views edges, item_kw, wedges, pairs and edge_support; the last three are plain plans, so
-    predicates on users and items move below their joins."""
+    predicates on users and items move below their joins. Views synopsis (node or leaf rows) and communities (answers) if given."""
+    for name, table in (("synopsis", synopsis), ("communities", communities)):
+        if table is not None:
+            table.createOrReplaceTempView(name)
     edges.createOrReplaceTempView("edges")
     item_kw.createOrReplaceTempView("item_kw")
     motifs.wedges(edges).createOrReplaceTempView("wedges")

@@ -245,17 +245,20 @@ def fingerprints(comm: DataFrame) -> DataFrame:
 
 def dedupe(comm: DataFrame, how: str = "identical") -> DataFrame:
     """Communities once each, under their smallest centre; ``contained`` also drops those that are part
-    of another (counted by shared edges, through edges that both have)."""
+    of a larger one. A community is looked for only in the larger ones that have its rarest edge."""
     prints = fingerprints(comm)
     first = prints.groupBy("qid", "fingerprint").agg(F.min("center").alias("center"), F.first("n_edges").alias("n_edges"))
     kept = comm.join(first.select("qid", "center"), ["qid", "center"], "left_semi")
     if how == "identical":
         return kept
-    a = kept.select("qid", "u", "v", F.col("center").alias("ca"))
-    b = kept.select("qid", "u", "v", F.col("center").alias("cb"))
-    shared = a.join(b, ["qid", "u", "v"]).filter("ca <> cb").groupBy("qid", "ca", "cb").agg(F.count("*").alias("both"))
-    sizes = first.select("qid", F.col("center").alias("ca"), "n_edges")
-    inside = shared.join(sizes, ["qid", "ca"]).filter("both = n_edges").select("qid", F.col("ca").alias("center")).distinct()
+    sized = written(kept.select("qid", "center", "u", "v").join(first.select("qid", "center", "n_edges"), ["qid", "center"]), "distinct-communities")
+    often = sized.groupBy("qid", "u", "v").agg(F.count("*").alias("times"))
+    rarest = sized.join(often, ["qid", "u", "v"]).groupBy("qid", F.col("center").alias("ca"), F.col("n_edges").alias("na")).agg(F.min(F.struct("times", "u", "v")).alias("e"))
+    rarest = rarest.filter("e.times > 1").select("qid", "ca", "na", F.col("e.u").alias("u"), F.col("e.v").alias("v"))
+    larger = written(rarest.join(sized, ["qid", "u", "v"]).filter("n_edges > na").select("qid", "ca", "na", F.col("center").alias("cb")), "larger")
+    mine = larger.join(sized.select("qid", F.col("center").alias("ca"), "u", "v"), ["qid", "ca"])
+    both = mine.join(sized.select("qid", F.col("center").alias("cb"), "u", "v"), ["qid", "cb", "u", "v"]).groupBy("qid", "ca", "cb", "na").agg(F.count("*").alias("met"))
+    inside = both.filter("met = na").select("qid", F.col("ca").alias("center")).distinct()
     return kept.join(inside, ["qid", "center"], "left_anti")
 
 

@@ -39,7 +39,7 @@ def exact(edges: DataFrame, side: str = "user", hub_degree: int | None = None) -
 upper_bound = exact
 
 
-def maintain(old_edges: DataFrame, new_edges: DataFrame, changes: DataFrame, old_pairs: DataFrame, new_pairs: DataFrame, old_sup: DataFrame) -> DataFrame:
+def maintain(old_edges: DataFrame, new_edges: DataFrame, changes: DataFrame, old_pairs: DataFrame, new_pairs: DataFrame, old_sup: DataFrame, hub_degree: int | None = None) -> DataFrame:
     """Supports after changed edges (u, v, w_old, w_new): only edges that come or go matter.
 
     A pair whose number of shared items changed shifts all edges on its shared items, and an item
@@ -56,7 +56,7 @@ def maintain(old_edges: DataFrame, new_edges: DataFrame, changes: DataFrame, old
     touched = shared.select(F.explode(F.array("ui", "uj")).alias("u"), "v")
     touched = touched.unionByName(new_edges.join(structural.select("v").distinct(), "v", "left_semi").select("u", "v")).distinct()
     items = new_edges.join(touched.select("v").distinct(), "v", "left_semi")
-    again = from_pairs(wedges(items), new_pairs).join(touched, ["u", "v"], "left_semi")
+    again = from_pairs(wedges(items, hub_degree), new_pairs).join(touched, ["u", "v"], "left_semi")
     fresh = touched.join(again, ["u", "v"], "left").select("u", "v", F.coalesce("sup", F.lit(0).cast("bigint")).alias("sup"))
     kept = old_sup.join(touched, ["u", "v"], "left_anti").join(new_edges.select("u", "v"), ["u", "v"], "left_semi")
     return kept.select("u", "v", "sup").unionByName(fresh)

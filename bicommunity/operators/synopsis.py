@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import CommunityQuery
-from . import hops, keywords
+from . import hops, keywords, score
 from .motifs import wedges
 
 LEAF = ("u", "r", "bv", "ub_sup", "ub_score")
@@ -45,6 +45,22 @@ def item_values(edges: DataFrame, vectors: DataFrame, sup: DataFrame, pairs: Dat
     return top.join(vectors, "v", "left").join(score, "v", "left").select("v", F.coalesce("bv", _zeros(bits)).alias("bv"), "ub_sup", F.coalesce("ub_score", F.lit(0).cast("bigint")).alias("ub_score"))
 
 
+def changed_items(old: DataFrame, new: DataFrame, changes: DataFrame) -> DataFrame:
+    """``v``: items whose values can differ after changed edges: those of the changes and those that a pair shares whose
+    sums differ (a support on an item moves only with a pair on that item)."""
+    moved = score.pair_changes(old, changes).select("ui", "uj")
+    near = new.join(moved.select(F.explode(F.array("ui", "uj")).alias("u")).distinct(), "u", "left_semi").select("u", "v")
+    shared = moved.join(near.select(F.col("u").alias("ui"), "v"), "ui").join(near.select(F.col("u").alias("uj"), "v"), ["uj", "v"]).select("v")
+    return shared.unionByName(changes.select("v")).distinct()
+
+
+def maintain_items(items: DataFrame, new: DataFrame, vectors: DataFrame, sup: DataFrame, pairs: DataFrame, touched: DataFrame, bits: int = 256, hub_degree: int | None = None) -> DataFrame:
+    """Item values after changes: those of the ``touched`` items are worked out again, the others stay."""
+    own = new.join(touched, "v", "left_semi")
+    again = item_values(own, vectors, sup.join(touched, "v", "left_semi"), pairs, bits, hub_degree)
+    return items.join(touched, "v", "left_anti").select("v", "bv", "ub_sup", "ub_score").unionByName(again)
+
+
 def _gather(link: DataFrame, values: DataFrame, by: str, to: str, bits: int) -> DataFrame:
     return link.join(values, by).groupBy(to).agg(keywords.or_words("bv", bits).alias("bv"), F.max("ub_sup").alias("ub_sup"), F.max("ub_score").alias("ub_score"))
 
@@ -92,20 +108,43 @@ def build(leaf: DataFrame, placed: DataFrame, gamma: int = 16, bits: int = 256)
     """
     leaves = leaf.join(placed, "u").select("u", "leaf_id", "r", "bv", "ub_sup", "ub_score")
 
-    def up(rows: DataFrame, key: str, level: int) -> DataFrame:
-        return rows.groupBy(F.col(key).alias("node_id"), "r").agg(keywords.or_words("bv", bits).alias("bv"), F.max("ub_sup").alias("ub_sup"), F.max("ub_score").alias("ub_score")).select(F.lit(level).alias("level"), "node_id", F.expr(f"node_id div {gamma}").cast("bigint").alias("parent_id"), "r", "bv", "ub_sup", "ub_score")
-
     most = placed.agg(F.max("leaf_id")).first()[0]
-    level, now = 0, up(leaves, "leaf_id", 0)
+    level, now = 0, _up(leaves, "leaf_id", 0, gamma, bits)
     nodes = now
     while most and most > 0:
         most //= gamma
         level += 1
-        now = up(now, "parent_id", level)
+        now = _up(now, "parent_id", level, gamma, bits)
         nodes = nodes.unionByName(now)
     return leaves, nodes
 
 
+def _up(rows: DataFrame, key: str, level: int, gamma: int, bits: int) -> DataFrame:
+    """Node rows of a level from the rows below."""
+    merged = rows.groupBy(F.col(key).alias("node_id"), "r").agg(keywords.or_words("bv", bits).alias("bv"), F.max("ub_sup").alias("ub_sup"), F.max("ub_score").alias("ub_score"))
+    return merged.select(F.lit(level).alias("level"), "node_id", F.expr(f"node_id div {gamma}").cast("bigint").alias("parent_id"), "r", "bv", "ub_sup", "ub_score")
+
+
+def refresh(leaves: DataFrame, nodes: DataFrame, leaf: DataFrame, placed: DataFrame, touched: DataFrame, gamma: int = 16, bits: int = 256) -> tuple[DataFrame, DataFrame]:
+    """Leaf and node tables after the rows of the ``touched`` users (u) have changed, come or gone: only the path from their
+    leaves to the root is merged again. ``placed`` may have new users, but none that moved."""
+    from ..store import written
+
+    fresh = leaf.join(touched, "u", "left_semi").join(placed, "u").select("u", "leaf_id", "r", "bv", "ub_sup", "ub_score")
+    now = written(leaves.join(touched, "u", "left_anti").unionByName(fresh), "leaves")
+    dirty = leaves.join(touched, "u", "left_semi").select("leaf_id").unionByName(fresh.select("leaf_id")).distinct()
+    dirty = written(dirty.select(F.col("leaf_id").alias("node_id")), "dirty")
+    depth = nodes.agg(F.max("level")).first()[0] or 0
+    below, key, out = now, "leaf_id", None
+    for level in range(depth + 1):
+        again = _up(below.join(dirty.withColumnRenamed("node_id", key), key, "left_semi"), key, level, gamma, bits)
+        rows = written(nodes.filter(F.col("level") == level).join(dirty, "node_id", "left_anti").select(*again.columns).unionByName(again), "nodes")
+        out = rows if out is None else out.unionByName(rows)
+        below, key = rows, "parent_id"
+        dirty = dirty.select(F.expr(f"node_id div {gamma}").cast("bigint").alias("node_id")).distinct()
+    return now, out
+
+
 def inverted(placed: DataFrame, gamma: int = 16) -> DataFrame:
     """``u, path``: node ids from the root down to the user's leaf."""
     most = placed.agg(F.max("leaf_id")).first()[0] or 0
@@ -202,17 +241,27 @@ def leaf_propagated_near(edges: DataFrame, items: DataFrame, centers: DataFrame,
 def add_users(placed: DataFrame, leaf: DataFrame, fresh: DataFrame) -> DataFrame:
     """Place new users into the leaf whose mean added score bound is closest.
 
-    Leaves and new users are sorted together, and each user looks at its neighbours in order, so no user is compared
-    with every leaf. ``fresh``: leaf rows of the new users.
+    Leaves and new users are sorted together in ranges, and each user looks at its neighbours in order, so no user is compared
+    with every leaf; a range hands on its last and first leaf, which is one row a range. ``fresh``: leaf rows of the new users.
     """
+    from ..store import written
+
     total = leaf.groupBy("u").agg(F.sum("ub_score").alias("total"))
     means = placed.join(total, "u").groupBy("leaf_id").agg(F.avg("total").alias("x"))
     new = fresh.groupBy("u").agg(F.sum("ub_score").cast("double").alias("x"))
     line = means.select("x", "leaf_id", F.lit(None).cast("bigint").alias("u")).unionByName(new.select("x", F.lit(None).cast("bigint").alias("leaf_id"), "u"))
     spot = F.when(F.col("leaf_id").isNotNull(), F.struct("x", "leaf_id"))
-    below = F.last(spot, ignorenulls=True).over(Window.orderBy("x", F.col("leaf_id").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0))
-    above = F.first(spot, ignorenulls=True).over(Window.orderBy("x", F.col("leaf_id").asc_nulls_last()).rowsBetween(0, Window.unboundedFollowing))
-    seen = line.withColumn("lo", below).withColumn("hi", above).filter("u is not null")
+    order = [F.col("x"), F.col("leaf_id").asc_nulls_last(), F.col("u")]
+    line = written(line.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "line")
+    ends = line.groupBy("part").agg(F.max(spot).alias("last"), F.min(spot).alias("first"))
+    before = F.last("last", ignorenulls=True).over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
+    after = F.first("first", ignorenulls=True).over(Window.orderBy("part").rowsBetween(1, Window.unboundedFollowing))
+    carried = ends.select("part", before.alias("before"), after.alias("after"))
+    inside = Window.partitionBy("part").orderBy(*order)
+    below = F.last(spot, ignorenulls=True).over(inside.rowsBetween(Window.unboundedPreceding, 0))
+    above = F.first(spot, ignorenulls=True).over(inside.rowsBetween(0, Window.unboundedFollowing))
+    seen = line.withColumn("lo", below).withColumn("hi", above).filter("u is not null").join(F.broadcast(carried), "part")
+    seen = seen.withColumn("lo", F.coalesce("lo", "before")).withColumn("hi", F.coalesce("hi", "after"))
     pick = F.when(F.col("hi").isNull() | (F.col("x") - F.col("lo.x") <= F.col("hi.x") - F.col("x")), F.col("lo.leaf_id")).otherwise(F.col("hi.leaf_id"))
     return placed.unionByName(seen.select("u", pick.alias("leaf_id")))
 

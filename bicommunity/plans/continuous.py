@@ -176,17 +176,25 @@ class CommunityEngine:
         self.edges, self.at = new, to
 
     def maintained(self, old: DataFrame, new: DataFrame, changes: DataFrame) -> snapshot.Auxiliary:
+        """Auxiliary data after changed edges: pair sums, supports, item values and leaf rows near the changes are worked out
+        again, and the tree from the touched leaves up; all else stays. A leaf that has grown too large has the tree built anew."""
         c, aux = self.config, self.aux
         pairs = written(score.maintain(aux.pairs, old, changes), "pairs")
-        sup = written(support.maintain(old, new, changes, aux.pairs, pairs, aux.sup), "supports")
-        items = synopsis.item_values(new, aux.vectors, sup, pairs, c.bits, c.hub_degree)
+        sup = written(support.maintain(old, new, changes, aux.pairs, pairs, aux.sup, c.hub_degree), "supports")
+        moved = written(synopsis.changed_items(old, new, changes), "changed-items")
+        items = written(synopsis.maintain_items(aux.items, new, aux.vectors, sup, pairs, moved, c.bits, c.hub_degree), "items")
         leaf = written(synopsis.maintain(aux.leaf, old, new, changes, items, c.r_max, c.bits), "leaf")
-        placed = aux.placed.join(leaf.select("u").distinct(), "u", "left_semi")
+        here = leaf.select("u").distinct()
         strangers = leaf.join(aux.placed, "u", "left_anti")
-        placed = written(synopsis.add_users(placed, leaf, strangers), "placed")
-        placed = synopsis.rebalance(placed, leaf, c.gamma)
-        leaves, nodes = synopsis.build(leaf, placed, c.gamma, c.bits)
-        return snapshot.Auxiliary(aux.vectors, pairs, sup, leaf, placed, written(leaves, "leaves"), written(nodes, "nodes"))
+        placed = written(synopsis.add_users(aux.placed.join(here, "u", "left_semi"), leaf, strangers), "placed")
+        anew = synopsis.rebalance(placed, leaf, c.gamma)
+        if anew is not placed:
+            leaves, nodes = synopsis.build(leaf, anew, c.gamma, c.bits)
+            return snapshot.Auxiliary(aux.vectors, pairs, sup, leaf, anew, written(leaves, "leaves"), written(nodes, "nodes"), items)
+        gone = aux.placed.join(here, "u", "left_anti").select("u")
+        touched = written(synopsis.affected(old, new, changes, c.r_max).select(F.col("center").alias("u")).unionByName(gone).distinct(), "touched")
+        leaves, nodes = synopsis.refresh(aux.leaves, aux.nodes, leaf, placed, touched, c.gamma, c.bits)
+        return snapshot.Auxiliary(aux.vectors, pairs, sup, leaf, placed, leaves, nodes, items)
 
     def feed(self, updates: DataFrame, until: int | None = None) -> None:
         """Advance over ranked updates (t, u, v) in ticks of ``config.tick`` arrivals."""

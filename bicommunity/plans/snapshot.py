@@ -23,6 +23,7 @@ class Auxiliary:
     placed: DataFrame
     leaves: DataFrame
     nodes: DataFrame
+    items: DataFrame | None = None
 
 
 def initialise(edges: DataFrame, item_kw: DataFrame, config: EngineConfig = EngineConfig()) -> Auxiliary:
@@ -35,11 +36,11 @@ def initialise(edges: DataFrame, item_kw: DataFrame, config: EngineConfig = Engi
 
 def index(edges: DataFrame, vectors: DataFrame, pairs: DataFrame, sup: DataFrame, config: EngineConfig) -> Auxiliary:
     """The synopsis over given sums and bounds."""
-    items = synopsis.item_values(edges, vectors, sup, pairs, config.bits, config.hub_degree)
+    items = written(synopsis.item_values(edges, vectors, sup, pairs, config.bits, config.hub_degree), "items")
     leaf = written(synopsis.leaf_propagated(edges, items, config.r_max, config.bits), "leaf")
     placed = written(synopsis.partition(leaf, config.gamma), "placed")
     leaves, nodes = synopsis.build(leaf, placed, config.gamma, config.bits)
-    return Auxiliary(vectors, pairs, sup, leaf, placed, written(leaves, "leaves"), written(nodes, "nodes"))
+    return Auxiliary(vectors, pairs, sup, leaf, placed, written(leaves, "leaves"), written(nodes, "nodes"), items)
 
 
 def candidates(aux: Auxiliary, q: CommunityQuery, config: EngineConfig = EngineConfig()) -> DataFrame:

@@ -153,9 +153,11 @@ def b1b_item_wedges_e(spark, sf):
 BUTTERFLIES = f"{edges_cte('E')}, {pairs_cte()}, butterflies AS (SELECT a.ui, a.uj, a.v AS va, b.v AS vb, a.wm * b.wm AS score FROM wedges a JOIN wedges b ON a.ui = b.ui AND a.uj = b.uj AND a.v < b.v)"
 
 
-@reg("b2_butterflies_e", f"WITH {BUTTERFLIES} SELECT ui, uj, va, vb, score FROM butterflies")
+@reg("b2_butterflies_e", f"WITH {BUTTERFLIES} SELECT ui, uj, CAST(count(*) AS BIGINT) AS butterflies, CAST(sum(score) AS BIGINT) AS score, min(va) AS first, max(vb) AS last FROM butterflies GROUP BY ui, uj")
 def b2_butterflies_e(spark, sf):
-    return motifs.butterflies(edges(spark, sf, "E"))
+    """Every butterfly is listed, then summed up by user pair (the list itself is too long to hand over)."""
+    listed = motifs.butterflies(edges(spark, sf, "E"))
+    return listed.groupBy("ui", "uj").agg(F.count("*").alias("butterflies"), F.sum("score").alias("score"), F.min("va").alias("first"), F.max("vb").alias("last"))
 
 
 @reg("b4_total_c", f"WITH {edges_cte('C')}, {pairs_cte()} SELECT CAST(sum(n * (n - 1) // 2) AS BIGINT) AS butterflies FROM pairs")
@@ -356,7 +358,13 @@ def s8_maintained_e(spark, sf):
     return wide(synopsis.maintain(leaf, old, new, changes, items, 2))
 
 
-@reg("s9_new_users_e")
+@reg("s9_new_users_e", f"""WITH {LEAF}, old_users AS (SELECT u, sum(ub_score) AS total FROM leaf WHERE u % 10 <> 0 GROUP BY u),
+  seats AS (SELECT u, total, (row_number() OVER (ORDER BY total DESC, u) - 1) // 16 AS leaf_id FROM old_users),
+  means AS (SELECT leaf_id, avg(total) AS x FROM seats GROUP BY leaf_id), fresh AS (SELECT u, CAST(sum(ub_score) AS DOUBLE) AS x FROM leaf WHERE u % 10 = 0 GROUP BY u),
+  lo AS (SELECT f.u, max(struct_pack(x := m.x, leaf_id := m.leaf_id)) AS s FROM fresh f JOIN means m ON m.x <= f.x GROUP BY f.u),
+  hi AS (SELECT f.u, min(struct_pack(x := m.x, leaf_id := m.leaf_id)) AS s FROM fresh f JOIN means m ON m.x > f.x GROUP BY f.u)
+  SELECT u, CAST(leaf_id AS BIGINT) AS leaf_id FROM seats UNION ALL
+  SELECT f.u, CAST(CASE WHEN hi.s IS NULL OR f.x - lo.s.x <= hi.s.x - f.x THEN lo.s.leaf_id ELSE hi.s.leaf_id END AS BIGINT) FROM fresh f LEFT JOIN lo ON lo.u = f.u LEFT JOIN hi ON hi.u = f.u""")
 def s9_new_users_e(spark, sf):
     """A tenth of the users placed as newcomers among the leaves of the rest."""
     leaf = parts(spark, sf)[2]

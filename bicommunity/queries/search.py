@@ -9,8 +9,9 @@ from ..operators import community, prune, synopsis, truss
 from ..plans import baselines, continuous, measures, snapshot
 from ..sources import tables
 from ..store import written
+from . import unrolled
 from .base import ITEM_KW, Registry, core_cte, edges_cte
-from .graphs import edges, parts, stream
+from .graphs import STREAM, edges, parts, stream
 
 reg = Registry()
 QUERIES, SQL = reg.queries, reg.sql
@@ -20,6 +21,8 @@ Q_C = CommunityQuery(4, 2, 3, ("Brand#1", "ECONOMY", "small"), "c")
 Q_E = CommunityQuery(5, 1, 5, ("click",), "e")
 Q_S = CommunityQuery(20, 1, 20, ("Brand#1",), "s")
 Q_STREAM = CommunityQuery(4, 1, 3, ("d1", "d2"), "stream")
+Q_TOTAL = Q_C.but(score_rule="total", p=4)
+Q_MANY = (CommunityQuery(4, 1, 3, ("d1",), "a"), CommunityQuery(5, 1, 5, ("d2", "m6"), "b"))
 
 
 def filtered(name: str, kws: tuple[str, ...]) -> str:
@@ -32,6 +35,30 @@ def core_sql(name: str, q: CommunityQuery, rounds: int, sigma: int | None = None
     return f"WITH {filtered(name, q.keywords)}, {ctes} SELECT u, v, w FROM {last}"
 
 
+#: Window and tick of the stream queries: ten ticks at sf0.01.
+STREAM_WINDOW, STREAM_TICK = 500, 500
+
+
+def communities_sql(name: str, q: CommunityQuery, rounds: int, tail: str = unrolled.ANSWER.format("comm"), extra: str = "", **options) -> str:
+    """Answers on a whole graph: the keyword filter, the core, each centre's answer."""
+    ctes, last = core_cte("mine", q.k, q.sigma if q.score_rule == "pair" else 0, rounds)
+    return f"WITH {filtered(name, q.keywords)}, {ctes}, {unrolled.communities(last, q, **options)}{extra and ', ' + extra} {tail}"
+
+
+def stream_sql(q: CommunityQuery, rounds: int, tail: str = unrolled.ANSWER.format("comm"), every: bool = False, tick: int = STREAM_TICK, window: int = STREAM_WINDOW, **options) -> str:
+    """Answers at the end of the stream, or with ``every`` at each tick: the graphs of the ticks stand side by side as
+    one, with a million added to the users of each (no user of the events has so large an id)."""
+    ticks = f"SELECT DISTINCT least(unnest(range(0, l + {tick}, {tick})), l) AS t FROM last" if every else "SELECT l AS t FROM last"
+    names = ", ".join(f"'{k}'" for k in q.keywords)
+    shift = 1_000_000
+    graph = f"""{STREAM}, item_kw AS ({ITEM_KW['E']}), last AS (SELECT max(t) AS l FROM up), ticks AS MATERIALIZED ({ticks}),
+  now AS MATERIALIZED (SELECT t, u, v, CAST(sum(w) AS BIGINT) AS w FROM (SELECT ticks.t, u, v, w FROM base, ticks UNION ALL SELECT ticks.t, u, v, 1 FROM up JOIN ticks ON up.t > ticks.t - {window} AND up.t <= ticks.t) GROUP BY t, u, v),
+  mine AS MATERIALIZED (SELECT t * {shift} + u AS u, t || '/' || v AS v, w FROM now WHERE v IN (SELECT v FROM item_kw WHERE kw IN ({names})))"""
+    ctes, last = core_cte("mine", q.k, q.sigma, rounds)
+    back = f"comm AS MATERIALIZED (SELECT qid, center // {shift} AS t, center % {shift} AS center, u % {shift} AS u, split_part(v, '/', 2) AS v, w, radius FROM shifted)"
+    return f"WITH {graph}, {ctes}, {unrolled.communities(last, q, name='shifted', **options)}, {back}{tail if tail.startswith(",") else " " + tail}"
+
+
 def mine(spark, sf, name, q):
     g = tables.graph(spark, sf, name)
     return written(prune.keyword(g.edges, g.item_kw, q.keywords), "filtered"), g.item_kw
@@ -47,6 +74,11 @@ def found(spark, sf, q, name, config=EngineConfig()):
     return snapshot.run(written(g.edges, "edges"), g.item_kw, q, config)
 
 
+_ONCE = unrolled.prints()
+_CONTAINED = "SELECT qid, center FROM (SELECT a.qid, a.center, b.center AS other, count(*) AS met FROM once a JOIN once b ON a.qid = b.qid AND a.u = b.u AND a.v = b.v AND a.center <> b.center GROUP BY ALL) JOIN firsts USING (qid, center) WHERE met = n_edges"
+_SUMMARY = f"{_ONCE}, {unrolled.measures('once', Q_C.r)}"
+
+
 @reg("flagship_e")
 def flagship_e(spark, sf):
     return answer(found(spark, sf, FLAGSHIP, "E"))
@@ -70,57 +102,103 @@ def x4_bitruss_e(spark, sf):
     return truss.k_bitruss(e, 12)
 
 
+def _numbers_sql(graph: str, rounds: int) -> str:
+    """Bitruss numbers by peeling: each round drops all edges at or below the greatest least support so far."""
+    parts, last = [graph, "b0 AS MATERIALIZED (SELECT u, v FROM mine)", "k0 AS (SELECT CAST(0 AS BIGINT) AS k)"], "b0"
+    for i in range(1, rounds + 1):
+        parts.append(f"p{i} AS MATERIALIZED (SELECT a.u, c.u AS u2, count(*) - 1 AS n FROM {last} a JOIN {last} c ON a.v = c.v AND a.u <> c.u GROUP BY a.u, c.u)")
+        parts.append(f"t{i} AS MATERIALIZED (SELECT e.u, e.v, coalesce(sum(p.n), 0) AS sup FROM {last} e LEFT JOIN {last} o ON o.v = e.v AND o.u <> e.u LEFT JOIN p{i} p ON p.u = e.u AND p.u2 = o.u GROUP BY e.u, e.v)")
+        parts.append(f"k{i} AS MATERIALIZED (SELECT greatest(k, coalesce((SELECT min(sup) FROM t{i}), 0)) AS k FROM k{i - 1})")
+        parts.append(f"f{i} AS MATERIALIZED (SELECT u, v, k FROM t{i}, k{i} WHERE sup <= k)")
+        parts.append(f"b{i} AS MATERIALIZED (SELECT u, v FROM t{i}, k{i} WHERE sup > k)")
+        last = f"b{i}"
+    every = " UNION ALL ".join(f"SELECT u, v, CAST(k AS BIGINT) AS number FROM f{i}" for i in range(1, rounds + 1))
+    return f"WITH {', '.join(parts)} {every}"
+
+
+@reg("x5_bitruss_numbers_c", _numbers_sql(filtered("C", ("Brand#1",)), 24))
+def x5_bitruss_numbers_c(spark, sf):
+    e, _ = mine(spark, sf, "C", Q_C.but(keywords=("Brand#1",)))
+    return truss.bitruss_numbers(e)
+
+
+@reg("x5_bitruss_numbers_joins_c", _numbers_sql(filtered("C", ("Brand#1",)), 24))
+def x5_bitruss_numbers_joins_c(spark, sf):
+    """The same through joins, the way of large graphs."""
+    e, _ = mine(spark, sf, "C", Q_C.but(keywords=("Brand#1",)))
+    return truss.bitruss_numbers(e, "joins")
+
+
 @reg("x5_bitruss_numbers_e")
 def x5_bitruss_numbers_e(spark, sf):
     return truss.bitruss_numbers(edges(spark, sf, "E"))
 
 
-@reg("q0_measures_c")
+@reg("q0_measures_c", communities_sql("C", Q_C, 7, "SELECT * FROM sizes", unrolled.measures("comm", Q_C.r)))
 def q0_measures_c(spark, sf):
     return community.measure(found(spark, sf, Q_C, "C").select("qid", "center", "u", "v", "w"), Q_C.r)
 
 
-@reg("q2_extract_edge_drop_c")
+@reg("q2_extract_edge_drop_c", communities_sql("C", Q_C, 7, drop="edge"))
 def q2_extract_edge_drop_c(spark, sf):
     e, _ = mine(spark, sf, "C", Q_C)
     return answer(community.extract(truss.core(e, Q_C.k, Q_C.sigma), Q_C, drop="edge"))
 
 
-@reg("q2_extract_closed_c")
+@reg("q2_extract_closed_c", communities_sql("C", Q_C, 7, items="closed"))
 def q2_extract_closed_c(spark, sf):
     e, _ = mine(spark, sf, "C", Q_C)
     return answer(community.extract(truss.core(e, Q_C.k, Q_C.sigma), Q_C, items="closed"))
 
 
-@reg("q2_relational_c")
+@reg("q2_relational_c", communities_sql("C", Q_C.but(k=5, r=1, sigma=5), 7))
 def q2_relational_c(spark, sf):
     q = Q_C.but(k=5, r=1, sigma=5)
     e, _ = mine(spark, sf, "C", q)
     return answer(community.extract(truss.core(e, q.k, q.sigma), q, engine="relational"))
 
 
-@reg("q3_snapshot_c")
+@reg("q3_snapshot_c", communities_sql("C", Q_C, 7))
 def q3_snapshot_c(spark, sf):
     return answer(found(spark, sf, Q_C, "C"))
 
 
-@reg("q3_snapshot_e")
+@reg("q3_snapshot_e", communities_sql("E", Q_E, 10, settle=6, drops=6))
 def q3_snapshot_e(spark, sf):
     return answer(found(spark, sf, Q_E, "E"))
 
 
-@reg("q3_synopsis_candidates_e")
+@reg("q3_synopsis_candidates_e", communities_sql("E", Q_E, 10, settle=6, drops=6))
 def q3_synopsis_candidates_e(spark, sf):
     """Answers with centres from the synopsis as well as the core."""
     return answer(found(spark, sf, Q_E, "E", EngineConfig(candidates="both", r_max=1)))
 
 
-@reg("q4_identical_c")
+@reg("q3_synopsis_r2_c", communities_sql("C", Q_C, 7))
+def q3_synopsis_r2_c(spark, sf):
+    """The published defaults through the synopsis: its traversal at radius 2 gives the centres."""
+    return answer(found(spark, sf, Q_C, "C", EngineConfig(candidates="both", r_max=2)))
+
+
+@reg("q1_framework_e", stream_sql(Q_STREAM, 8))
+def q1_framework_e(spark, sf):
+    """The framework as published: auxiliary data built once and maintained over the whole stream, in two ticks; then a
+    snapshot whose centres come from the maintained synopsis."""
+    base, up = stream(spark, sf)
+    half = -(-up.count() // 2)
+    config = EngineConfig(window=STREAM_WINDOW, tick=half, candidates="both", r_max=2)
+    engine = continuous.CommunityEngine(base, tables.graph(spark, sf, "E").item_kw, config, auxiliary=True)
+    engine.register(Q_STREAM)
+    engine.feed(up)
+    return answer(engine.snapshot(Q_STREAM))
+
+
+@reg("q4_identical_c", communities_sql("C", Q_C, 7, unrolled.ANSWER.format("once"), _ONCE))
 def q4_identical_c(spark, sf):
     return answer(community.dedupe(found(spark, sf, Q_C, "C")))
 
 
-@reg("q4_contained_c")
+@reg("q4_contained_c", communities_sql("C", Q_C, 7, unrolled.ANSWER.format("(SELECT * FROM once ANTI JOIN inside USING (qid, center))"), f"{_ONCE}, inside AS ({_CONTAINED})"))
 def q4_contained_c(spark, sf):
     return answer(community.dedupe(found(spark, sf, Q_C, "C"), "contained"))
 
@@ -128,10 +206,10 @@ def q4_contained_c(spark, sf):
 def _engine(spark, sf, policy, queries=Q_STREAM, name="E"):
     base, up = stream(spark, sf)
     kw = tables.graph(spark, sf, name).item_kw
-    return continuous.run(base, up, kw, queries, EngineConfig(window=500, tick=100, policy=policy))
+    return continuous.run(base, up, kw, queries, EngineConfig(window=STREAM_WINDOW, tick=STREAM_TICK, policy=policy))
 
 
-@reg("q5_continuous_e")
+@reg("q5_continuous_e", stream_sql(Q_STREAM, 8))
 def q5_continuous_e(spark, sf):
     return answer(_engine(spark, sf, "exact").results("stream"))
 
@@ -141,59 +219,68 @@ def q5a_published_e(spark, sf):
     return answer(_engine(spark, sf, "published").results("stream"))
 
 
-@reg("q5_changes_e")
+@reg("q5_changes_e", stream_sql(Q_STREAM, 8, """, prints AS (SELECT t, qid, center, sha256(array_to_string(list_sort(list(u || chr(31) || v)), chr(30))) AS f FROM comm GROUP BY t, qid, center),
+  steps AS (SELECT t, lag(t) OVER (ORDER BY t) AS before FROM ticks), moves AS (
+  SELECT s.t, x.qid, x.center, CASE WHEN y.f IS NULL THEN 'add' WHEN x.f <> y.f THEN 'update' END AS op FROM steps s JOIN prints x ON x.t = s.t LEFT JOIN prints y ON y.t = s.before AND y.center = x.center WHERE s.before IS NOT NULL
+  UNION ALL SELECT s.t, y.qid, y.center, 'drop' FROM steps s JOIN prints y ON y.t = s.before LEFT JOIN prints x ON x.t = s.t AND x.center = y.center WHERE x.f IS NULL)
+  SELECT t, qid, center, op FROM moves WHERE op IS NOT NULL""", every=True))
 def q5_changes_e(spark, sf):
     return _engine(spark, sf, "exact").changes()
 
 
-@reg("q6_many_e")
+@reg("q6_many_e", " UNION ALL ".join(f"SELECT * FROM ({stream_sql(q, 8)})" for q in Q_MANY))
 def q6_many_e(spark, sf):
     base, up = stream(spark, sf)
-    wanted = spark.createDataFrame([("a", 4, 1, 3, ["d1"]), ("b", 5, 1, 5, ["d2", "m6"])], "qid string, k int, r int, sigma bigint, kws array<string>")
-    engine = continuous.run_many(base, up, tables.graph(spark, sf, "E").item_kw, wanted, EngineConfig(tick=100))
+    wanted = spark.createDataFrame([(q.qid, q.k, q.r, q.sigma, list(q.keywords)) for q in Q_MANY], "qid string, k int, r int, sigma bigint, kws array<string>")
+    engine = continuous.run_many(base, up, tables.graph(spark, sf, "E").item_kw, wanted, EngineConfig(window=STREAM_WINDOW, tick=STREAM_TICK))
     return answer(engine.results("a").unionByName(engine.results("b")))
 
 
+@reg("q7_total_rule_r1_c", communities_sql("C", Q_TOTAL.but(r=1, k=6), 10, settle=5))
+def q7_total_rule_r1_c(spark, sf):
+    return answer(found(spark, sf, Q_TOTAL.but(r=1, k=6), "C"))
+
+
 @reg("q7_total_rule_c")
 def q7_total_rule_c(spark, sf):
-    return answer(found(spark, sf, Q_C.but(score_rule="total", p=4), "C"))
+    return answer(found(spark, sf, Q_TOTAL, "C"))
 
 
-@reg("q8_summary_c")
+@reg("q8_summary_c", communities_sql("C", Q_C, 7, "SELECT qid, center, n_users, n_items, n_edges, min_sup, min_score, max_dist, fingerprint FROM sizes JOIN prints USING (qid, center, n_edges)", _SUMMARY))
 def q8_summary_c(spark, sf):
     return community.summarise(community.dedupe(found(spark, sf, Q_C, "C")), Q_C.r).select("qid", "center", "n_users", "n_items", "n_edges", "min_sup", "min_score", "max_dist", "fingerprint")
 
 
-@reg("q8_recommend_c")
+@reg("q8_recommend_c", communities_sql("C", Q_C, 7, "SELECT qid, center, u, v FROM (SELECT DISTINCT qid, center, u FROM once) JOIN (SELECT DISTINCT qid, center, v FROM once) USING (qid, center) ANTI JOIN once USING (qid, center, u, v)", _ONCE))
 def q8_recommend_c(spark, sf):
     return community.recommend(community.dedupe(found(spark, sf, Q_C, "C")))
 
 
-@reg("q10_top_c")
+@reg("q10_top_c", communities_sql("C", Q_C, 7, "SELECT * FROM (SELECT qid, center, CAST(row_number() OVER (PARTITION BY qid ORDER BY min_score DESC, center) AS INTEGER) AS rank, min_score, n_edges FROM sizes) WHERE rank <= 5", _SUMMARY))
 def q10_top_c(spark, sf):
     return community.top(community.dedupe(found(spark, sf, Q_C, "C")), 5, "min_score", Q_C.r).select("qid", "center", "rank", "min_score", "n_edges")
 
 
-@reg("x1_trussness_c")
+@reg("x1_trussness_c", f"WITH {filtered('C', Q_C.keywords)}, {core_cte('mine', Q_C.k, 0, 7)[0]}, left_over AS MATERIALIZED (SELECT * FROM mine WHERE u IN (SELECT u FROM {core_cte('mine', Q_C.k, 0, 7)[1]})), {unrolled.communities('left_over', Q_C.but(r=1))} {unrolled.ANSWER.format('comm')}")
 def x1_trussness_c(spark, sf):
     g = tables.graph(spark, sf, "C")
     e, _ = mine(spark, sf, "C", Q_C)
     return answer(baselines.trussness_query(baselines.trussness_index(e), g.item_kw, Q_C.but(r=1)))
 
 
-@reg("x2_exhaustive_e")
+@reg("x2_exhaustive_e", f"WITH {filtered('E', ('d1',))}, {unrolled.communities('mine', Q_E.but(keywords=('d1',)))} {unrolled.ANSWER.format('comm')}")
 def x2_exhaustive_e(spark, sf):
     g = tables.graph(spark, sf, "E")
     return answer(baselines.exhaustive_snapshot(written(g.edges, "edges"), g.item_kw, Q_E.but(keywords=("d1",))))
 
 
-@reg("x3_recompute_e")
+@reg("x3_recompute_e", stream_sql(Q_STREAM, 8, "SELECT t, qid, center, CAST(count(DISTINCT u) AS BIGINT) AS users, CAST(count(DISTINCT v) AS BIGINT) AS items, CAST(count(*) AS BIGINT) AS edges, CAST(sum(w) AS BIGINT) AS weight FROM comm WHERE t > 0 GROUP BY t, qid, center", every=True))
 def x3_recompute_e(spark, sf):
     base, up = stream(spark, sf)
-    ticks = baselines.recompute_stream(base, up, tables.graph(spark, sf, "E").item_kw, Q_STREAM, EngineConfig(window=500, tick=100))
+    ticks = baselines.recompute_stream(base, up, tables.graph(spark, sf, "E").item_kw, Q_STREAM, EngineConfig(window=STREAM_WINDOW, tick=STREAM_TICK))
     out = None
     for t, df in ticks:
-        row = answer(df).withColumn("t", F.lit(t))
+        row = answer(df).withColumn("t", F.lit(t).cast("bigint"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -253,7 +340,10 @@ def r10_purity_v(spark, sf):
     return measures.purity(comm, truth)
 
 
-@reg("r11_rounds_c")
+_ROUNDS = f"WITH {filtered('C', Q_C.keywords)}, {core_cte('mine', Q_C.k, Q_C.sigma, 5)[0]}, {', '.join(f'n{i} AS (SELECT count(*) AS n FROM ce{i})' for i in range(5))} SELECT CAST(round AS INTEGER) AS round, CAST(n AS BIGINT) AS edges, (SELECT count(*) FROM cw0) AS wedges FROM (" + " UNION ALL ".join(f"SELECT {i + 1} AS round, n FROM n{i}" for i in range(5)) + ")"
+
+
+@reg("r11_rounds_c", _ROUNDS)
 def r11_rounds_c(spark, sf):
     e, _ = mine(spark, sf, "C", Q_C)
     m = measures.collect_metrics(e, Q_C)

@@ -11,14 +11,34 @@ from ..plans import baselines, continuous, measures
 from ..plans import workloads as wl
 from ..sources import generate, tables
 from ..store import written
+from . import unrolled
 from .base import Registry, edges_cte
-from .graphs import _ablation_sql, epoch, parts, stream
-from .search import Q_C
+from .graphs import STREAM, _ablation_sql, epoch, parts, stream
+from .search import ITEM_KW, Q_C, STREAM_TICK, STREAM_WINDOW, filtered, stream_sql
 
 reg = Registry()
 QUERIES, SQL = reg.queries, reg.sql
 
 Q_BUSY = CommunityQuery(4, 1, 3, ("d1",), "busy")
+Q_NUMBERED = CommunityQuery(4, 1, 3, tuple(str(i) for i in range(20)))
+Q_CAPPED = CommunityQuery(20, 1, 20, ("Brand#1",))
+
+
+def _numbered(domain: int, per_item: int) -> str:
+    """Graph C with integer keywords, filtered by those below 20."""
+    kw = f"SELECT DISTINCT v, (CAST(v AS BIGINT) * 7919 + j * 104729) % {domain} AS kw FROM (SELECT DISTINCT v FROM edges), (SELECT unnest(range(0, {per_item})) AS j)"
+    return f"{edges_cte('C')}, mine AS MATERIALIZED (SELECT * FROM edges WHERE v IN (SELECT v FROM ({kw}) WHERE kw < 20))"
+
+
+def _where(name: str, keywords: tuple[str, ...], condition: str = "true", w: str = "w") -> str:
+    """The filtered graph's CTEs with a condition on edges, or another weight."""
+    return filtered(name, keywords).replace("SELECT u, v, w FROM edges WHERE", f"SELECT u, v, {w} AS w FROM edges WHERE {condition} AND")
+
+
+def _at(window: int, at: int, keywords: tuple[str, ...]) -> str:
+    names = ", ".join(f"'{k}'" for k in keywords)
+    now = f"SELECT u, v, CAST(sum(w) AS BIGINT) AS w FROM (SELECT u, v, w FROM base UNION ALL SELECT u, v, 1 FROM up WHERE t > {at - window} AND t <= {at}) GROUP BY u, v"
+    return f"{STREAM}, item_kw AS ({ITEM_KW['E']}), mine AS MATERIALIZED (SELECT * FROM ({now}) WHERE v IN (SELECT v FROM item_kw WHERE kw IN ({names})))"
 
 
 def _graph(spark, sf, name):
@@ -26,36 +46,36 @@ def _graph(spark, sf, name):
     return written(g.edges, "edges"), written(g.item_kw, "kw")
 
 
-@reg("w1_vs_baseline_e")
+@reg("w1_vs_baseline_e", stream_sql(Q_BUSY, 8, "SELECT CAST(count(DISTINCT center) AS BIGINT) AS same, CAST(0 AS BIGINT) AS only_first, CAST(0 AS BIGINT) AS only_second, CAST(0 AS BIGINT) AS different FROM comm"))
 def w1_vs_baseline_e(spark, sf):
     """Answers of the continuous engine and of a trussness index rebuilt at each tick."""
     base, up = stream(spark, sf)
     kw = tables.graph(spark, sf, "E").item_kw
-    config = EngineConfig(window=500, tick=100)
+    config = EngineConfig(window=STREAM_WINDOW, tick=STREAM_TICK)
     mine = continuous.run(base, up, kw, Q_BUSY, config).results("busy")
     other = baselines.recompute_stream(base, up, kw, Q_BUSY, config, by="trussness")[-1][1]
     return measures.agreement(mine, other)
 
 
-@reg("w2_window_e")
+@reg("w2_window_e", unrolled.sweep([(s, _at(s, 1000, Q_BUSY.keywords), Q_BUSY) for s in wl.WINDOWS], 8))
 def w2_window_e(spark, sf):
     base, up = stream(spark, sf)
     return wl.sweep(wl.window_points(base, up, tables.graph(spark, sf, "E").item_kw, Q_BUSY, 1000))
 
 
-@reg("w3_k_c")
+@reg("w3_k_c", unrolled.sweep([(k, filtered("C", Q_C.keywords), Q_C.but(k=k)) for k in wl.KS], 10, drops=6))
 def w3_k_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
     return wl.sweep([(k, e, kw, Q_C.but(k=k)) for k in wl.KS])
 
 
-@reg("w4_radius_c")
+@reg("w4_radius_c", unrolled.sweep([(r, filtered("C", Q_C.keywords), Q_C.but(r=r)) for r in wl.RADII], 7))
 def w4_radius_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
     return wl.sweep([(r, e, kw, Q_C.but(r=r)) for r in wl.RADII])
 
 
-@reg("w5_sigma_c")
+@reg("w5_sigma_c", unrolled.sweep([(s, filtered("C", Q_C.keywords), Q_C.but(sigma=s, r=1)) for s in wl.SIGMAS], 50))
 def w5_sigma_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
     return wl.sweep([(s, e, kw, Q_C.but(sigma=s, r=1)) for s in wl.SIGMAS])
@@ -65,15 +85,14 @@ def w5_sigma_c(spark, sf):
 def w6_query_size_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
     q = CommunityQuery(5, 1, 5)
-    return wl.sweep([(n, e, kw, q.but(keywords=wl.sample_query(kw, n))) for n in wl.QUERY_SIZES], answers=False)
+    return wl.sweep([(n, e, kw, q.but(keywords=wl.sample_query(kw, n))) for n in wl.QUERY_SIZES])
 
 
-@reg("w7_domain_c")
+@reg("w7_domain_c", unrolled.sweep([(d, _numbered(d, 3), Q_NUMBERED) for d in wl.DOMAINS], 120, drops=6))
 def w7_domain_c(spark, sf):
     e, _ = _graph(spark, sf, "C")
     items = e.select("v").distinct()
-    q = CommunityQuery(4, 1, 3, tuple(str(i) for i in range(20)))
-    return wl.sweep([(d, e, written(tables.integer_keywords(items, d, 3), "kw"), q) for d in wl.DOMAINS], answers=False)
+    return wl.sweep([(d, e, written(tables.integer_keywords(items, d, 3), "kw"), Q_NUMBERED) for d in wl.DOMAINS])
 
 
 _PER = ", ".join(f"({n})" for n in wl.PER_ITEM)
@@ -91,30 +110,29 @@ def w8_per_item_matching_c(spark, sf):
     return out
 
 
-@reg("w8_per_item_c")
+@reg("w8_per_item_c", unrolled.sweep([(n, _numbered(500, n), Q_NUMBERED) for n in wl.PER_ITEM], 10))
 def w8_per_item_c(spark, sf):
     e, _ = _graph(spark, sf, "C")
     items = e.select("v").distinct()
-    q = CommunityQuery(4, 1, 3, tuple(str(i) for i in range(20)))
-    return wl.sweep([(n, e, written(tables.integer_keywords(items, 500, n), "kw"), q) for n in wl.PER_ITEM], answers=False)
+    return wl.sweep([(n, e, written(tables.integer_keywords(items, 500, n), "kw"), Q_NUMBERED) for n in wl.PER_ITEM])
 
 
-@reg("w9_weight_cap_s")
+@reg("w9_weight_cap_s", unrolled.sweep([(c, _where("S", Q_CAPPED.keywords, w=f"least(w, {c})"), Q_CAPPED) for c in wl.WEIGHT_CAPS], 12, False))
 def w9_weight_cap_s(spark, sf):
     e, kw = _graph(spark, sf, "S")
-    return wl.sweep([(c, written(wl.capped(e, c), "capped"), kw, CommunityQuery(20, 1, 20, ("Brand#1",))) for c in wl.WEIGHT_CAPS], answers=False)
+    return wl.sweep([(c, written(wl.capped(e, c), "capped"), kw, Q_CAPPED) for c in wl.WEIGHT_CAPS], answers=False)
 
 
-@reg("w10_items_c")
+@reg("w10_items_c", unrolled.sweep([(p, _where("C", Q_C.keywords, f"CAST(v AS BIGINT) % 10 < {p}"), Q_C.but(r=1)) for p in wl.SHARES], 8))
 def w10_items_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
-    return wl.sweep([(p, e.filter(F.col("v").cast("bigint") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES], answers=False)
+    return wl.sweep([(p, e.filter(F.col("v").cast("bigint") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES])
 
 
-@reg("w11_users_c")
+@reg("w11_users_c", unrolled.sweep([(p, _where("C", Q_C.keywords, f"u % 10 < {p}"), Q_C.but(r=1)) for p in wl.SHARES], 8))
 def w11_users_c(spark, sf):
     e, kw = _graph(spark, sf, "C")
-    return wl.sweep([(p, e.filter(F.col("u") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES], answers=False)
+    return wl.sweep([(p, e.filter(F.col("u") % 10 < p), kw, Q_C.but(r=1)) for p in wl.SHARES])
 
 
 @reg("w9_synthetic_weights_y")
@@ -176,6 +194,16 @@ def w13_case_study_c(spark, sf):
     return measures.case_study(mine, comm, written(baselines.bicliques(core, 2, 3), "blocks"))
 
 
+@reg("w13_case_study_3x4_c")
+def w13_case_study_3x4_c(spark, sf):
+    """The published size: communities beside the blocks of 3 users or more by 4 items or more among their users."""
+    e, kw = _graph(spark, sf, "C")
+    mine = written(prune.keyword(e, kw, Q_C.keywords), "filtered")
+    core = truss.core(mine, Q_C.k, Q_C.sigma)
+    comm = written(community.dedupe(written(community.extract(core, Q_C), "communities")), "distinct")
+    return measures.case_study(mine, comm, written(baselines.bicliques(core, 3, 4), "blocks"))
+
+
 @reg("w14_time_windows_e", "WITH x AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS d, user_id AS u, event_type || ':' || json_extract_string(props, '$.k') AS v, CAST(count(*) AS BIGINT) AS w FROM events WHERE event_type = 'click' GROUP BY ALL) SELECT CAST(epoch(d) AS BIGINT) AS start, CAST(count(*) AS BIGINT) AS edges, CAST(sum(w) AS BIGINT) AS weight FROM x GROUP BY d")
 def w14_time_windows_e(spark, sf):
     g = tables.graph(spark, sf, "E")

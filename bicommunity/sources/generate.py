@@ -44,8 +44,9 @@ def degree_column(law: str, mean: float, seed: int, most: int) -> Column:
     if law == "powerlaw":
         d = F.pow(1 - u, F.lit(-1 / 1.5)) * (mean / 3)
     elif law == "beta":
-        # the sum of two uniforms' product and a square root: a bounded, skewed law of mean about half
-        d = F.sqrt(u * _uniform(seed + 5, "u")) * (mean * 9 / 4)
+        # of four uniforms the second smallest follows the Beta law with parameters 2 and 3, of mean 2/5
+        second = F.sort_array(F.array(u, *[_uniform(seed + j, "u") for j in (5, 6, 7)]))[1]
+        d = second * (mean * 5 / 2)
     else:
         raise ValueError(law)
     return F.least(F.greatest(F.round(d), F.lit(1)), F.lit(most)).cast("int")

@@ -83,6 +83,13 @@ def events_stream(spark: SparkSession, path: str, files_per_batch: int = 1) -> D
     return interactions(raw)
 
 
+def rate_stream(spark: SparkSession, rows_per_second: int = 100, n_users: int = 1000, n_items: int = 500) -> DataFrame:
+    """Made-up interactions (ts, seq, u, v) at a steady rate, for load tests: users and items by hash of the row number."""
+    raw = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    u, v = F.pmod(F.xxhash64("value"), F.lit(n_users)), F.pmod(F.xxhash64("value", F.lit(1)), F.lit(n_items))
+    return raw.select(F.col("timestamp").alias("ts"), F.col("value").alias("seq"), u.alias("u"), F.concat(F.lit("i"), v.cast("string")).alias("v"))
+
+
 def interactions(raw: DataFrame) -> DataFrame:
     k = F.get_json_object("props", "$.k")
     return raw.select("ts", F.col("event_id").alias("seq"), F.col("user_id").alias("u"), F.concat_ws(":", "event_type", k).alias("v"))

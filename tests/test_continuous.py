@@ -53,6 +53,9 @@ def test_auxiliary_data_is_maintained(spark):
         return set(map(str, a.collect())) == set(map(str, b.select(*a.columns).collect()))
 
     assert same(engine.aux.pairs, fresh.pairs) and same(engine.aux.sup, fresh.sup) and same(engine.aux.leaf, fresh.leaf)
+    assert same(engine.aux.items, fresh.items)
+    leaves, nodes = synopsis.build(engine.aux.leaf, engine.aux.placed, 2, 64)
+    assert same(engine.aux.leaves, leaves) and same(engine.aux.nodes, nodes)
     q = CommunityQuery(2, 2, 4, ("k1", "k2"))
     both = [answers(engine.snapshot(q)), answers(snapshot.run(engine.edges, kw, q))]
     assert both[0] == both[1]

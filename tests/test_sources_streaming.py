@@ -1,3 +1,5 @@
+import time
+
 import pytest
 from fixtures import F1, block, frame, graph_of
 from pyspark.sql import functions as F
@@ -49,6 +51,26 @@ def test_generator(spark):
         generate.degree_column("other", 1, 1, 1)
 
 
+def test_beta_degrees(spark):
+    """Degrees of the bounded law have the mean and spread of a Beta law with parameters 2 and 3."""
+    d = spark.range(20_000).select(F.col("id").alias("u")).select(generate.degree_column("beta", 400.0, 42, 10**6).alias("d"))
+    m = d.agg(F.avg("d").alias("mean"), F.stddev("d").alias("sd"), F.max("d").alias("most")).first()
+    assert abs(m["mean"] - 400) < 8 and abs(m.sd - 200) < 8 and m.most <= 1000
+
+
+def test_rate_stream(spark, tmp_path):
+    q = streaming.rate_stream(spark, 50, 10, 5).writeStream.format("memory").queryName("rated").option("checkpointLocation", str(tmp_path)).start()
+    try:
+        for _ in range(60):
+            if spark.table("rated").limit(1).count():
+                break
+            time.sleep(0.5)
+    finally:
+        q.stop()
+    r = spark.table("rated").agg(F.min("u").alias("lo"), F.max("u").alias("hi"), F.countDistinct("v").alias("items")).first()
+    assert 0 <= r.lo <= r.hi < 10 and 1 <= r["items"] <= 5
+
+
 def test_query_sampler(spark):
     kw = spark.createDataFrame([(f"v{i}", "common") for i in range(90)] + [(f"v{i}", f"rare{i}") for i in range(10)], "v string, kw string")
     drawn = [workloads.sample_query(kw, 1, s) for s in range(20)]
