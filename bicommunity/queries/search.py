@@ -261,17 +261,25 @@ def q10_top_c(spark, sf):
     return community.top(community.dedupe(found(spark, sf, Q_C, "C")), 5, "min_score", Q_C.r).select("qid", "center", "rank", "min_score", "n_edges")
 
 
-@reg("x1_trussness_c", f"WITH {filtered('C', Q_C.keywords)}, {core_cte('mine', Q_C.k, 0, 7)[0]}, left_over AS MATERIALIZED (SELECT * FROM mine WHERE u IN (SELECT u FROM {core_cte('mine', Q_C.k, 0, 7)[1]})), {unrolled.communities('left_over', Q_C.but(r=1))} {unrolled.ANSWER.format('comm')}")
+_BITRUSS, _LAST = core_cte("mine", Q_C.k, 0, 7)
+_TRUSSNESS = f"""WITH {filtered("C", Q_C.keywords)}, {_BITRUSS}, left_over AS MATERIALIZED (SELECT * FROM mine WHERE u IN (SELECT u FROM {_LAST})),
+  {unrolled.communities("left_over", Q_C.but(r=1))} {unrolled.ANSWER.format("comm")}"""
+
+
+@reg("x1_trussness_c", _TRUSSNESS)
 def x1_trussness_c(spark, sf):
     g = tables.graph(spark, sf, "C")
     e, _ = mine(spark, sf, "C", Q_C)
     return answer(baselines.trussness_query(baselines.trussness_index(e), g.item_kw, Q_C.but(r=1)))
 
 
-@reg("x2_exhaustive_e", f"WITH {filtered('E', ('d1',))}, {unrolled.communities('mine', Q_E.but(keywords=('d1',)))} {unrolled.ANSWER.format('comm')}")
+Q_ALL = Q_E.but(keywords=("d1",))
+
+
+@reg("x2_exhaustive_e", f"WITH {filtered('E', Q_ALL.keywords)}, {unrolled.communities('mine', Q_ALL)} {unrolled.ANSWER.format('comm')}")
 def x2_exhaustive_e(spark, sf):
     g = tables.graph(spark, sf, "E")
-    return answer(baselines.exhaustive_snapshot(written(g.edges, "edges"), g.item_kw, Q_E.but(keywords=("d1",))))
+    return answer(baselines.exhaustive_snapshot(written(g.edges, "edges"), g.item_kw, Q_ALL))
 
 
 @reg("x3_recompute_e", stream_sql(Q_STREAM, 8, "SELECT t, qid, center, CAST(count(DISTINCT u) AS BIGINT) AS users, CAST(count(DISTINCT v) AS BIGINT) AS items, CAST(count(*) AS BIGINT) AS edges, CAST(sum(w) AS BIGINT) AS weight FROM comm WHERE t > 0 GROUP BY t, qid, center", every=True))
