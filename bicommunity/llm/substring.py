@@ -35,9 +35,9 @@ from .textkern import slices
 
 WINDOW = 50
 #: Runs that are merged into one as soon as so many stand side by side.
-FAN_IN = 3
+FAN_IN = 2
 #: Batches that a table is cut into, by doc_id.
-BATCHES = 5
+BATCHES = 3
 #: Parts that the rows of a hot anchor are dealt to.
 SPREAD = 64
 
