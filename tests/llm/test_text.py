@@ -158,7 +158,7 @@ def test_calls_with_one_index_equal_one_call(spark, hot):
 def test_runs_are_not_exchanged(spark):
     """A later batch reads a run in its buckets: neither exchanged nor sorted again."""
     rows = passages(10, range(40))
-    index = substring.WindowIndex(spark, 12)
+    index = substring.WindowIndex(spark, 12, fan_in=9)
     for lo in (0, 20):
         index.add(spark.createDataFrame(rows[lo : lo + 20], "doc_id bigint, text string"))
     own = index.table(index.runs[1].windows, index.WINDOWS).groupBy("anchor").agg(F.count("*").alias("n"))
