@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..operators import score
+from ..operators import hops, score
 from ..sources import tables
 from .base import Registry, edges_cte, pairs_cte
 from .graphs import edges, epoch
@@ -234,10 +234,11 @@ def op_structs(spark, sf):
 
 @reg("op_recursive", f"WITH RECURSIVE {edges_cte('E')}, walk(u, d) AS (SELECT 1::BIGINT, 0 UNION SELECT b.u, walk.d + 1 FROM walk JOIN edges a ON a.u = walk.u JOIN edges b ON a.v = b.v WHERE walk.d < 2) SELECT u, CAST(min(d) AS INTEGER) AS d FROM walk GROUP BY u")
 def op_recursive(spark, sf):
-    """Reach from one user by recursive SQL."""
-    view = f"edges_{abs(hash(sf)) % 10**8}"
-    edges(spark, sf, "E").createOrReplaceTempView(view)
-    return spark.sql(f"WITH RECURSIVE step AS (SELECT DISTINCT a.u, b.u AS nu FROM {view} a JOIN {view} b ON a.v = b.v), walk(u, d) AS (SELECT CAST(1 AS BIGINT), 0 UNION ALL SELECT step.nu, walk.d + 1 FROM walk JOIN step ON step.u = walk.u WHERE walk.d < 2) SELECT u, min(d) AS d FROM walk GROUP BY u")
+    """Reach from one user, a step at a time. Spark's recursive SQL only has UNION ALL, which counts every way to a user and
+    passes the engine's limit of rows; here a step starts from the users that are new."""
+    one = spark.range(1).select(F.lit(1).cast("bigint").alias("center"))
+    near = hops.users(edges(spark, sf, "E"), 2, one).select("u", F.expr("dist div 2").cast("int").alias("d"))
+    return near.unionByName(one.select(F.col("center").alias("u"), F.lit(0).alias("d"))).distinct()
 
 
 @reg("op_subquery", "SELECT o_orderkey FROM orders o WHERE o_orderdate = (SELECT max(o_orderdate) FROM orders i WHERE i.o_custkey = o.o_custkey)")
