@@ -55,11 +55,24 @@ def degree_column(law: str, mean: float, seed: int, most: int) -> Column:
 def synthetic(spark: SparkSession, n_users: int = 25_000, n_items: int = 25_000, degree: str = "powerlaw", keyword: str = "uniform", weight_range: tuple[int, int] = (1, 2), kw_per_item: int = 3, domain: int = 500, mean_degree: float = 6.0, seed: int = 42) -> tuple[DataFrame, DataFrame]:
     """Edges and item keywords. Users get degrees by the law, neighbours at random, and
     weights from a Gaussian rounded and clipped to the range; repeated neighbours fall together."""
-    mean, sd = WEIGHTS[weight_range]
     users = spark.range(n_users).select(F.col("id").alias("u"))
+    items = spark.range(n_items).select(F.col("id").alias("v"))
+    return _drawn(users, items, 0, n_items, degree, keyword, weight_range, kw_per_item, domain, mean_degree, seed)
+
+
+def synthetic_on(users: DataFrame, items: DataFrame, degree: str = "powerlaw", keyword: str = "uniform", weight_range: tuple[int, int] = (1, 2), kw_per_item: int = 3, domain: int = 500, mean_degree: float = 6.0, seed: int = 42) -> tuple[DataFrame, DataFrame]:
+    """The same between given users (u) and items (v), both of whole numbers. A neighbour is drawn from the range of the items; a number in
+    it that no item has gives no edge."""
+    ends = items.agg(F.min("v").alias("low"), F.max("v").alias("high")).first()
+    low, n = (0, 0) if ends.low is None else (ends.low, ends.high - ends.low + 1)
+    edges, kw = _drawn(users, items, low, n, degree, keyword, weight_range, kw_per_item, domain, mean_degree, seed)
+    return edges.join(items.select(F.col("v").cast("string").alias("v")).distinct(), "v", "left_semi").select("u", "v", "w"), kw
+
+
+def _drawn(users: DataFrame, items: DataFrame, low: int, n_items: int, degree: str, keyword: str, weight_range: tuple[int, int], kw_per_item: int, domain: int, mean_degree: float, seed: int) -> tuple[DataFrame, DataFrame]:
+    mean, sd = WEIGHTS[weight_range]
     drawn = users.select("u", F.explode(F.sequence(F.lit(1), degree_column(degree, mean_degree, seed, n_items))).alias("j"))
-    placed = drawn.select("u", F.floor(_uniform(seed + 11, "u", "j") * n_items).cast("bigint").cast("string").alias("v")).distinct()
+    placed = drawn.select("u", (F.floor(_uniform(seed + 11, "u", "j") * n_items) + low).cast("bigint").cast("string").alias("v")).distinct()
     w = F.greatest(F.least(F.round(F.lit(mean) + F.lit(sd) * _normal(seed + 23, "u", "v")), F.lit(weight_range[1])), F.lit(weight_range[0]))
     edges = placed.select("u", "v", w.cast("bigint").alias("w"))
-    items = spark.range(n_items).select(F.col("id").cast("string").alias("v"))
-    return edges, attach_keywords(items, keyword, domain, kw_per_item, seed + 31)
+    return edges, attach_keywords(items.select(F.col("v").cast("string").alias("v")), keyword, domain, kw_per_item, seed + 31)
