@@ -128,9 +128,10 @@ def _signed(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64))
 
 
-def _stretches(docs: DataFrame, window: int) -> DataFrame:
-    """``anchor, context, doc_id, whole``: the stretches of each text; whole holds the hash of each window."""
-    names = ["anchor", "context", "doc_id", "whole"]
+def _stretches(docs: DataFrame, window: int, hashes: bool = True) -> DataFrame:
+    """``anchor, context, doc_id, whole``: the stretches of each text; whole holds the hash of each window (without
+    ``hashes`` left out)."""
+    names = ["anchor", "context", "doc_id", "whole"][: 4 if hashes else 3]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
@@ -144,14 +145,17 @@ def _stretches(docs: DataFrame, window: int) -> DataFrame:
                     anchors.append(anchor)
                     contexts.append(context)
                     owners.append(np.full(len(starts), ids[i]))
-                    cuts.append(starts + at)
-                    wholes.append(t.whole())
-                    at += len(t.anchor)
+                    if hashes:
+                        cuts.append(starts + at)
+                        wholes.append(t.whole())
+                        at += len(t.anchor)
             if anchors:
-                lists = pa.ListArray.from_arrays(pa.array(np.r_[np.concatenate(cuts), at].astype(np.int32)), _signed(np.concatenate(wholes)))
-                yield pa.RecordBatch.from_arrays([_signed(np.concatenate(anchors)), _signed(np.concatenate(contexts)), pa.array(np.concatenate(owners)), lists], names=names)
+                columns = [_signed(np.concatenate(anchors)), _signed(np.concatenate(contexts)), pa.array(np.concatenate(owners))]
+                if hashes:
+                    columns.append(pa.ListArray.from_arrays(pa.array(np.r_[np.concatenate(cuts), at].astype(np.int32)), _signed(np.concatenate(wholes))))
+                yield pa.RecordBatch.from_arrays(columns, names=names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "anchor long, context long, doc_id long, whole array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "anchor long, context long, doc_id long" + (", whole array<long>" if hashes else ""))
 
 
 def _removed(docs: DataFrame, window: int, rejoin: bool) -> DataFrame:
@@ -273,9 +277,12 @@ class WindowIndex:
             df.write.parquet(temporary[-1])
             return spark.read.schema(df.schema).parquet(temporary[-1])
 
-        found = keep(_stretches(batch, self.window), "found")
-        merged = found.groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"), F.max("doc_id").alias("last"), F.count("*").alias("n"), F.first("whole").alias("whole"))
+        # the stretches with their hashes go straight into the new run: written beside it, they would take its size once more
+        merged = _stretches(batch, self.window).groupBy("anchor", "context").agg(F.min("doc_id").alias("doc_id"), F.max("doc_id").alias("last"), F.count("*").alias("n"), F.first("whole").alias("whole"))
         windows = self.bucketed(merged, self.WINDOWS)
+        del merged
+        release(spark)
+        found = keep(_stretches(batch, self.window, hashes=False), "found")
         fresh = self.table(windows, self.WINDOWS)
         own = fresh.groupBy("anchor").agg(F.count("*").alias("n"), F.min("context").alias("low"), F.max("context").alias("high"), F.min("doc_id").alias("first"), F.max("last").alias("last"))
         own = keep(own, "anchors")
@@ -365,13 +372,15 @@ class WindowIndex:
         """One run in place of all."""
         if not self.runs:
             return
+        # keys follow from windows, so they go first and come last
+        for r in self.runs:
+            self.forget(r.keys)
         with _in_order(self.spark):
             windows = self.bucketed(self.merged(), self.WINDOWS)
-        own = self.table(windows, self.WINDOWS).groupBy("anchor").agg(F.count("*").alias("n"))
-        old, self.runs = self.runs, [self.run_of(windows, own)]
-        for r in old:
-            self.forget(r.keys)
+        for r in self.runs:
             self.forget(r.windows)
+        own = self.table(windows, self.WINDOWS).groupBy("anchor").agg(F.count("*").alias("n"))
+        self.runs = [self.run_of(windows, own)]
         release(self.spark)
 
 

@@ -397,3 +397,15 @@ def test_licenses_of_whole_texts(spark):
     con.executemany("INSERT INTO documents VALUES (?, ?)", [(i, t) for i, (_, t) in enumerate(rows)])
     said = {r[0]: r[1:] for r in con.execute(licenses.scan_sql()).fetchall()}
     assert said == {i: (",".join(r.licenses), r.rules, ",".join(r.sentences)) for i, r in got.items()}
+
+
+def test_window_hashes_of_a_batch_are_written_once(spark, monkeypatch):
+    """Beside the new run no table of a batch holds the hashes of its windows."""
+    seen = {}
+    remove = substring.remove
+    monkeypatch.setattr(substring, "remove", lambda s, path: (seen.update({path: s.read.parquet(path).columns}), remove(s, path)))
+    words = [f"w{i}" for i in range(80)]
+    df = spark.createDataFrame([(i, " ".join(words[i:])) for i in range(4)], "doc_id bigint, text string")
+    got = {r.doc_id: r.n_removed for r in substring.dedup_windows(df, window=12, batches=1).collect()}
+    found = [c for path, c in seen.items() if path.endswith("-found")]
+    assert found == [["anchor", "context", "doc_id"]] and got == {0: 0, 1: 79, 2: 78, 3: 77}
