@@ -23,6 +23,8 @@ WORD_N, CHAR_N = (1, 2), (2, 3, 4)
 MAX_TRAINING_ROWS = 3000
 #: Entries of their vectors at most, which bounds the driver's memory: rows beyond it, in the same order, take no part.
 MAX_TRAINING_ENTRIES = 8_000_000
+#: Entries that a step of the fit handles at once.
+PIECE = 1 << 19
 #: Documents whose calibrated probability of good quality is below this are rejected.
 MIN_PROBABILITY = 0.25
 MIN_WORDS = 10
@@ -109,21 +111,27 @@ class QualityModel:
         return 1.0 / (1.0 + float(np.exp(-np.clip(z, -60, 60))))
 
 
-def _logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, size: int, epochs: int = 60, l2: float = 1e-5) -> tuple[np.ndarray, float]:
-    """Full-batch gradient descent with adaptive steps; classes weigh the same."""
-    index = np.concatenate([a for a, _ in rows])
-    value = np.concatenate([v for _, v in rows])
-    row = np.repeat(np.arange(len(rows)), [len(a) for a, _ in rows])
+def _logistic(index: np.ndarray, value: np.ndarray, start: np.ndarray, y: np.ndarray, size: int, epochs: int = 60, l2: float = 1e-5) -> tuple[np.ndarray, float]:
+    """Full-batch gradient descent with adaptive steps; classes weigh the same. Row i has the entries from ``start[i]`` to
+    ``start[i + 1]``; they are gone through in pieces, so that nothing of their full number stands beside them."""
     w, b, gw2, gb2 = np.zeros(size), 0.0, np.full(size, 1e-8), 1e-8
     share = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, len(y) - y.sum()))
+    cuts = np.unique(np.r_[0, np.searchsorted(start, np.arange(PIECE, start[-1], PIECE)), len(y)])
+    pieces = [(lo, hi, slice(start[lo], start[hi])) for lo, hi in zip(cuts, cuts[1:])]
     for _ in range(epochs):
-        z = np.bincount(row, weights=w[index] * value, minlength=len(rows)) + b
-        g = share * (1.0 / (1.0 + np.exp(-np.clip(z, -60, 60))) - y)
-        gw = np.bincount(index, weights=g[row] * value, minlength=size) + l2 * w
+        gw, gb = np.zeros(size), 0.0
+        for lo, hi, at in pieces:
+            own, x = index[at].astype(np.int64), value[at]
+            row = np.repeat(np.arange(hi - lo), np.diff(start[lo : hi + 1]))
+            z = np.bincount(row, weights=w[own] * x, minlength=hi - lo) + b
+            g = share[lo:hi] * (1.0 / (1.0 + np.exp(-np.clip(z, -60, 60))) - y[lo:hi])
+            gw += np.bincount(own, weights=g[row] * x, minlength=size)
+            gb += g.sum()
+        gw += l2 * w
         gw2 += gw * gw
-        gb2 += g.sum() ** 2
+        gb2 += gb**2
         w -= 0.5 * gw / np.sqrt(gw2)
-        b -= 0.5 * g.sum() / np.sqrt(gb2)
+        b -= 0.5 * gb / np.sqrt(gb2)
     return w, b
 
 
@@ -170,17 +178,26 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINING_ROWS,
     found = written(found.groupBy("doc_id").agg(F.max("quality").alias("quality"), F.min(F.struct("at", "value")).alias("row")), "training-rows")
     sizes = found.orderBy(F.xxhash64("doc_id"), "doc_id").select("doc_id", F.expr("length(row.at) div 4").alias("n")).collect()
     fits = np.cumsum([r.n for r in sizes]) <= max_entries
-    ids = [r.doc_id for r, ok in zip(sizes, fits) if ok]
+    length = dict(sorted((r.doc_id, r.n) for r, ok in zip(sizes, fits) if ok))
+    ids = list(length)
+    place = {d: i for i, d in enumerate(ids)}
+    fold = np.array([xxhash.xxh64_intdigest(str(d), 7) % 3 for d in ids])
+    # rows to fit first, then those held out, by doc_id each: two arrays that are filled as the rows come in
+    order = np.argsort(fold == 0, kind="stable") if ids else np.empty(0, np.int64)
+    start, spot = np.r_[0, np.cumsum([length[ids[i]] for i in order])].astype(np.int64), np.empty(len(ids), np.int64)
+    spot[order] = np.arange(len(ids))
+    index, value, y = np.empty(start[-1], np.int32), np.empty(start[-1], np.float32), np.zeros(len(ids), np.int64)
     own = docs.sparkSession.createDataFrame([(i,) for i in ids], "doc_id bigint")
-    got = sorted((r.doc_id, r.quality, bytes(r.at), bytes(r.value)) for r in found.join(F.broadcast(own), "doc_id").select("doc_id", "quality", "row.*").toLocalIterator())
-    y = np.array([q for _, q, _, _ in got], np.int64)
+    for r in found.join(F.broadcast(own), "doc_id").select("doc_id", "quality", "row.*").toLocalIterator():
+        i = spot[place[r.doc_id]]
+        index[start[i] : start[i + 1]], value[start[i] : start[i + 1]] = np.frombuffer(r.at, np.int32), np.frombuffer(r.value, np.float32)
+        y[i] = r.quality
     if not len(y) or min(y.sum(), len(y) - y.sum()) < 10:
         return None
-    rows = [(np.frombuffer(a, np.int32).astype(np.int64), np.frombuffer(v, np.float32)) for _, _, a, v in got]
-    fold = np.array([xxhash.xxh64_intdigest(str(d), 7) % 3 for d, _, _, _ in got])
-    held, fit = np.flatnonzero(fold == 0), np.flatnonzero(fold != 0)
-    w, b = _logistic([rows[i] for i in fit], y[fit], 1 << BITS)
-    slope, offset = _platt(np.array([w[rows[i][0]] @ rows[i][1] + b for i in held]), y[held]) if len(held) else (1.0, 0.0)
+    n = int((fold != 0).sum())
+    w, b = _logistic(index, value, start[: n + 1], y[:n], 1 << BITS)
+    held = np.array([w[index[start[i] : start[i + 1]]] @ value[start[i] : start[i + 1]] + b for i in range(n, len(y))])
+    slope, offset = _platt(held, y[n:]) if len(held) else (1.0, 0.0)
     return QualityModel(w.astype(np.float32), float(b), slope, offset)
 
 

@@ -365,3 +365,29 @@ def test_training_does_not_depend_on_the_order_of_rows(spark):
     a, b = quality.train(df.orderBy("text"), labels), quality.train(df.orderBy(F.desc("text")), labels)
     assert np.array_equal(a.weights, b.weights) and (a.bias, a.slope, a.offset) == (b.bias, b.slope, b.offset)
     assert quality.train(df, labels, max_entries=10) is None
+
+
+def test_fit_goes_by_pieces():
+    """The classifier's fit on the driver holds little beside the vectors, and pieces give what one gives."""
+    import tracemalloc
+
+    from bicommunity.llm import quality
+
+    rng = np.random.default_rng(3)
+    start = np.r_[0, np.cumsum(rng.integers(0, 4000, 1500))].astype(np.int64)
+    index, value = rng.integers(0, 1 << 16, start[-1]).astype(np.int32), rng.random(start[-1]).astype(np.float32)
+    y = rng.integers(0, 2, 1500)
+    tracemalloc.start()
+    w, b = quality._logistic(index, value, start, y, 1 << 16, epochs=3)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 12 * start[-1]
+    row = np.repeat(np.arange(1500), np.diff(start))
+    want, bias, g2, b2 = np.zeros(1 << 16), 0.0, np.full(1 << 16, 1e-8), 1e-8
+    share = np.where(y == 1, 0.5 / y.sum(), 0.5 / (1500 - y.sum()))
+    for _ in range(3):
+        g = share * (1 / (1 + np.exp(-(np.bincount(row, want[index] * value, 1500) + bias))) - y)
+        gw = np.bincount(index, g[row] * value, 1 << 16) + 1e-5 * want
+        g2, b2 = g2 + gw * gw, b2 + g.sum() ** 2
+        want, bias = want - 0.5 * gw / np.sqrt(g2), bias - 0.5 * g.sum() / np.sqrt(b2)
+    assert np.allclose(w, want, atol=1e-6) and abs(b - bias) < 1e-6
