@@ -1,4 +1,5 @@
-"""Near-duplicates by resemblance: min-hash bands propose pairs, the shingle sets decide."""
+"""Near-duplicates: SimHash fingerprints propose pairs, min-hash bands those that fingerprints miss, and the shingle
+sets decide."""
 
 from __future__ import annotations
 
@@ -11,8 +12,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import simhash
 from .components import connected_components
-from .store import written
+from .store import Scratch, written
 from .textkern import slices
 
 SEED = 42
@@ -61,16 +63,32 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def signatures(docs: DataFrame) -> DataFrame:
-    """``doc_id, tk, node, n, buckets``: a row per input row; tk is a hash of the text, n the number of distinct shingles."""
+    """``doc_id, tk, node, n, fp, buckets``: a row per input row; tk is a hash of the text, n the number of distinct shingles, fp
+    the SimHash of all shingles, repeats included."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in slices(batches, "text"):
             sets = [shingles(t) for t in texts]
-            columns = [piece.column("doc_id"), piece.column("tk"), pa.array([node_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([buckets(s) for s in sets], pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "tk", "node", "n", "buckets"])
+            fp = np.array([simhash.fingerprint(t, SHINGLE) for t in texts], np.uint64).view(np.int64)
+            columns = [piece.column("doc_id"), piece.column("tk"), pa.array([node_of(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(fp), pa.array([buckets(s) for s in sets], pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "tk", "node", "n", "fp", "buckets"])
 
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("tk"), "text")
-    return keyed.mapInArrow(run, "doc_id long, tk long, node long, n long, buckets array<long>")
+    return keyed.mapInArrow(run, "doc_id long, tk long, node long, n long, fp long, buckets array<long>")
+
+
+def by_fingerprint(nodes: DataFrame, scratch: Scratch) -> DataFrame:
+    """``a, n_a, b, n``: pairs of nodes whose fingerprints differ in at most ``simhash.MAX_BITS`` bits. A fingerprint stands for
+    its smallest node, which meets its other ones and those that linked fingerprints stand for."""
+    own = scratch.written(nodes.select("node", "n", F.explode("fps").alias("fp")), "of-fingerprints")
+    stands = own.groupBy("fp").agg(F.min(F.struct("node", "n")).alias("c")).select("fp", F.col("c.node").alias("a"), F.col("c.n").alias("n_a"))
+    stands = scratch.written(stands, "fingerprints")
+    found = simhash.links(stands.select("fp")).toDF("fp_a", "fp_b").distinct()
+    same = own.join(stands, "fp").select("a", "n_a", F.col("node").alias("b"), "n")
+    near = found.join(stands.toDF("fp_a", "a", "n_a"), "fp_a").join(stands.toDF("fp_b", "b", "n"), "fp_b")
+    # the smaller node first
+    pairs = same.unionByName(near.select("a", "n_a", "b", "n")).filter("a <> b")
+    return pairs.select(F.least("a", "b").alias("a"), F.when(F.col("a") < F.col("b"), F.col("n_a")).otherwise(F.col("n")).alias("n_a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("n")).otherwise(F.col("n_a")).alias("n"))
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame) -> DataFrame:
@@ -127,25 +145,26 @@ def spanning(cell: pa.Table) -> pa.Table:
     return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
 
 
-def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
+def links(nodes: DataFrame, docs: DataFrame, scratch: Scratch) -> DataFrame:
     """``a, b``: alike nodes; they span every group that the buckets show.
 
-    First each node of a bucket is compared with the smallest one. Where a bucket of three or
+    First the pairs by fingerprint are compared, and each node of a bucket with the smallest one. Where a bucket of three or
     more still holds several groups, all its members are compared in cells of two blocks,
     and a cell hands on only links that span its groups. So rows stay near a
     bucket's size, and no pair that could join two groups is left out.
     """
     at_least = AT_LEAST[0] / AT_LEAST[1]
     sized = F.least("n", "n_a") >= F.greatest("n", "n_a") * F.lit(at_least - 1e-9)
-    member = written(nodes.select("node", "n", F.explode("buckets").alias("bucket")), "buckets")
+    member = scratch.written(nodes.select("node", "n", F.explode("buckets").alias("bucket")), "buckets")
     centre = member.groupBy("bucket").agg(F.min(F.struct("node", "n")).alias("c"), F.count("*").alias("size")).filter("size > 1")
-    shared = written(member.join(centre.select("bucket", "size", F.col("c.node").alias("a"), F.col("c.n").alias("n_a")), "bucket"), "shared")
-    first = shared.filter("node <> a").filter(sized).select("a", F.col("node").alias("b")).distinct()
-    found = written(verified(first, nodes, docs), "links")
+    shared = scratch.written(member.join(centre.select("bucket", "size", F.col("c.node").alias("a"), F.col("c.n").alias("n_a")), "bucket"), "shared")
+    first = shared.filter("node <> a").select("a", "n_a", F.col("node").alias("b"), "n").unionByName(by_fingerprint(nodes, scratch))
+    first = first.filter(sized).select("a", "b").distinct()
+    found = scratch.written(verified(first, nodes, docs), "links")
     grouped = shared.filter("size > 2").join(connected_components(found), "node", "left").withColumn("root", F.coalesce("root", "node"))
     mixed = grouped.groupBy("bucket").agg(F.max("size").alias("size"), F.min("root").alias("low"), F.max("root").alias("high"), F.min("node").alias("least"), F.expr("bit_xor(xxhash64(node))").alias("members")).filter("low <> high")
     # bands that show the same members are looked at once
-    once = written(mixed.groupBy("members", "least", "size").agg(F.min("bucket").alias("bucket")).select("bucket", F.ceil(F.col("size") / BLOCK).alias("blocks")), "mixed")
+    once = scratch.written(mixed.groupBy("members", "least", "size").agg(F.min("bucket").alias("bucket")).select("bucket", F.ceil(F.col("size") / BLOCK).alias("blocks")), "mixed")
     own = F.pmod(F.xxhash64("node"), F.col("blocks"))
     cells = member.join(once, "bucket").withColumn("own", own).select("node", "bucket", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
     cells = cells.select("node", "bucket", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
@@ -154,15 +173,16 @@ def links(nodes: DataFrame, docs: DataFrame) -> DataFrame:
     return found.unionByName(told.groupBy("bucket", "i", "j").applyInArrow(lambda cell: spanning(cell), "a long, b long"))
 
 
-def groups(docs: DataFrame) -> DataFrame:
+def groups(docs: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """``doc_id, tk, component_id, first_tk``: a row per input row; component_id is the smallest doc_id
     reachable over pairs that are alike, and first_tk the hash of its text. Equal shingle sets are one node, so copies cost nothing beyond
     their signature; texts without a word are one group; rows without a doc_id have no group unless another is like them."""
-    rows = written(signatures(docs), "signatures")
+    scratch = scratch or Scratch(docs.sparkSession, "near-copies")
+    rows = scratch.written(signatures(docs), "signatures")
     least = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "tk"))).alias("least")
-    nodes = written(rows.groupBy("node").agg(least, F.first("n").alias("n"), F.first("buckets").alias("buckets")).withColumn("first", F.col("least.doc_id")), "nodes")
+    nodes = scratch.written(rows.groupBy("node").agg(least, F.first("n").alias("n"), F.collect_set("fp").alias("fps"), F.first("buckets").alias("buckets")).withColumn("first", F.col("least.doc_id")), "nodes")
     named_nodes = nodes.filter("first is not null")
-    roots = connected_components(written(links(named_nodes, docs), "all-links"))
+    roots = connected_components(scratch.written(links(named_nodes, docs, scratch), "all-links"))
     named = nodes.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "least")
     lowest = named.groupBy("root").agg(F.min("least").alias("least"))
     classes = named.join(lowest.withColumnRenamed("least", "of_group"), "root").select("node", "of_group")
@@ -173,9 +193,11 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """One row of each group: that of the smallest doc_id (of several texts with that doc_id, the one of the smallest
     hash; of rows that repeat both, any one). A row with no doc_id stays. All columns are handed on as they are, whatever
     their names; an empty table gives an empty result."""
-    found = written(groups(docs).filter("doc_id is not null"), "groups")
+    scratch = Scratch(docs.sparkSession, "near-copies")
+    found = scratch.written(groups(docs, scratch).filter("doc_id is not null"), "groups")
     own = found.groupBy("doc_id", "tk").agg(F.count("*").alias("n"), F.max((F.col("doc_id") == F.col("component_id")) & (F.col("tk") == F.col("first_tk"))).alias("stays"))
     own = written(own.filter("not stays or n > 1"), "not-as-they-are")
+    scratch.clear()
     row = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("tk"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     kept = row.join(own, ["doc_id", "tk"], "left_anti")
     again = own.filter("stays").select("doc_id", "tk")

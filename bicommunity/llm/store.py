@@ -45,6 +45,22 @@ def remove(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+class Scratch:
+    """Intermediate tables of one call, which go together when no later plan reads them."""
+
+    def __init__(self, spark: SparkSession, name: str):
+        self.spark, self.base = spark, new_path(spark, name)
+
+    def written(self, df: DataFrame, name: str) -> DataFrame:
+        path = f"{self.base}/{name}"
+        df.write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def clear(self) -> None:
+        remove(self.spark, self.base)
+        release(self.spark)
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark delete the shuffle files of plans that are done with: its cleaner goes by what the driver has collected."""
     gc.collect()

@@ -391,3 +391,24 @@ def test_fit_goes_by_pieces():
         g2, b2 = g2 + gw * gw, b2 + g.sum() ** 2
         want, bias = want - 0.5 * gw / np.sqrt(g2), bias - 0.5 * g.sum() / np.sqrt(b2)
     assert np.allclose(w, want, atol=1e-6) and abs(b - bias) < 1e-6
+
+
+def test_near_dedup_goes_by_fingerprints(spark):
+    """Without any band, near copies whose SimHash differs in at most three bits are linked; others that share it aren't."""
+    from bicommunity.llm import resemblance, simhash
+    from bicommunity.llm.store import Scratch
+
+    long = [f"w{i}" for i in range(3000)]
+    texts = [" ".join(long), " ".join(long[:-1] + ["end"]), " ".join(long[::-1])]
+    fps = [simhash.fingerprint(t.encode(), 5) for t in texts]
+    assert (fps[0] ^ fps[1]).bit_count() <= 3 < (fps[0] ^ fps[2]).bit_count()
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    rows = resemblance.signatures(docs)
+    assert {r.doc_id: r.fp % (1 << 64) for r in rows.collect()} == dict(enumerate(fps))
+    nodes = rows.select("node", "n", F.col("doc_id").alias("first"), F.array("fp").alias("fps"), F.array().cast("array<long>").alias("buckets"))
+    node = {r.first: r.node for r in nodes.collect()}
+    got = resemblance.links(nodes, docs, Scratch(spark, "t")).collect()
+    assert [{r.a, r.b} for r in got] == [{node[0], node[1]}]
+    pairs = spark.createDataFrame([(1, 9, [0, 255]), (2, 9, [7]), (3, 9, [7, 1 << 40])], "node long, n long, fps array<long>")
+    got = resemblance.by_fingerprint(pairs, Scratch(spark, "t")).select("a", "b").distinct().collect()
+    assert sorted(map(tuple, got)) == [(1, 2), (1, 3), (2, 3)]
