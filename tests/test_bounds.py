@@ -139,3 +139,13 @@ def test_dense_pairs_equal_joins(spark, monkeypatch, tile):
         assert want and sorted(map(tuple, got.collect())) == want
         plan = got._jdf.queryExecution().executedPlan().toString()
         assert "MapInArrow" in plan and "Exchange" not in plan
+
+
+def test_graphs_are_fetched_as_arrow(spark, monkeypatch):
+    """A graph for matrices doesn't come to the driver row by row."""
+    from pyspark.sql import DataFrame
+
+    e = written(frame(spark, random_graph(7, 14, 8, 70)), "edges")
+    monkeypatch.setattr(DataFrame, "toPandas", lambda self: 1 / 0)
+    m = dense.fetch(e)
+    assert m.matrix(int).sum() == e.agg(F.sum("w")).first()[0] and len(m.w) == e.count()
