@@ -5,7 +5,9 @@ import pytest
 from fixtures import frame, random_graph
 from pyspark.sql import functions as F
 
-from bicommunity.operators import bounds, dense, graph, hops, motifs, prune, score, support
+from bicommunity.model import CommunityQuery, EngineConfig
+from bicommunity.operators import bounds, dense, graph, hops, keywords, motifs, prune, score, support, synopsis
+from bicommunity.plans import snapshot
 from bicommunity.queries import graphs, operators, search, workload
 from bicommunity.sources import generate
 from bicommunity.store import written
@@ -165,3 +167,31 @@ def test_lists_go_once_to_a_range(spark):
     got = prune.support(e, bounds.edge_bounds(e, engine="lists", call=20, batch=40), 3)
     assert "Join" not in got._jdf.queryExecution().toString()
     assert same(got, prune.support(e, support.exact(e), 3))
+
+
+def test_vectors_go_in_batches(spark, monkeypatch):
+    """Leaf rows whose vectors are shuffled in batches equal those of one shuffle, and no batch holds the vectors of all edges."""
+    e = written(frame(spark, random_graph(6, 30, 12, 90)), "edges")
+    kw = e.select("v", F.concat(F.lit("k"), F.substring("v", 2, 1)).alias("kw")).distinct()
+    items = written(synopsis.items_of_bounds(bounds.edge_bounds(e), keywords.bit_vectors(kw)), "items")
+    want = synopsis.leaf_propagated(e, items, 3)
+    held, gather = [], synopsis._gather
+    monkeypatch.setattr(synopsis, "_gather", lambda link, *a: held.append(link.count()) or gather(link, *a))
+    monkeypatch.setattr(synopsis, "ROWS", 20, raising=False)
+    got = synopsis.leaf_propagated(e, items, 3)
+    assert sorted(map(repr, got.collect())) == sorted(map(repr, want.collect()))
+    assert max(held) < e.count() and len(held) == 5 * -(-e.count() // 20)
+
+
+def test_snapshot_synopsis_needs_no_pairs(spark, monkeypatch):
+    """The synopsis of a snapshot is that of the pair sums, and no pair is written for it."""
+    e = written(frame(spark, random_graph(6, 30, 12, 90)), "edges")
+    kw = e.select("v", F.concat(F.lit("k"), F.substring("v", 2, 1)).alias("kw")).distinct()
+    q, config = CommunityQuery(2, 2, 2, ("k1", "k3")), EngineConfig(candidates="both", r_max=2, gamma=4)
+    aux = snapshot.initialise(e, kw, config)
+    want = sorted(map(repr, snapshot.run(e, kw, q, config, aux).collect()))
+    monkeypatch.setattr(score, "pairs", lambda *a: 1 / 0)
+    assert sorted(map(repr, snapshot.run(e, kw, q, config).collect())) == want
+    once = snapshot.index_once(e, kw, config)
+    for a, b in ((once.leaves, aux.leaves), (once.nodes, aux.nodes)):
+        assert sorted(map(repr, a.collect())) == sorted(map(repr, b.collect()))
