@@ -9,7 +9,7 @@ from bicommunity.model import CommunityQuery, EngineConfig
 from bicommunity.operators import bounds, dense, graph, hops, keywords, motifs, prune, score, support, synopsis
 from bicommunity.plans import snapshot
 from bicommunity.queries import graphs, operators, search, workload
-from bicommunity.sources import generate
+from bicommunity.sources import generate, tables
 from bicommunity.store import written
 
 
@@ -195,3 +195,11 @@ def test_snapshot_synopsis_needs_no_pairs(spark, monkeypatch):
     once = snapshot.index_once(e, kw, config)
     for a, b in ((once.leaves, aux.leaves), (once.nodes, aux.nodes)):
         assert sorted(map(repr, a.collect())) == sorted(map(repr, b.collect()))
+
+
+def test_events_are_read_light(spark, small):
+    """Keywords are spread over kinds of events, not over events; bounds by matrices come as Arrow batches."""
+    plan = tables.graph(spark, small, "E").item_kw._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" in plan[plan.index("Generate") :]
+    e = written(frame(spark, random_graph(7, 14, 8, 70)), "edges")
+    assert "MapInArrow" in bounds._by_matrix(spark, dense.fetch(e), 0)._jdf.queryExecution().executedPlan().toString()
