@@ -60,6 +60,16 @@ def test_dense_hops_equal_joins(spark, monkeypatch):
             assert same(hops.sizes(e, r, i), want)
 
 
+def test_near_users_repeat_columns(spark, monkeypatch):
+    """A task's rows go by user: in a run of rows of one user stand all centres of a tile, so what is written is small."""
+    e = written(frame(spark, {(u, str(v)): 1 for u in range(200) for v in range(3)}), "edges")
+    monkeypatch.setattr(dense, "DENSE", 0)
+    rows = hops.all_users(e, 1).collect()
+    assert {(r.center, r.u, r.dist) for r in rows} == {(a, b, 0 if a == b else 2) for a in range(200) for b in range(200)} and len(rows) == 40_000
+    runs = sum(a.u != b.u for a, b in zip(rows, rows[1:]))
+    assert runs < len(rows) / 4
+
+
 def test_dense_supports(spark, monkeypatch):
     g = random_graph(4, 9, 8, 40)
     e = written(frame(spark, g), "edges")
