@@ -176,3 +176,31 @@ def test_kernel_takes_rounds_together(monkeypatch):
     monkeypatch.setattr(community._Dense, "stays", lambda *a: False)
     assert (got == community._Dense(m, 5, "user", True).one(q, 2, 3, ids)).all() and got[5].any()
     assert few <= 8 and len(calls) > 3 * few
+
+
+def test_kernel_follows_changes(monkeypatch):
+    """Within a step nearly each round takes support from others: it is followed from the users that change, not worked out anew."""
+    rng = np.random.default_rng(3)
+    m = (rng.random((400, 40)) < 0.5) * rng.integers(1, 3, (400, 40))
+    q, ids, calls, relate, change = CommunityQuery(4, 2, 30), np.arange(400), [], community.relate, community._Live.change
+    monkeypatch.setattr(community, "relate", lambda *a, **b: calls.append(1) or relate(*a, **b))
+    got = community._Dense(m, 5, "user", True).one(q, 1, 30, ids)
+    few = len(calls)
+
+    def anew(self, rows, new):
+        self.weak = None
+        return change(self, rows, new)
+
+    monkeypatch.setattr(community._Live, "change", anew)
+    assert (got == community._Dense(m, 5, "user", True).one(q, 1, 30, ids)).all() and got[5].any()
+    assert few <= 20 and len(calls) > 10 * few
+
+
+def test_dense_graph_of_many_users_is_held(spark, monkeypatch):
+    """Pairs of users take a byte each, so a graph of few items is held by each task with more users than its matrix would allow squared."""
+    g = random_graph(5, 8, 4, 26)
+    e, q = frame(spark, g), CommunityQuery(2, 2, 3)
+    want = answers(community.extract(e, q, engine="grouped"))
+    monkeypatch.setattr(community, "large_centers", lambda *a: pytest.fail("the graph isn't held"))
+    assert want and want == answers(community.extract(e, q, max_cells=32))
+    assert community.held(e, 25, 32) is None and community.held(e, 26, 31) is None
